@@ -1,13 +1,14 @@
-"""Making the package importable in Python workers of a session that was started elsewhere."""
+"""Session helpers: shipping the package to Python workers, and tables in the folder that a cluster shares."""
 
 from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
 
@@ -26,3 +27,29 @@ def ship(spark: SparkSession) -> SparkSession:
     spark.sparkContext.addPyFile(name)
     _shipped.add(app)
     return spark
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """Folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only if it is unset."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not found:
+        found = "file://" + tempfile.mkdtemp(prefix="skewmap-shared-")
+        spark.sparkContext.setCheckpointDir(found)
+    return found
+
+
+def stored(df: DataFrame, name: str = "step", **options: str) -> DataFrame:
+    """``df`` as Parquet in the shared folder, read again: its lineage is cut, and lost executors cost nothing.
+
+    The files go when the application ends.
+    """
+    spark = df.sparkSession
+    path = f"{shared_dir(spark).rstrip('/')}/skewmap-{name}-{uuid.uuid4().hex}"
+    df.write.options(**options).parquet(path)
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def partitions(spark: SparkSession) -> int:
+    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
