@@ -118,5 +118,5 @@ def might_contain(words: Column, cells: Column, key_hash: Column, hashes: int, s
         h = F.shiftrightunsigned(F.xxhash64(key_hash, F.lit(seed * 64 + i).cast("long")), 33)
         at = F.shiftrightunsigned(h * cells, 31)
         word = F.get(words, F.shiftright(at, 6).cast("int"))
-        out = out & (F.shiftrightunsigned(word, (at % 64).cast("int")).bitwiseAND(F.lit(1)) == 1)
+        out = out & (F.getbit(word, (at % 64).cast("int")) == 1)
     return out

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import functools
 import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Callable
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -38,17 +40,57 @@ def shared_dir(spark: SparkSession) -> str:
     return found
 
 
+_scopes: list[list[DataFrame]] = []
+
+
+def _path(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
+
+
 def stored(df: DataFrame, name: str = "step", **options: str) -> DataFrame:
     """``df`` as Parquet in the shared folder, read again: its lineage is cut, and lost executors cost nothing.
 
-    The files go when the application ends.
+    The files go when the application ends, or with the function that made them if it is ``cleaned``.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/skewmap-{name}-{uuid.uuid4().hex}"
     df.write.options(**options).parquet(path)
-    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
+    fs, where = _path(spark, path)
+    fs.deleteOnExit(where)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    if _scopes:
+        _scopes[-1].append(out)
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete the files of a stored table that nothing reads any more."""
+    fs, where = _path(df.sparkSession, df._stored_at)
+    fs.delete(where, True)
+
+
+def cleaned(make: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """The function's result is stored, and every table that it stored on the way is deleted."""
+
+    @functools.wraps(make)
+    def run(*args, **kwargs) -> DataFrame:
+        _scopes.append([])
+        try:
+            result = make(*args, **kwargs)
+            inner = _scopes[-1]
+            _scopes[-1] = []
+            out = stored(result, make.__name__)
+        finally:
+            _scopes.pop()
+        for df in inner:
+            discard(df)
+        if _scopes:
+            _scopes[-1].append(out)
+        return out
+
+    return run
 
 
 def partitions(spark: SparkSession) -> int:

@@ -6,6 +6,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..functions.bounds import DELTA3, lower_bound
@@ -56,7 +57,7 @@ def _frequencies(v) -> list[int]:
     return [int(x) for x in v if x is not None and x == x]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def empirical_entropy(freq: pd.Series) -> float:
     """Entropy in bits of a group's frequencies."""
     import math
@@ -66,7 +67,7 @@ def empirical_entropy(freq: pd.Series) -> float:
     return float(-sum(x / n * math.log2(x / n) for x in f if x)) if n else 0.0
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def huffman_bits(freq: pd.Series) -> int:
     """Bits of an optimal prefix code over a group's frequencies."""
     from collections import Counter

@@ -108,8 +108,7 @@ def stream_lookup(stream: DataFrame, index: Index) -> DataFrame:
     handle = index.shards.sparkSession.sparkContext.broadcast({k: (bytes(a), bytes(b)) for k, (a, b) in shards.items()})
     code = huffman.Code(*m.code)
 
-    @F.arrow_udf("long")
-    def rank(h: pa.Array) -> pa.Array:
+    def rank(h):
         h = h.to_numpy(zero_copy_only=False)
         out = np.zeros(len(h), np.int64)
         for s in np.unique(h % m.shards):
@@ -121,6 +120,8 @@ def stream_lookup(stream: DataFrame, index: Index) -> DataFrame:
                 out[at] = _back(read_shard(cells, h[at], code, m.hashes), m.dominant_place)
         return pa.array(out)
 
+    rank.__annotations__ = {"h": pa.Array, "return": pa.Array}
+    rank = F.arrow_udf(rank, "long")
     book = index.codebook.select(F.col("rank").alias("__rank"), F.col("value").alias(m.value))
     return stream.withColumn("__rank", rank(key_hash(stream, m.keys, m.seed))).join(F.broadcast(book), "__rank", "left").drop("__rank")
 
