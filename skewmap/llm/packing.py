@@ -16,8 +16,11 @@ empty table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
+import gc
+import re
 import zlib
 from collections.abc import Iterator
+from operator import add
 
 import numpy as np
 import pyarrow as pa
@@ -32,31 +35,107 @@ from . import common
 SIZE = 2048
 VOCABULARY = "word_bpe_49k.json"
 #: Words that a worker remembers before it starts anew.
-REMEMBERED = 600_000
+REMEMBERED = 700_000
 
 PIECES = "doc_id {key}, piece int, start long, length long, ids_crc32 long, part int, rank long"
 
 
+#: Letters (A-Z are lower-cased already) and the marks after them; apostrophes and digits are left to the tokenizer.
+_LATIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)")
+
+
+def _decode(word: bytes) -> str:
+    return word.decode("utf-8", "replace")
+
+
 class WordIds(dict):
-    """Ids of white-space separated words as little-endian unsigned 32-bit bytes."""
+    """Places of white-space separated words in a store of their ids; place 0 is the end of a document, id 0.
+
+    A word met for the first time gets a place at once and its ids with the next ``learn``. A word of plain
+    Latin letters with ASCII marks after them has the ids of the letters and those of the marks, as the
+    tokenizer splits there; such parts are far fewer than words, and each ends with a token that ends a word,
+    so many are encoded in one call. Other words are encoded as they are.
+    """
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer
-
-        self.tokenizer = Tokenizer.from_file(path)
-
-    def learn(self, words: set[bytes]) -> None:
-        """Encode words that are not yet known, many in one call; offsets tell the words apart."""
-        new = sorted(words.difference(self))
+        from tokenizers.normalizers import Lowercase
+        from tokenizers.pre_tokenizers import ByteLevel, Sequence, WhitespaceSplit
+
+        self.whole, self.plain = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        # For parts that are one pre-token each and need no other normalisation.
+        self.plain.normalizer = Lowercase()
+        self.plain.pre_tokenizer = Sequence([WhitespaceSplit(), ByteLevel(add_prefix_space=False, use_regex=False)])
+        size = self.whole.get_vocab_size()
+        self.ends = np.zeros(size, bool)
+        for token, i in self.whole.get_vocab().items():
+            self.ends[i] = token.endswith("</w>")
+        self.parts: dict[str, bytes] = {}
+        self.reset()
+
+    def reset(self) -> None:
+        self.clear()
+        self[b""] = 0
+        self.pending: list[bytes] = []
+        self.ids = np.zeros(1, "<u4")
+        self.starts, self.sizes = np.zeros(1, np.int64), np.ones(1, np.int64)
+
+    def __missing__(self, word: bytes) -> int:
+        place = len(self)
+        self[word] = place
+        self.pending.append(word)
+        return place
+
+    def learn(self) -> None:
+        """Find the ids of the words met since the last call."""
+        if len(self.parts) > REMEMBERED:
+            self.parts.clear()
+        letters, marks, others, match = [], [], set(), _LATIN.fullmatch
+        for text in map(_decode, self.pending):
+            if m := match(text):
+                letters.append(m[1].lower())
+                marks.append(m[2])
+            else:
+                letters.append(text)
+                marks.append("")
+                others.add(text)
+        parts = self.parts
+        parts[""] = b""
+        self._encode(sorted({*letters, *marks}.difference(parts, others)))
+        for text in others.difference(parts):
+            parts[text] = np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        get = parts.__getitem__
+        blobs = list(map(add, map(get, letters), map(get, marks)))
+        sizes = np.fromiter(map(len, blobs), np.int64, len(blobs)) // 4
+        self.starts = np.concatenate([self.starts, len(self.ids) + np.cumsum(sizes) - sizes])
+        self.sizes = np.concatenate([self.sizes, sizes])
+        self.ids = np.concatenate([self.ids, np.frombuffer(b"".join(blobs), "<u4")])
+        self.pending = []
+
+    def _encode(self, new: list[str]) -> None:
         for lo in range(0, len(new), 20_000):
-            some = [w.decode("utf-8", "replace") for w in new[lo : lo + 20_000]]
-            begins = np.cumsum([0, *(len(w) + 1 for w in some)])
-            found = self.tokenizer.encode(" ".join(some), add_special_tokens=False)
-            at = np.fromiter((a for a, _ in found.offsets), np.int64, len(found))
-            blob = np.array(found.ids, "<u4").tobytes()
-            edges = (np.searchsorted(at, begins) * 4).tolist()
-            for w, a, b in zip(new[lo : lo + 20_000], edges[:-1], edges[1:]):
-                self[w] = blob[a:b]
+            some = new[lo : lo + 20_000]
+            ids = np.array(self.plain.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            edges = [0, *((np.flatnonzero(self.ends[ids]) + 1) * 4).tolist()]
+            if len(edges) != len(some) + 1:
+                raise ValueError("the vocabulary has no word ends")
+            blob = ids.tobytes()
+            self.parts.update(zip(some, (blob[a:b] for a, b in zip(edges[:-1], edges[1:]))))
+
+    def documents(self, texts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of documents, each with its end, one after the other, and where each begins."""
+        if len(self) > REMEMBERED:
+            self.reset()
+        get = self.__getitem__
+        rows = [np.fromiter(map(get, words), np.int64, len(words)) for words in texts]
+        self.learn()
+        end = np.zeros(1, np.int64)
+        at = np.concatenate([x for r in rows for x in (r, end)])
+        size = self.sizes[at]
+        stop = np.cumsum(size)
+        ids = self.ids[np.repeat(self.starts[at] - (stop - size), size) + np.arange(stop[-1])]
+        last = np.cumsum([len(r) + 1 for r in rows]) - 1
+        return ids, np.concatenate([[0], stop[last]])
 
 
 _tables: dict[str, WordIds] = {}
@@ -76,32 +155,42 @@ def tokenise(path: str, size: int = SIZE):
         table = _tables.get(path)
         if table is None:
             table = _tables[path] = WordIds(path)
+        gc.disable()  # the tables hold millions of small objects and no cycles
         for batch in batches:
             keys = batch.column(0)
             out: list[tuple] = []
-            texts = [_lowered(t) for t in common.byte_rows(batch.column(1))]
-            for lo in range(0, len(texts), 512):
-                some = texts[lo : lo + 512]
-                if len(table) > REMEMBERED:
-                    table.clear()
-                table.learn({w for t in some for w in t})
-                for i, words in enumerate(some, lo):
-                    ids = b"".join(map(table.__getitem__, words)) + b"\0\0\0\0"
-                    for piece, at in enumerate(range(0, len(ids), 4 * size)):
-                        own = ids[at : at + 4 * size]
-                        n = len(own) // 4
-                        r = ranks.get(n, 0)
-                        ranks[n] = r + 1
-                        out.append((i, piece, at // 4, n, zlib.crc32(own), r))
+            for first, texts in _in_parts(batch.column(1)):
+                ids, begins = table.documents(texts)
+                edges = begins.tolist()
+                for i, (lo, hi) in enumerate(zip(edges[:-1], edges[1:]), first):
+                    for piece, at in enumerate(range(lo, hi, size)):
+                        own = ids[at : min(at + size, hi)]
+                        r = ranks.get(len(own), 0)
+                        ranks[len(own)] = r + 1
+                        out.append((i, piece, at - lo, len(own), zlib.crc32(own), r))
             cols = list(zip(*out)) if out else [()] * 6
             yield pa.RecordBatch.from_arrays(
                 [keys.take(pa.array(cols[0], pa.int64())), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.int64()), pa.array([part] * len(out), pa.int32()), pa.array(cols[5], pa.int64())],
                 ["doc_id", "piece", "start", "length", "ids_crc32", "part", "rank"],
             )
+        gc.enable()
 
     return pieces
 
 
+def _in_parts(column: pa.Array, most: int = 6_000_000) -> Iterator[tuple[int, list[list[bytes]]]]:
+    """Texts of a column as words, in groups of about ``most`` bytes, with the first one's row."""
+    first, group, held = 0, [], 0
+    for i, text in enumerate(common.byte_rows(column)):
+        group.append(_lowered(text))
+        held += len(text)
+        if held >= most:
+            yield first, group
+            first, group, held = i + 1, [], 0
+    if group:
+        yield first, group
+
+
 def plan(histogram: dict[int, int], size: int = SIZE) -> list[tuple[tuple[tuple[int, int], ...], int]]:
     """Patterns ``(((length, copies), ...), sequences)`` that hold every piece of the histogram once."""
     left = np.zeros(size + 1, np.int64)
@@ -187,6 +276,7 @@ def slots(patterns: list[tuple[tuple[tuple[int, int], ...], int]]) -> np.ndarray
     return np.array(sorted(rows), np.int64).reshape(-1, 5)
 
 
+@common.cleaned
 def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", size: int = SIZE, vocabulary: str | None = None) -> DataFrame:
     """One row per piece: key, piece, start, length, ids_crc32, sequence_id, offset."""
     import public_tokenizers
