@@ -1,10 +1,8 @@
-"""Helpers shared by the text operators: shared-folder tables, Arrow views, word splitting."""
+"""Helpers shared by the text operators: Arrow views, word splitting, hashing."""
 
 from __future__ import annotations
 
 import re
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,40 +10,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import cleaned, discard, partitions, shared_dir, stored
+
+materialise = stored
+__all__ = ["cleaned", "discard", "materialise", "partitions", "shared_dir"]
+
 #: White space of every contract: blank and the bytes 9 to 13.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only if it is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = spark.sparkContext.getCheckpointDir() if hasattr(spark.sparkContext, "getCheckpointDir") else None
-    if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="skewmap-shared-")
-        spark.sparkContext.setCheckpointDir(found)
-    return found
-
-
-def materialise(df: DataFrame, name: str = "step", **options: str) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it again, which cuts its lineage.
-
-    The files go when the application ends. Columns keep their types; nullability is relaxed.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/skewmap-{name}-{uuid.uuid4().hex}"
-    df.write.options(**options).parquet(path)
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def partitions(spark: SparkSession) -> int:
-    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-
-
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

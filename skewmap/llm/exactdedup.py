@@ -53,6 +53,7 @@ class MergeIndex:
         return self.runs[0]
 
 
+@common.cleaned
 def decide(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per row of ``docs``: key, keep_id, group_size, kept, text_sha256."""
     rows = docs.select(F.col(key).alias("id"), normalised(F.col(text)).alias("t"))

@@ -58,6 +58,7 @@ def _agree(mine: Column, theirs: Column) -> Column:
     return F.when(first == 0, F.size(same)).otherwise(first - 1).cast("int")
 
 
+@common.cleaned
 def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text", window: int = WINDOW, min_words: int = MIN_WORDS, long_words: int = LONG_WORDS, reach: int = REACH) -> DataFrame:
     """Runs to remove: key, lo, hi (lines from lo, before hi) and the first occurrence they repeat."""
     lines = docs.select(F.col(key).alias("id"), lines_of(F.col(text)).alias("l")).where(F.col("id").isNotNull())

@@ -67,6 +67,7 @@ def running_total(rows: DataFrame, queue: str, order: list[str], value: str) ->
     return joined.withColumn("served", F.col("__own") + F.col("__before")).drop("__part", "__own", "__before", "__p", "__q")
 
 
+@common.cleaned
 def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", budget: float = 1.5, repeats: int = 2, weights: tuple[float, ...] = WEIGHTS, cut: str = "word") -> DataFrame:
     """One row per document: key, size, source_size, target, taken, first_finish (virtual time of its first copy, null if not taken)."""
     spark = docs.sparkSession

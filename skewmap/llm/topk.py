@@ -130,6 +130,7 @@ def _search(k: int):
     return lists
 
 
+@common.cleaned
 def top_k(vectors: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id", vector: str = "embedding", scale: int = 64) -> DataFrame:
     """The k best candidates of every query: query_id, rank, key, score."""
     spark = vectors.sparkSession
