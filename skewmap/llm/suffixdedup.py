@@ -49,7 +49,7 @@ LENGTH, GRAM = 100, 20
 #: Bytes that are hashed at a time; a text over it goes in overlapping slices.
 SLICE = 1 << 22
 #: Candidates of one anchor hash that a shard takes, and bytes of a shard.
-CHUNK, SHARD_BYTES = 20_000, 6_000_000
+CHUNK, SHARD_BYTES = 10_000, 2_500_000
 _TABLE = np.random.default_rng(41).integers(1, 2**63, 256, dtype=np.uint64)
 
 
@@ -176,7 +176,7 @@ def suffix_array(text: np.ndarray) -> np.ndarray:
     word = np.zeros(n, np.uint64)
     for i in range(8):
         word[: n - i] |= text[i:].astype(np.uint64) << np.uint64(56 - 8 * i)
-    order = np.argsort(word, kind="stable")
+    order = np.argsort(word)
     s = word[order]
     new = np.concatenate([[True], s[1:] != s[:-1]])
     rank = np.empty(n, np.int64)
@@ -190,9 +190,10 @@ def suffix_array(text: np.ndarray) -> np.ndarray:
         if not len(at):
             break
         suffix = order[at]
-        ahead = np.where(suffix + h < n, rank[np.minimum(suffix + h, n - 1)] + 1, 0)
+        # A suffix that ends within h bytes comes before all that go on, the shorter first.
+        ahead = np.where(suffix < n - h, rank[np.minimum(suffix, max(0, n - 1 - h)) + min(h, n - 1)] + n + 1, n - suffix)
         group = rank[suffix]
-        again = np.argsort(group * np.int64(n + 1) + ahead, kind="stable")
+        again = np.argsort(group * np.int64(2 * n + 2) + ahead)
         suffix, ahead, group = suffix[again], ahead[again], group[again]
         order[at] = suffix
         split = np.concatenate([[True], (group[1:] != group[:-1]) | (ahead[1:] != ahead[:-1])])
@@ -246,8 +247,16 @@ def first_windows(segments: list[bytes], keys: np.ndarray, marks: np.ndarray, st
     window = place[order] <= sizes[owner[order]] - length
     at, label = order[window], label[window]
     seg, off = owner[at], place[at]
-    by = np.lexsort((starts[seg] + off, marks[seg], keys[seg], label))
-    first = by[np.concatenate([[True], label[by][1:] != label[by][:-1]])]
+    if not len(seg):
+        return seg, off, label
+    # Labels rise along the order, so the least standing of each class comes from one pass.
+    by = np.lexsort((marks, keys))
+    document = np.empty(len(keys), np.int64)
+    document[by] = np.cumsum(np.concatenate([[False], (keys[by][1:] != keys[by][:-1]) | (marks[by][1:] != marks[by][:-1])]))
+    standing = (document[seg] << 40) | (starts[seg] + off)
+    begins = np.flatnonzero(np.concatenate([[True], label[1:] != label[:-1]]))
+    least = np.repeat(np.minimum.reduceat(standing, begins), np.diff(np.append(begins, len(label))))
+    first = standing == least
     return seg[first], off[first], label[first]
 
 
@@ -387,6 +396,7 @@ def _finish(length: int, text_wanted: bool):
     return run
 
 
+@common.cleaned
 def remove_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", length: int = LENGTH, gram: int = GRAM, chunk: int = CHUNK, shard_bytes: int = SHARD_BYTES, with_text: bool = False) -> DataFrame:
     """One row per document: key, n_bytes, n_removed, n_spans, kept_sha256 (and ``kept``, the bytes that stay)."""
     spark = docs.sparkSession
