@@ -160,8 +160,15 @@ class LanguageIdentifier:
             labelled.select(F.col(lang).cast("string").alias("l"), F.col(text).alias("t"), F.xxhash64(F.col(key).cast("string"), F.lit(11)).alias("h"), F.col(key).cast("string").alias("k"))
             .where(F.col("l").isNotNull() & F.col("t").isNotNull() & (F.octet_length("t") <= max_bytes))
         )
+        # Hashes under a limit that leaves a few times max_docs of a language: the window is small whatever the input.
+        sizes = rows.groupBy("l").agg(F.count(F.lit(1)).alias("docs")).collect()
+        cond = F.lit(False)
+        for r in sizes:
+            limit = min(2**63 - 1, int(4 * max_docs / r["docs"] * 2**64) - 2**63)
+            cond = cond | ((F.col("l") == r["l"]) & (F.col("h") <= F.lit(limit)))
+        few = rows.where(cond).select("l", "h", "k", F.octet_length("t").cast("long").alias("n"))
         # Keys first and texts after: the window never carries the texts.
-        chosen = rows.select("l", "h", "k", F.octet_length("t").cast("long").alias("n")).withColumn("r", F.row_number().over(order)).where(F.col("r") <= max_docs)
+        chosen = few.withColumn("r", F.row_number().over(order)).where(F.col("r") <= max_docs)
         chosen = chosen.withColumn("sum", F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, Window.currentRow))).where(F.col("sum") <= max_bytes)
         picked = chosen.agg(F.max("h").alias("h")).first()
         texts: dict[str, list[bytes]] = {}
