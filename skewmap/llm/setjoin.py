@@ -110,53 +110,57 @@ class Order:
         return out
 
 
-def _lists(order):
-    """For ``mapInArrow`` from (id, text): rows of kind 0 (a document's set) and kind 1 (an index entry)."""
+def _sets(order):
+    """For ``mapInArrow`` from (id, text): each document's set as (id, mark, n, tokens), tokens being its index entries in order."""
 
     def entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ranks: Order = order.value
         seen: set[bytes] = set()
         for batch in batches:
-            ids = batch.column(0)
-            sizes, prints, cols = [], [], []
-            for i, text in enumerate(common.byte_rows(batch.column(1))):
+            sizes, prints, lists = [], [], []
+            for text in common.byte_rows(batch.column(1)):
                 s = shingles(text)
                 mark = xxhash.xxh3_128_digest(s.tobytes()) if len(s) else b""
                 sizes.append(len(s))
                 prints.append(mark)
                 if len(s) and mark not in seen:  # equal sets of a task stand on the lists once
                     seen.add(mark)
-                    p = prefix_length(len(s))
-                    key = np.sort(ranks.keys(s))[:p]
-                    cols.append((np.full(p, i), key.view(np.int64), (np.int64(len(s)) << 24) | np.arange(p)))
-            n = len(sizes)
-            yield pa.RecordBatch.from_arrays([ids, pa.array(np.zeros(n, np.int8)), pa.array(prints, pa.binary()), pa.nulls(n, pa.int64()), pa.array(sizes, pa.int64())], ["id", "kind", "mark", "token", "at"])
-            if cols:
-                row, token, at = (np.concatenate(x) for x in zip(*cols))
-                yield pa.RecordBatch.from_arrays([ids.take(pa.array(row)), pa.array(np.ones(len(row), np.int8)), pa.nulls(len(row), pa.binary()), pa.array(token), pa.array(at)], ["id", "kind", "mark", "token", "at"])
+                    lists.append(np.sort(ranks.keys(s))[: prefix_length(len(s))].view(np.int64))
+                else:
+                    lists.append(np.zeros(0, np.int64))
+            edges = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
+            flat = np.concatenate(lists) if lists else np.zeros(0, np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints, pa.binary()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(edges), pa.array(flat))], ["id", "mark", "n", "tokens"])
 
     return entries
 
 
-def _groups(batches: Iterator[pa.RecordBatch], names: list[str]) -> Iterator[list[np.ndarray]]:
-    """Runs of equal tokens of a stream sorted by token, as arrays of the named columns; single rows are left out."""
+def _runs(batches: Iterator[pa.RecordBatch], names: list[str]) -> Iterator[tuple[list[np.ndarray], np.ndarray]]:
+    """Whole runs of equal tokens of a stream sorted by token, many at a time, and where each run starts.
+
+    Runs of one row are left out. A run is held until it is complete.
+    """
     held: list[np.ndarray] | None = None
+
+    def whole(cols: list[np.ndarray]):
+        token = cols[0]
+        start = np.concatenate([[True], token[1:] != token[:-1]])
+        keep = ~(start & np.append(start[1:], True))
+        if keep.any():
+            yield [c[keep] for c in cols], np.flatnonzero(start[keep])
+
     for batch in batches:
         cols = [batch.column(n).to_numpy(zero_copy_only=False) for n in names]
         if held is not None:
             cols = [np.concatenate([a, b]) for a, b in zip(held, cols)]
-        token = cols[0]
-        if not len(token):
+        if not len(cols[0]):
             continue
-        edges = np.flatnonzero(token[1:] != token[:-1]) + 1
-        last = edges[-1] if len(edges) else 0
-        starts = np.concatenate([[0], edges[:-1]]) if len(edges) else edges
-        for a, b in zip(starts, edges):
-            if b - a > 1:
-                yield [c[a:b] for c in cols]
-        held = [c[last:] for c in cols]
-    if held is not None and len(held[0]) > 1:
-        yield held
+        cut = int(np.searchsorted(cols[0], cols[0][-1]))  # the last run may go on
+        if cut:
+            yield from whole([c[:cut] for c in cols])
+        held = [c[cut:] for c in cols]
+    if held is not None and len(held[0]):
+        yield from whole(held)
 
 
 def _possible(size_a, pos_a, size_b, pos_b) -> np.ndarray:
@@ -174,24 +178,17 @@ def _pair_batch(a, b, na, nb) -> pa.RecordBatch:
 
 def _hub_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each entry with the hub of its list and size class: one pair for an entry."""
-    out: list[tuple] = []
-    held = 0
-    for _, ids, at in _groups(batches, ["token", "id", "at"]):
+    for (token, ids, at), _ in _runs(batches, ["token", "id", "at"]):
         size, pos = at >> 24, at & 0xFFFFFF
         for shift in (0.0, 0.5):  # two ways to cut sizes into classes, so that near sizes share one
-            band = np.floor(np.log(size) / np.log(1.3) + shift)
-            order = np.lexsort((ids, band))
-            first = np.concatenate([[True], band[order][1:] != band[order][:-1]])
+            band = np.floor(np.log(size) / np.log(1.3) + shift).astype(np.int64)
+            order = np.lexsort((ids, band, token))
+            t, b = token[order], band[order]
+            first = np.concatenate([[True], (t[1:] != t[:-1]) | (b[1:] != b[:-1])])
             hub = order[np.flatnonzero(first)[np.cumsum(first) - 1]]
             ok = (ids[hub] != ids[order]) & _possible(size[hub], pos[hub], size[order], pos[order])
             if ok.any():
-                out.append((ids[hub][ok], ids[order][ok], size[hub][ok], size[order][ok]))
-                held += len(out[-1][0])
-        if held > 200_000:
-            yield _pair_batch(*(np.concatenate(x) for x in zip(*out)))
-            out, held = [], 0
-    if out:
-        yield _pair_batch(*(np.concatenate(x) for x in zip(*out)))
+                yield _pair_batch(ids[hub][ok], ids[order][ok], size[hub][ok], size[order][ok])
 
 
 def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterator[pa.RecordBatch]:
@@ -202,30 +199,32 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterat
     out: list[tuple] = []
     held = 0
     num, den = SHARE
-    for _, ids, at, comp in _groups(batches, ["token", "id", "at", "component"]):
-        if (comp == comp[0]).all():
-            continue
-        order = np.lexsort((ids, at))
-        ids, at, comp = ids[order], at[order], comp[order]
-        size = at >> 24
-        for i in range(0, len(ids), block):
-            a = slice(i, i + block)
-            most = size[a][-1] * den // num  # beyond it no set of this block has a partner
-            for j in range(i, len(ids), block):
-                b = slice(j, j + block)
-                if size[b][0] > most:
-                    break
-                small, large = np.minimum(size[a][:, None], size[b][None, :]), np.maximum(size[a][:, None], size[b][None, :])
-                ok = (comp[a][:, None] != comp[b][None, :]) & (large * num <= small * den)
-                if i == j:
-                    ok = np.triu(ok, 1)
-                x, y = np.nonzero(ok)
-                if len(x):
-                    out.append((ids[a][x], ids[b][y], size[a][x], size[b][y]))
-                    held += len(x)
-                if held > 200_000:
-                    yield _pair_batch(*(np.concatenate(z) for z in zip(*out)))
-                    out, held = [], 0
+    for cols, starts in _runs(batches, ["token", "id", "at", "component"]):
+        ends = np.append(starts[1:], len(cols[0]))
+        mixed = np.minimum.reduceat(cols[3], starts) != np.maximum.reduceat(cols[3], starts)
+        for lo, hi in zip(starts[mixed].tolist(), ends[mixed].tolist()):
+            ids, at, comp = (c[lo:hi] for c in cols[1:])
+            order = np.lexsort((ids, at))
+            ids, at, comp = ids[order], at[order], comp[order]
+            size = at >> 24
+            for i in range(0, len(ids), block):
+                a = slice(i, i + block)
+                most = size[a][-1] * den // num  # beyond it no set of this block has a partner
+                for j in range(i, len(ids), block):
+                    b = slice(j, j + block)
+                    if size[b][0] > most:
+                        break
+                    # Sizes rise along the list, so the first of a pair is the smaller.
+                    ok = (comp[a][:, None] != comp[b][None, :]) & (size[b][None, :] * num <= size[a][:, None] * den)
+                    if i == j:
+                        ok = np.triu(ok, 1)
+                    x, y = np.nonzero(ok)
+                    if len(x):
+                        out.append((ids[a][x], ids[b][y], size[a][x], size[b][y]))
+                        held += len(x)
+                    if held > 200_000:
+                        yield _pair_batch(*(np.concatenate(z) for z in zip(*out)))
+                        out, held = [], 0
     if out:
         yield _pair_batch(*(np.concatenate(z) for z in zip(*out)))
 
@@ -275,29 +274,25 @@ def connected(edges: DataFrame) -> DataFrame:
             return labels
 
 
+@common.cleaned
 def components(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per document: key, n_shingles, component_id."""
     spark = docs.sparkSession
     n = common.partitions(spark)
     rows = docs.select(F.col(key).cast("long").alias("id"), F.col(text).cast("string").alias("text"))
     order = spark.sparkContext.broadcast(Order(_common_shingles(rows)))
-    made = common.materialise(rows.mapInArrow(_lists(order), "id long, kind byte, mark binary, token long, at long"), "lists")
-    sets = made.where(F.col("kind") == 0).select("id", "mark", F.col("at").alias("n_shingles"))
+    made = common.materialise(rows.mapInArrow(_sets(order), "id long, mark binary, n long, tokens array<long>"), "sets")
+    sets = common.materialise(made.select("id", "mark", F.col("n").alias("n_shingles")), "marks")
     classes = common.materialise(sets.where(F.octet_length("mark") > 0).groupBy("mark").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("copies")), "classes")
-    lists = made.where((F.col("kind") == 1) & F.col("id").isNotNull()).select("token", "id", "at")
+    entries = made.where(F.col("id").isNotNull()).select("id", "n", F.posexplode("tokens").alias("p", "token"))
+    lists = entries.select("token", "id", F.shiftleft("n", 24).bitwiseOR(F.col("p").cast("long")).alias("at"))
 
     def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out, held = [], 0
-        for cols in _groups(batches, ["token", "id", "at"]):
-            out.append(cols)
-            held += len(cols[0])
-            if held > 200_000:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], ["token", "id", "at"])
-                out, held = [], 0
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], ["token", "id", "at"])
+        for cols, _ in _runs(batches, ["token", "id", "at"]):
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["token", "id", "at"])
 
     lists = common.materialise(lists.repartition(n, "token").sortWithinPartitions("token").mapInArrow(shared, "token long, id long, at long"), "shared")
+    common.discard(made)
     # Lists hold one document of a class for each input task; from here on the class's smallest identifier.
     rep = sets.where(F.octet_length("mark") > 0).join(classes.where(F.col("copies") > 1), "mark").where(F.col("id") != F.col("rep")).select("id", "rep")
     lists = lists.join(rep, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "at").groupBy("token", "id").agg(F.min("at").alias("at"))
