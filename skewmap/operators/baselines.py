@@ -61,6 +61,7 @@ def _vertices(h: np.ndarray, seed: int, third: int) -> np.ndarray:
 
 def perfect_hash(h: np.ndarray) -> tuple[int, int, np.ndarray]:
     """Seed, third, and a selector 0-2 for every vertex (3: owned by no key) of a hash without collisions on ``h``."""
+    h = hashing.prepared(h)
     for seed in range(200):
         third = max(2, math.ceil(1.23 * len(h) / 3) + 1 + seed // 20)
         at = _vertices(h, seed, third)

@@ -70,7 +70,7 @@ def _bloom_bits(h: np.ndarray, seed: int, cells: int, hashes: int) -> np.ndarray
 
 def build(family: str, param: float, h: np.ndarray, seed: int = 0) -> bytes:
     """Gate over distinct key hashes: a header (seed, cells, segment length) and the cells."""
-    h = np.unique(h)
+    h = hashing.prepared(np.unique(h))
     if not len(h):
         return b""
     if family.startswith("bloom"):
@@ -102,6 +102,7 @@ def probe(family: str, param: float, gate: bytes, h: np.ndarray) -> np.ndarray:
     if not gate:
         return np.zeros(len(h), bool)
     seed, cells, length = struct.unpack_from("<III", gate)
+    h = hashing.prepared(h)
     if family.startswith("bloom"):
         bits = np.unpackbits(np.frombuffer(gate, np.uint8, offset=12), bitorder="little", count=cells)
         return bits[_bloom_bits(h, seed, cells, int(family[5:]))].all(1)

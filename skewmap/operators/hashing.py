@@ -23,11 +23,19 @@ def _hash_long(x: np.ndarray, seed: np.ndarray) -> np.ndarray:
         return h ^ (h >> np.uint64(32))
 
 
+def prepared(h: np.ndarray) -> np.ndarray:
+    """First half of ``xxhash64(h, ...)``, as uint64, to be shared by hashes of the same longs; idempotent."""
+    h = np.asarray(h)
+    if h.dtype == np.uint64:
+        return h
+    h = h.astype(np.int64).astype(np.uint64)
+    return _hash_long(h, np.full(h.shape, 42, np.uint64))
+
+
 def xxhash64(first, second) -> np.ndarray:
-    """``xxhash64(first, second)`` of two longs, as uint64; the seed of Spark's function is 42."""
-    a, b = (np.asarray(x, np.int64).astype(np.uint64) for x in (first, second))
-    a, b = np.broadcast_arrays(a, b)
-    return _hash_long(b, _hash_long(a, np.full(a.shape, 42, np.uint64)))
+    """``xxhash64(first, second)`` of two longs, as uint64 (the seed of Spark's function is 42); ``first`` may be prepared."""
+    first = prepared(first)
+    return _hash_long(np.asarray(second, np.int64).astype(np.uint64), first)
 
 
 def reduce_to(h: np.ndarray, n) -> np.ndarray:

@@ -54,6 +54,7 @@ def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
 
 def solve_shard(h: np.ndarray, sizes: np.ndarray, codes: np.ndarray, hashes: int) -> bytes:
     """Cells of a shard whose keys have codewords of given sizes: header, bucket table, packed cells."""
+    h = hashing.prepared(h)
     total = int(sizes.sum())
     buckets = max(1, round(total / BUCKET_BITS))
     own = bucket_of(h, buckets)
@@ -97,6 +98,7 @@ def read_shard(data: bytes, h: np.ndarray, code: huffman.Code, hashes: int) -> n
     counts = np.frombuffer(data, "<u4", buckets, 4 + 2 * buckets).astype(np.int64)
     bits = np.unpackbits(np.frombuffer(data, np.uint8, offset=4 + 6 * buckets), bitorder="little")
     base = np.cumsum(counts) - counts
+    h = hashing.prepared(h)
     own = bucket_of(h, buckets)
     n, first_rank, first_code = code.table()
     out = np.zeros(len(h), np.int64)
@@ -244,7 +246,7 @@ def _lookup(m: Manifest, extra: list[str]):
     def run(keys: pa.Table, shard: pa.Table) -> pa.Table:
         rank = np.zeros(keys.num_rows, np.int64)
         if shard.num_rows and keys.num_rows:
-            h = _column(keys, "__h")
+            h = hashing.prepared(_column(keys, "__h"))
             passed = np.arange(len(h))
             if plan.use_gate:
                 passed = np.flatnonzero(gates.probe(plan.family, plan.param, shard.column("gate")[0].as_py() or b"", h))

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import gates, huffman
+from . import gates, hashing, huffman
 from .index import Index, Plan, model_bits, read_shard
 
 
@@ -89,6 +89,7 @@ def _inside(index: Index, keys: DataFrame) -> float:
         h = k.column("h").to_numpy()
         began = time.perf_counter_ns()
         if s.num_rows and len(h):
+            h = hashing.prepared(h)
             passed = np.arange(len(h))
             if plan.use_gate:
                 passed = np.flatnonzero(gates.probe(plan.family, plan.param, s.column("gate")[0].as_py() or b"", h))
