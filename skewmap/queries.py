@@ -502,6 +502,38 @@ def _exhaustive(name: str) -> Query:
     return run
 
 
+def _predicted(spark, sf_dir):
+    """Bits saved in all at N = 1,000,000: at least and at most."""
+    from .functions.bounds import predict_savings
+
+    g = _grid(ship(spark))
+    low, high = predict_savings(F.lit(1_000_000.0), F.col("alpha"), F.col("eps"), F.col("bits"), F.lit(_RATIO))
+    return g.select("alpha", "family", "param", F.round(low, 1).alias("at_least"), F.round(high, 1).alias("at_most"))
+
+
+def _fpr(spark, sf_dir):
+    """Dominant keys that pass each gate, against the promised rate."""
+    df, spec = _base(spark, sf_dir, "part_supp")
+    df = df.cache()
+    rows = [(f, abs(measure.observed_fpr(index.build(df, spec, p := _gate(f))) - p.eps) < 0.02) for f in GATED]
+    df.unpersist()
+    return _frame(spark, rows, "family string, as_promised boolean")
+
+
+def _ordinal_model(spark, sf_dir):
+    """Model-coded map of folded 8-mers with the place of each letter as features."""
+    df, spec = _base(spark, sf_dir, "fold8")
+    return baselines.ModelCodedMap.build(df, spec, (50,), baselines.ordinal_features(F.col("kmer"), 8), 8).lookup(df.select("kmer"))
+
+
+def _vector_model(spark, sf_dir):
+    """Model-coded map of vector labels, the vector being part of the key and the model's features."""
+    df = tables.table(ship(spark), sf_dir, "embeddings", "vec_id", "embedding", "label")
+    spec = KeyValueSpec(("vec_id", "embedding"), "label")
+    features = F.transform("embedding", lambda x: x.cast("double"))
+    return baselines.ModelCodedMap.build(df, spec, (), features, 64).lookup(df.select("vec_id", "embedding")).select("vec_id", "label")
+
+
 # ---------------------------------------------------------------- registry
 
 
@@ -541,6 +573,7 @@ def queries() -> dict[str, Query]:
         "bpk_table": lambda s, d: method_table(ship(s), d, ("part_supp",)), "pareto_front": lambda s, d: measure.pareto_front(method_table(ship(s), d, ("part_supp",), ("gap", "hash_table", "perfect_hash"))),
         "ratio_table": lambda s, d: measure.ratio_table(method_table(ship(s), d, ("part_supp",), ("gap", "hash_table", "perfect_hash")), "gap"),
     }
+    q |= {"predicted_savings": _predicted, "gate_rates": _fpr, "lookup_model_coded_ordinal_fold8": _ordinal_model, "lookup_model_coded_features_vec_label": _vector_model}
     for k in ("kmer8", "kmer12", "fold8", "fold12"):
         q[f"{k}_counts"] = lambda s, d, k=k: tables.workload(ship(s), d, k)[0]
     q["benchmark_kmer_flags"] = lambda s, d: tables.workload(ship(s), d, "bench_flag")[0].groupBy("hit").agg(F.count(F.lit(1)).alias("n"))
@@ -582,6 +615,9 @@ def oracle_sql() -> dict[str, str]:
     o |= {"gap_plan_alpha_sweep": _ALPHA_SWEEP_SQL, "break_even_alpha": _BREAK_EVEN_SQL, "gap_plan_continuous": _CONTINUOUS_SQL, "plan_disagreement": _disagreement_sql()}
     o["entropy_fit_equivalence"] = "SELECT CAST(99 * 41 AS BIGINT) AS cells, CAST(0 AS BIGINT) AS disagreements"
     o |= {"bounds_containment": _CONTAINMENT_SQL, "decision_harm": _NO_HARM_SQL, "parameter_regret": "SELECT true AS small_regret, true AS near", "heuristic_harm": "SELECT true AS harms, true AS about_a_bit", "exactness_by_method": _EXACT_SQL}
+    low, high = f"alpha * {DELTA3} * (1 - eps) - (1 - alpha) * bits - {_RATIO}", UPPER_SQL["binary_entropy"]
+    o["predicted_savings"] = f"SELECT alpha, family, param, round(1000000 * ({low}), 1) AS at_least, round(1000000 * ({high}), 1) AS at_most FROM {_GRID_SQL}"
+    o["gate_rates"] = "SELECT family, true AS as_promised FROM (VALUES ('xor'), ('fuse3'), ('fuse4'), ('bloom1'), ('bloom3')) f(family)"
     o["sketch_profile"] = "SELECT workload, true AS same_count, true AS share_below, true AS values_above FROM (VALUES ('lang'), ('part_supp'), ('returnflag')) w(workload)"
     k15 = "SELECT DISTINCT substr(text, CAST(unnest(range(1, length(text) - 13)) AS BIGINT), 15) AS kmer FROM {} WHERE length(text) >= 15"
     o["benchmark_kmer_flags"] = f"WITH d AS ({k15.format('documents')}), b AS ({k15.format('benchmark')}) SELECT b.kmer IS NOT NULL AS hit, count(*) AS n FROM d LEFT JOIN b USING (kmer) GROUP BY 1"
