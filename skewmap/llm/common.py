@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -55,6 +55,21 @@ def words_of(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
+_caches: dict[str, Callable[[], None]] = {}
+
+
+def remember(owner: str, forget: Callable[[], None]) -> None:
+    """Tell how an operator's tables in this worker are emptied."""
+    _caches[owner] = forget
+
+
+def only(owner: str) -> None:
+    """Empty the tables that other operators left in this worker: workers live on from one operator to the next."""
+    for name, forget in _caches.items():
+        if name != owner:
+            forget()
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Finalising mixer over uint64 (multiply and xor-shift rounds)."""
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)

@@ -187,6 +187,7 @@ class LanguageIdentifier:
 
         @F.arrow_udf(RESULT)
         def score(texts: pa.Array) -> pa.Array:
+            common.only("langid")
             return handle.value.predict(texts)
 
         return score(column)

@@ -139,6 +139,7 @@ class WordIds(dict):
 
 
 _tables: dict[str, WordIds] = {}
+common.remember("packing", _tables.clear)
 
 
 def _lowered(text: bytes) -> list[bytes]:
@@ -150,6 +151,7 @@ def tokenise(path: str, size: int = SIZE):
     """Function for ``mapInArrow`` from (key, text) to pieces."""
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.only("packing")
         part = TaskContext.get().partitionId()
         ranks: dict[int, int] = {}
         table = _tables.get(path)

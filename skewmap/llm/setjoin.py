@@ -47,6 +47,7 @@ class WordHashes(dict):
 
 
 _hashes = WordHashes()
+common.remember("setjoin", _hashes.clear)
 
 
 def shingles(text: bytes, words: int = WORDS) -> np.ndarray:
@@ -114,6 +115,7 @@ def _sets(order):
     """For ``mapInArrow`` from (id, text): each document's set as (id, mark, n, tokens), tokens being its index entries in order."""
 
     def entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.only("setjoin")
         ranks: Order = order.value
         seen: set[bytes] = set()
         for batch in batches:

@@ -92,6 +92,7 @@ def _segments(length: int, gram: int):
     """For ``mapInArrow`` over (key, mark, bytes): one row per distinct segment of a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.only("suffixdedup")
         for batch in batches:
             raw, offs = common.utf8_view(batch.column(2))
             marks = batch.column(1).to_numpy(zero_copy_only=False)
