@@ -36,6 +36,8 @@ from . import common
 
 #: The end mark as a word; no word holds white space.
 END = b"\n"
+#: Words whose classes a worker remembers before it starts anew.
+REMEMBERED = 300_000
 
 
 @dataclass
@@ -54,25 +56,43 @@ class Vocabulary:
     def classes(self) -> int:
         return len(self.counts) + self.rest
 
-    def rest_class(self, word: bytes) -> int:
-        return len(self.counts) + zlib.crc32(word[-3:]) % self.rest
-
     def encode(self, words: list[bytes]) -> np.ndarray:
-        get, other = self.words.get, self.rest_class
-        out = np.fromiter((c if (c := get(w)) is not None else other(w) for w in words), np.int32, len(words))
-        return np.append(out, np.int32(0))
+        """Classes of a text's words and its end."""
+        known = getattr(self, "_known", None)
+        if known is None or len(known) > REMEMBERED:
+            known = self._known = Classes(self)
+        out = np.empty(len(words) + 1, np.int32)
+        out[:-1] = np.fromiter(map(known.__getitem__, words), np.int32, len(words))
+        out[-1] = 0
+        return out
 
     def within(self) -> np.ndarray:
         """log10 of one share of each class; a word's own share is added as log10(count + 1)."""
         top = -np.log10(np.maximum(1.0, self.counts + 1.0))
         return np.concatenate([top, -np.log10(self.rest_tokens + self.rest_words + 1.0)])
 
+    def spare(self) -> np.ndarray:
+        """Add-one counts of each class: one a known word, and one for unknown words of the class."""
+        return np.concatenate([np.ones(len(self.counts)), self.rest_words + 1.0])
+
     def base(self) -> np.ndarray:
         """Class probabilities of the unigram counts."""
-        p = np.concatenate([self.counts + 1.0, self.rest_tokens + self.rest_words + 1.0])
+        p = np.concatenate([self.counts, self.rest_tokens]) + self.spare()
         return p / p.sum()
 
 
+class Classes(dict):
+    """Classes of words; those of rare words are worked out when first met."""
+
+    def __init__(self, vocabulary: Vocabulary) -> None:
+        super().__init__(vocabulary.words)
+        self.first, self.rest = len(vocabulary.counts), vocabulary.rest
+
+    def __missing__(self, word: bytes) -> int:
+        c = self[word] = self.first + zlib.crc32(word[-3:]) % self.rest
+        return c
+
+
 @dataclass
 class Model:
     start: np.ndarray
@@ -145,9 +165,16 @@ def expected(model: Model, texts: list[np.ndarray], classes: int) -> tuple[np.nd
     return gamma[: offsets[1]].sum(0), moves, emit
 
 
-def update(start: np.ndarray, moves: np.ndarray, emit: np.ndarray, base: np.ndarray, prior: float = 50.0) -> Model:
-    """New tables from counts, the unigram distribution standing for ``prior`` tokens of each state."""
-    s, m, e = start + 1.0, moves + 1.0, emit + prior * base[:, None]
+def update(start: np.ndarray, moves: np.ndarray, emit: np.ndarray, spare: np.ndarray, shrink: float = 4.0) -> Model:
+    """New tables from counts.
+
+    ``shrink`` tokens of each class are dealt to the states by their sizes, so that classes seen a few times do
+    not tie themselves to a state; the add-one counts ``spare`` of the classes are dealt likewise.
+    """
+    total = emit.sum(1, keepdims=True)
+    share = emit.sum(0) / max(1e-300, emit.sum())
+    held = total * (emit + shrink * share) / np.maximum(total + shrink, 1e-300)
+    s, m, e = start + 1.0, moves + 1.0, held + np.maximum(share, 1e-9) * spare[:, None]
     return Model(s / s.sum(), m / m.sum(1, keepdims=True), e / e.sum(0))
 
 
@@ -164,8 +191,9 @@ def _in_groups(texts: list[np.ndarray], tokens: int = 400_000) -> Iterator[list[
         yield group
 
 
-def _words(column: pa.Array) -> list[list[bytes]]:
-    return [common.words_of(t) for t in common.byte_rows(column)]
+def _words(column: pa.Array) -> Iterator[list[bytes]]:
+    """Words of each text, one text at a time: a batch's words together would take many times its bytes."""
+    return map(common.words_of, common.byte_rows(column))
 
 
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -184,6 +212,7 @@ def _counting(model, vocabulary):
     """For ``mapInArrow`` over texts: a task's expected counts as blocks of the emission table, block -1 for start and moves."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.only("hmm")
         m, v = model.value, vocabulary.value
         k, total = len(m.start), None
         for batch in batches:
@@ -282,6 +311,7 @@ def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024)
     return Vocabulary({w: i for i, (w, _) in enumerate(top, 1)}, np.array([ends, *(c for _, c in top)], float), rest, tokens, words, totals["n"] or 0, totals["v"] or 0)
 
 
+@common.cleaned
 def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 2, sampled: int = 1500, sample_rounds: int = 12) -> DataFrame:
     """One row per document: key, n_tokens, n_known, train_tokens, base_score, score. ``training`` is a boolean column."""
     spark = docs.sparkSession
@@ -293,12 +323,15 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
     v = fit_vocabulary(counts)
     vocabulary = spark.sparkContext.broadcast(v)
     # First estimates from a bounded sample: the documents of smallest key hash.
-    some = rows.where(F.col("train") & (F.octet_length("t") <= 200_000)).select("t", F.xxhash64(F.col("id").cast("string"), F.lit(19)).alias("h")).orderBy("h").limit(sampled)
+    order = F.xxhash64(F.col("id").cast("string"), F.lit(19))
+    short = rows.where(F.col("train") & (F.octet_length("t") <= 200_000)).select("t", order.alias("h"))
+    last = short.select("h").orderBy("h").limit(sampled).agg(F.max("h")).first()[0]  # hashes only: texts stay where they are
+    some = short.where(F.col("h") <= F.lit(last)).select("t").limit(2 * sampled) if last is not None else short.select("t").limit(0)
     sample = [v.encode(common.words_of((r["t"] or "").encode())) for r in some.collect()]
-    model, base = initial(v, states), v.base()
+    model, spare = initial(v, states), v.spare()
     for _ in range(sample_rounds if sample else 0):
         got = [expected(model, g, v.classes) for g in _in_groups(sample)]
-        model = update(*(sum(x[1:], x[0]) for x in zip(*got)), base)
+        model = update(*(sum(x[1:], x[0]) for x in zip(*got)), spare)
     for _ in range(rounds):
         handle = spark.sparkContext.broadcast(model)
         schema = "block int, salt int, counts binary"
@@ -309,7 +342,7 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
             break
         first = found.pop(-1)
         emit = np.concatenate([found[i] for i in sorted(found)]).reshape(-1, states)
-        model = update(first[:states], first[states:].reshape(states, states), emit, base)
+        model = update(first[:states], first[states:].reshape(states, states), emit, spare)
     handle = spark.sparkContext.broadcast(model)
     pairs = rows.select("id", "t")
     rare = pairs.mapInArrow(_postings(vocabulary), "word binary, rows array<long>").join(counts, "word", "left")
