@@ -1,21 +1,20 @@
-"""Removal of repeated runs of lines by winnowing, in DataFrame operations only.
+"""Removal of repeated runs of lines by fingerprints of whole passages, in DataFrame operations only.
 
-A line's hash stands for it. Of every window of ``window`` consecutive lines the smallest hash is a
-fingerprint (of equal ones the last), so a repeated run of at least ``window`` lines always has
-one at the same place in every occurrence. Each later occurrence of a fingerprint is joined with its first
-occurrence (smallest key, then line), never with all others, so a common line gives one match per
-occurrence. A line of ``long_words`` words or more is a fingerprint too, as it can be a passage by itself.
-A match is extended line by line both ways while the lines agree; a run of at least ``min_words`` words
-that has ``window`` lines or a long one is a repeat, and the later document loses its lines.
+A line's hash stands for it. A passage counts if it has ``window`` lines or one of ``long_words`` words, and
+``min_words`` words in all. Fingerprints are the hashes of all lines of the least passages that count: from
+every line the shortest that begins there, and to every line the shortest that ends there, at most two a
+line. A repeated run that counts is the union of the least passages inside it, and those are chosen by their
+own lines only, so every copy of the run has the same. As a fingerprint stands for its whole passage, every
+occurrence but the first (smallest key, then line) is a repeat of the first, and the later lines go; nothing
+is compared with more than the first occurrence, so a common line or passage gives one match per occurrence.
+This is winnowing with windows of one fingerprint: any thinning would lose runs of the least length.
 
-Only texts' line hashes move, not the texts: a document's hashes are one array, and the first occurrence
-sends the ``reach`` hashes around the fingerprint with it. Longer runs hold further fingerprints, each of
-which extends over its own surroundings, so their union covers the run.
+Only fingerprints and places move, neither texts nor lines.
 
 Defined results: lines are cut at line feeds and compared after trimming blanks, tabs and carriage
-returns; blank lines separate runs and are never removed; null texts have no line; within one document a
-repeat loses the later lines, overlapping occurrences included; rows that repeat a key are compared as
-one occurrence; an empty table gives no rows; extra columns are ignored.
+returns; lines without a word are blank; blank lines separate runs and are never removed; null texts have no
+line; within one document a repeat loses the later lines, overlapping occurrences included; rows that repeat
+a key are compared as one occurrence; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,64 +24,64 @@ from pyspark.sql import functions as F
 
 from . import common
 
-WINDOW, MIN_WORDS, LONG_WORDS, REACH = 2, 20, 25, 16
+WINDOW, MIN_WORDS, LONG_WORDS = 2, 20, 25
 
 
 def lines_of(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
 
 
+def _words(line: Column) -> Column:
+    return F.size(F.regexp_extract_all(line, F.lit(f"({common.WORD})"), F.lit(1)))
+
+
 def hashes_of(lines: Column) -> Column:
     """Hash of each trimmed line; blank lines are null."""
     return F.transform(lines, lambda x: F.when(F.trim(x, F.lit(" \t\r")) != "", F.xxhash64(F.trim(x, F.lit(" \t\r")))))
 
 
-def _fingerprints(window: int, long_words: int) -> Column:
-    """Places (from 0) of long lines, and of the minima of all windows of the array ``h`` that hold no blank line."""
-    at = F.sequence(F.lit(0), F.size("h") - window)
+def _ends(window: int, min_words: int, long_words: int) -> Column:
+    """For each place of the array ``w`` of words a line, where the shortest passage that begins there ends; null if none counts."""
+
+    def counts(x: Column) -> Column:
+        return ((x["n"] >= window) | x["long"]) & (x["words"] >= min_words)
+
+    def longer(x: Column, words: Column) -> Column:
+        more = F.struct((x["n"] + 1).alias("n"), (x["words"] + words).alias("words"), (x["long"] | (words >= long_words)).alias("long"))
+        return F.when(counts(x), x).otherwise(more)
+
+    none = F.struct(F.lit(0).alias("n"), F.lit(0).alias("words"), F.lit(False).alias("long"))
+    # Every line has a word, so no passage needs more lines than this.
+    most = max(window, min_words, 1)
+    return F.transform("w", lambda _, i: F.aggregate(F.slice("w", i + 1, most), none, longer, lambda x: F.when(counts(x), i + x["n"])))
 
-    def least(i: Column) -> Column:
-        own = F.slice("h", i + 1, window)
-        last = F.lit(window) - F.array_position(F.reverse(own), F.array_min(own)).cast("int")
-        return F.when(~F.exists(own, lambda x: x.isNull()), i + last)
 
-    minima = F.when(F.size("h") >= window, F.array_compact(F.transform(at, least))).otherwise(F.array().cast("array<int>"))
-    long = F.array_compact(F.transform("w", lambda n, i: F.when(n >= long_words, i)))
-    return F.array_distinct(F.concat(minima, long))
+def _passages() -> Column:
+    """(lo, hi) of the least passages, from their ``ends``: the shortest from lo, and the shortest to each hi before the next one's end."""
 
+    def of(end: Column, i: Column) -> Column:
+        last = F.greatest(end, F.coalesce(F.get("ends", i + 1), F.size("ends") + 1) - 1)
+        return F.when(end.isNotNull(), F.transform(F.sequence(end, last), lambda hi: F.struct(i.alias("lo"), hi.alias("hi"))))
 
-def _agree(mine: Column, theirs: Column) -> Column:
-    """How many leading elements of two arrays are equal and not null."""
-    same = F.zip_with(mine, theirs, lambda x, y: F.coalesce(x == y, F.lit(False)))
-    first = F.array_position(same, F.lit(False))
-    return F.when(first == 0, F.size(same)).otherwise(first - 1).cast("int")
+    return F.flatten(F.array_compact(F.transform("ends", of)))
 
 
 @common.cleaned
-def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text", window: int = WINDOW, min_words: int = MIN_WORDS, long_words: int = LONG_WORDS, reach: int = REACH) -> DataFrame:
-    """Runs to remove: key, lo, hi (lines from lo, before hi) and the first occurrence they repeat."""
+def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text", window: int = WINDOW, min_words: int = MIN_WORDS, long_words: int = LONG_WORDS) -> DataFrame:
+    """Passages to remove: key, lo, hi (lines from lo, before hi, without blank ones) and the first occurrence they repeat."""
     lines = docs.select(F.col(key).alias("id"), lines_of(F.col(text)).alias("l")).where(F.col("id").isNotNull())
-    words = F.transform("l", lambda x: F.size(F.regexp_extract_all(x, F.lit(f"({common.WORD})"), F.lit(1))))
-    base = lines.select("id", hashes_of(F.col("l")).alias("h"), words.alias("w"))
-    prints = base.select("id", "h", "w", F.explode(_fingerprints(window, long_words)).alias("i"))
-    # What surrounds the fingerprint: forwards from it, and backwards from the line before it.
-    ahead = F.slice("h", F.col("i") + 1, reach)
-    behind = F.reverse(F.slice("h", F.greatest(F.lit(1), F.col("i") - reach + 1), F.least(F.col("i"), F.lit(reach))))
-    marks = prints.select(
-        "id", "i", F.element_at("h", F.col("i") + 1).alias("f"), ahead.alias("ahead"), behind.alias("behind"),
-        F.slice("w", F.col("i") + 1, reach).alias("w_ahead"), F.reverse(F.slice("w", F.greatest(F.lit(1), F.col("i") - reach + 1), F.least(F.col("i"), F.lit(reach)))).alias("w_behind"),
-    )
-    marks = common.materialise(marks.dropDuplicates(["id", "i"]), "marks")
-    first = marks.groupBy("f").agg(F.min(F.struct("id", "i")).alias("s"), F.count(F.lit(1)).alias("n")).where("n > 1").select("f", F.col("s.id").alias("id"), F.col("s.i").alias("i"))
-    sources = first.join(marks.select("f", "id", "i", F.col("ahead").alias("a0"), F.col("behind").alias("b0")), ["f", "id", "i"]).select("f", F.col("id").alias("source"), F.col("i").alias("at"), "a0", "b0")
-    later = marks.join(sources, "f").where((F.col("id") != F.col("source")) | (F.col("i") != F.col("at")))
-    n = F.least(F.size("ahead"), F.size("a0"))
-    m = F.least(F.size("behind"), F.size("b0"))
-    runs = later.select("id", "i", "source", "at", "w_ahead", "w_behind", _agree(F.slice("ahead", 1, n), F.slice("a0", 1, n)).alias("fw"), _agree(F.slice("behind", 1, m), F.slice("b0", 1, m)).alias("bw"))
-    total = lambda c, k: F.aggregate(F.slice(c, 1, F.col(k)), F.lit(0), lambda x, y: x + y)
-    has_long = F.exists(F.slice("w_ahead", 1, F.col("fw")), lambda x: x >= long_words) | F.exists(F.slice("w_behind", 1, F.col("bw")), lambda x: x >= long_words)
-    runs = runs.where(((F.col("fw") + F.col("bw") >= window) | has_long) & (total("w_ahead", "fw") + total("w_behind", "bw") >= min_words))
-    return runs.select(F.col("id").alias(key), (F.col("i") - F.col("bw")).alias("lo"), (F.col("i") + F.col("fw")).alias("hi"), "source", (F.col("at") - F.col("bw")).alias("source_lo"))
+    each = F.transform("l", lambda x, i: F.struct(_words(x).alias("w"), i.alias("p")))
+    full = lines.select("id", hashes_of(F.col("l")).alias("all"), F.filter(each, lambda x: x["w"] > 0).alias("x"))
+    base = full.select("id", "all", F.col("x.w").alias("w"), F.col("x.p").alias("p")).withColumn("h", F.transform("p", lambda i: F.get("all", i)))
+    least = base.select("id", "h", "p", _ends(window, min_words, long_words).alias("ends"))
+    prints = least.select("id", "h", "p", F.explode(_passages()).alias("at"))
+    lo, hi = F.col("at.lo"), F.col("at.hi")
+    marks = prints.select("id", F.get("p", lo).alias("lo"), (F.get("p", hi - 1) + 1).alias("hi"), F.xxhash64(F.slice("h", lo + 1, hi - lo)).alias("f"), (hi - lo).alias("n"))
+    marks = marks.where(F.col("hi") - F.col("lo") == F.col("n")).drop("n")
+    marks = common.materialise(marks, "marks")
+    first = marks.groupBy("f").agg(F.min(F.struct("id", "lo")).alias("s"), F.count(F.lit(1)).alias("n")).where("n > 1").select("f", F.col("s.id").alias("source"), F.col("s.lo").alias("source_lo"))
+    later = marks.join(first, "f").where((F.col("id") != F.col("source")) | (F.col("lo") != F.col("source_lo")))
+    return later.select(F.col("id").alias(key), "lo", "hi", "source", "source_lo")
 
 
 def line_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:

@@ -109,6 +109,36 @@ def test_planted_passage_goes_where_it_repeats(spark):
     assert got[2][1] == "\n".join(docs[1][1].split("\n")[:2])
 
 
+def removed_lines(spark, docs, **options):
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    return {r["doc_id"]: (r["n_removed"], r["kept_text"]) for r in linededup.line_dedup(df, **options).collect()}
+
+
+def test_every_repeat_of_brute_force_goes(spark, documents, texts):
+    docs, most = line_brute(sorted(texts.items()))
+    got = {r["doc_id"]: r["n_removed"] for r in linededup.line_dedup(documents).collect()}
+    assert got == {i: len(most[i]) for i in docs}
+
+
+def test_repeat_with_a_line_that_stands_elsewhere_before(spark):
+    word = lambda c: " ".join(f"{c}{k}" for k in range(20))
+    kinds = [word(c) for c in "abc"]
+    for lone in kinds:  # one of the three has the least hash
+        first, last = (x for x in kinds if x != lone)
+        run = "\n".join([first, lone, last])
+        assert removed_lines(spark, [(1, lone), (5, run), (9, run)]) == {1: (0, lone), 5: (0, run), 9: (3, "")}
+
+
+@pytest.mark.parametrize("options", [{}, {"window": 3, "min_words": 7, "long_words": 9}])
+def test_lines_of_few_kinds_against_brute_force(spark, options):
+    rng = random.Random(8)
+    kinds = [" ".join(f"k{i}" for _ in range(n)) for i, n in enumerate((1, 1, 2, 3, 5, 8, 13, 26))]
+    docs = [(i, "\n".join(rng.choices(kinds, k=rng.randrange(1, 12)))) for i in range(150)]
+    lines, gone = line_brute(docs, *([options["window"], options["min_words"], options["long_words"]] if options else []))
+    want = {i: (len(gone[i]), "\n".join(x for j, x in enumerate(lines[i]) if j not in gone[i])) for i in lines}
+    assert removed_lines(spark, docs, **options) == want
+
+
 def test_line_edges(odd_docs):
     got = linededup.line_dedup(odd_docs).collect()
     assert len(got) == 12
