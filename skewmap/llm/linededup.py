@@ -12,8 +12,8 @@ This is winnowing with windows of one fingerprint: any thinning would lose runs
 Only fingerprints and places move, neither texts nor lines.
 
 Defined results: lines are cut at line feeds and compared after trimming blanks, tabs and carriage
-returns; lines without a word are blank; blank lines separate runs and are never removed; null texts have no
-line; within one document a repeat loses the later lines, overlapping occurrences included; rows that repeat
+returns; lines without a word are blank: runs go on across them as if they were not there, and they are never
+removed; null texts have no line; within one document a repeat loses the later lines, overlapping occurrences included; rows that repeat
 a key are compared as one occurrence; an empty table gives no rows; extra columns are ignored.
 """
 
@@ -76,8 +76,7 @@ def repeated_runs(docs: DataFrame, key: str = "doc_id", text: str = "text", wind
     least = base.select("id", "h", "p", _ends(window, min_words, long_words).alias("ends"))
     prints = least.select("id", "h", "p", F.explode(_passages()).alias("at"))
     lo, hi = F.col("at.lo"), F.col("at.hi")
-    marks = prints.select("id", F.get("p", lo).alias("lo"), (F.get("p", hi - 1) + 1).alias("hi"), F.xxhash64(F.slice("h", lo + 1, hi - lo)).alias("f"), (hi - lo).alias("n"))
-    marks = marks.where(F.col("hi") - F.col("lo") == F.col("n")).drop("n")
+    marks = prints.select("id", F.get("p", lo).alias("lo"), (F.get("p", hi - 1) + 1).alias("hi"), F.xxhash64(F.slice("h", lo + 1, hi - lo)).alias("f"))
     marks = common.materialise(marks, "marks")
     first = marks.groupBy("f").agg(F.min(F.struct("id", "lo")).alias("s"), F.count(F.lit(1)).alias("n")).where("n > 1").select("f", F.col("s.id").alias("source"), F.col("s.lo").alias("source_lo"))
     later = marks.join(first, "f").where((F.col("id") != F.col("source")) | (F.col("lo") != F.col("source_lo")))
@@ -88,9 +87,9 @@ def line_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", **optio
     """One row per row of ``docs``: key, n_lines, n_removed, kept_text."""
     runs = repeated_runs(docs, key, text, **options)
     gone = runs.groupBy(key).agg(F.collect_set(F.struct("lo", "hi")).alias("runs")).select(F.col(key).alias("__k"), "runs")
-    removed = gone.select("__k", F.array_distinct(F.flatten(F.transform("runs", lambda r: F.sequence(r["lo"], r["hi"] - 1)))).alias("gone"))
+    removed = gone.select("__k", F.array_distinct(F.flatten(F.transform("runs", lambda r: F.sequence(r["lo"], r["hi"] - 1)))).alias("__in"))
     rows = docs.select(F.col(key).alias("__id"), F.col(text).alias("__t"), lines_of(F.col(text)).alias("__l"))
-    both = rows.join(removed, rows["__id"] == removed["__k"], "left")
+    both = rows.join(removed, rows["__id"] == removed["__k"], "left").withColumn("gone", F.filter("__in", lambda i: F.get("__l", i).rlike(common.WORD)))
     # Kept lines in order: positions without the removed ones.
     at = F.array_except(F.sequence(F.lit(0), F.size("__l") - 1), F.coalesce("gone", F.array().cast("array<int>")))
     kept = F.when(F.col("gone").isNull(), F.col("__t")).otherwise(F.array_join(F.transform(at, lambda i: F.get("__l", i)), "\n"))

@@ -139,6 +139,13 @@ def test_lines_of_few_kinds_against_brute_force(spark, options):
     assert removed_lines(spark, docs, **options) == want
 
 
+def test_blank_lines_break_no_passage(spark):
+    line = lambda c: " ".join(f"{c}{k}" for k in range(20))
+    a, b, c, d = map(line, "abcd")
+    docs = [(1, f"{d}\n{a}\n\n{b}\n\n{c}"), (2, f"{a}\n\n{b}\n \t\n\x0b\n{c}\nown"), (3, f"\n{a}\n"), (4, f"{b}\n{c}")]
+    assert removed_lines(spark, docs) == {1: (0, docs[0][1]), 2: (3, "\n \t\n\x0b\nown"), 3: (0, docs[2][1]), 4: (2, "")}
+
+
 def test_line_edges(odd_docs):
     got = linededup.line_dedup(odd_docs).collect()
     assert len(got) == 12
