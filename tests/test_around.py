@@ -3,6 +3,7 @@ import datetime
 import pytest
 from pyspark.sql import functions as F
 
+from skewmap import queries
 from skewmap.operators import joins
 from skewmap.operators.stats import Profile
 from skewmap.plans import planner, sweep
@@ -45,6 +46,16 @@ def test_upper_bound_looseness(cells):
     assert t[0] and t[1] >= -1e-9
 
 
+def test_registered_sweeps_hold_every_share_and_key(spark):
+    q = queries.queries()
+    got = q["alpha_sweep_model"](spark, SF).cache()
+    assert {r[0] for r in got.select("alpha").distinct().collect()} == set(sweep.ALPHAS) and got.count() == 3 * (400 + 400 + 800 + 800)
+    # A value of its own for each minority key and one dominant value: the ratio tells the number of keys.
+    assert got.where("dist = 'unique' AND alpha = 0.5").agg(F.min("ratio"), F.max("ratio")).first()[:] == (50_001 / 100_000,) * 2
+    assert {tuple(r)[2:] for r in q["bounds_containment_all"](spark, SF).collect()} == {(400, 0), (800, 0)}
+    assert {round(100 * r["crossing"]) % 5 for r in q["crossing_alpha"](spark, SF).collect()} != {0}
+
+
 def test_synthetic_shares_are_exact(spark):
     keys = tables.table(spark, SF, "events", "event_id")
     for dist, values in (("unique", 201), ("uniform100", 101), ("zipf", None)):
