@@ -46,7 +46,7 @@ _FOLD = "translate(regexp_replace(lower(text), '[^a-z]', '', 'g'), 'abcdefghijkl
 for _k in (8, 10, 12, 15):
     WORK_SQL[f"fold{_k}"] = ("kmer", "n", f"SELECT kmer, count(*) AS n FROM (SELECT substr(seq, CAST(unnest(range(1, length(seq) - {_k - 2})) AS BIGINT), {_k}) AS kmer FROM (SELECT {_FOLD} AS seq FROM conversations) WHERE length(seq) >= {_k}) GROUP BY 1")
 
-PROFILED = ("lang", "toxic", "quality", "returnflag", "lines_per_order", "orders_per_cust", "part_supp", "order_part", "cust_date", "user_hour", "custkey", "role", "doc_quality", "url_lang", "fold10", "fold15", "words")
+PROFILED = ("lang", "toxic", "quality", "returnflag", "lines_per_order", "orders_per_cust", "part_supp", "order_part", "cust_date", "user_hour", "custkey", "role", "doc_quality", "url_lang", "fold10", "fold15", "kmer12", "words")
 LOOKED_UP = ("lang", "part_supp", "user_hour", "returnflag", "doc_quality")
 GATED = ("xor", "fuse3", "fuse4", "bloom1", "bloom3")
 DEFAULT_FAMILIES = ("fuse3",)
@@ -367,7 +367,12 @@ def _regret(spark, sf_dir):
 # ---------------------------------------------------------------- methods compared
 
 
-def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang"), methods=("gap", "entropy_fit", "hash_table", "perfect_hash", "model_coded"), repeats: int = 1) -> DataFrame:
+SYNTHETIC = tuple(f"{dist}_{alpha}" for dist in sweep.DISTRIBUTIONS for alpha in (0.5, 0.8, 0.95))
+NATURAL = ("part_supp", "lang", "lines_per_order", "fold15", "kmer12")
+METHODS = ("gap", "entropy_fit", "hash_table", "perfect_hash", "model_coded")
+
+
+def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang"), methods=METHODS, repeats: int = 1) -> DataFrame:
     """(workload, method, bpk, ns, build_s, mismatches) of each method on each workload."""
     rows = []
     for name in workloads:
@@ -377,7 +382,7 @@ def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang
         for method in methods:
             make = {
                 "gap": lambda: planner.build_index(df, spec, "gap", ("xor", "fuse3", "fuse4", "bloom1", "bloom3")), "entropy_fit": lambda: planner.build_index(df, spec, "entropy_fit", ("fuse3",)),
-                "hash_table": lambda: baselines.HashTable.build(df, spec), "perfect_hash": lambda: baselines.PerfectHashTable.build(df, spec), "model_coded": lambda: baselines.ModelCodedMap.build(df, spec),
+                "hash_table": lambda: baselines.HashTable.build(df, spec), "perfect_hash": lambda: baselines.PerfectHashTable.build(df, spec), "model_coded": lambda: baselines.best_model(df, spec),
             }[method]
             ix, took = measure.timed(make)
             ns = measure.lookup_latency(ix, df.select(*spec.keys), repeats).first()["net_ns"]
@@ -386,6 +391,11 @@ def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang
     return _frame(spark, rows, "workload string, method string, bpk double, ns double, build_s double, mismatches long")
 
 
+def _compared(spark, sf_dir):
+    """All methods on the synthetic relations of every distribution and share, and on the natural workloads."""
+    return method_table(ship(spark), sf_dir, SYNTHETIC + NATURAL)
+
+
 def _exact_table(spark, sf_dir):
     return method_table(ship(spark), sf_dir).select("workload", "method", "mismatches")
 
@@ -557,7 +567,7 @@ def queries() -> dict[str, Query]:
         q[f"lookup_gated_{family}_part_supp"] = _lookup("part_supp", lambda d, s, f=family: index.build(d, s, _gate(f)))
         q[f"gate_no_false_negatives_{family}"] = _no_false_negatives(family)
     q["lookup_gated_fuse3_four_hashes_part_supp"] = _lookup("part_supp", lambda d, s: index.build(d, s, _gate("fuse3"), hashes=4))
-    for name in ("extprice", "custkey", "role", "url_host", "order_part", "fold15", "lines_per_order"):
+    for name in ("extprice", "custkey", "role", "url_host", "order_part", "fold15", "kmer12", "lines_per_order"):
         q[f"lookup_gap_planned_{name}"] = _lookup(name, lambda d, s: planner.build_index(d, s, "gap", GATED))
     q["perfect_hash_is_bijection"] = _bijection
     q["lower_bound_grid"] = _bound_grid(lambda a, e, b: lower_bound(a, e, b, F.lit(_RATIO)), "bound")
@@ -573,8 +583,7 @@ def queries() -> dict[str, Query]:
         "alpha_sweep_model": lambda s, d: _cells(s), "epsilon_sweep_model": lambda s, d: sweep.epsilon_sweep(ship(s)), "bounds_containment": _containment, "bounds_containment_all": lambda s, d: _containment(s, d, sweep.ALPHAS), "decision_harm": _no_harm,
         "parameter_regret": _regret, "crossing_alpha": lambda s, d: sweep.crossing(_cells(s)), "bounds_tightness": lambda s, d: sweep.tightness(_cells(s)), "heuristic_harm": _heuristic_harm,
         "exhaustive_plan_part_supp": _exhaustive("part_supp"), "exactness_by_method": _exact_table, "sketch_profile": _sketch,
-        "bpk_table": lambda s, d: method_table(ship(s), d, ("part_supp",)), "pareto_front": lambda s, d: measure.pareto_front(method_table(ship(s), d, ("part_supp",), ("gap", "hash_table", "perfect_hash"))),
-        "ratio_table": lambda s, d: measure.ratio_table(method_table(ship(s), d, ("part_supp",), ("gap", "hash_table", "perfect_hash")), "gap"),
+        "bpk_table": _compared, "pareto_front": lambda s, d: measure.pareto_front(_compared(s, d)), "ratio_table": lambda s, d: measure.ratio_table(_compared(s, d), "gap"),
     }
     q |= {"predicted_savings": _predicted, "gate_rates": _fpr, "lookup_model_coded_ordinal_fold8": _ordinal_model, "lookup_model_coded_features_vec_label": _vector_model}
     for k in ("kmer8", "kmer12", "fold8", "fold12"):

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from skewmap import queries
-from skewmap.operators import joins
+from skewmap.operators import baselines, joins
 from skewmap.operators.stats import Profile
 from skewmap.plans import planner, sweep
 from skewmap.sources import sqlfunctions, tables
@@ -56,6 +56,30 @@ def test_registered_sweeps_hold_every_share_and_key(spark):
     assert {round(100 * r["crossing"]) % 5 for r in q["crossing_alpha"](spark, SF).collect()} != {0}
 
 
+def test_methods_are_compared_on_all_workloads(spark, monkeypatch):
+    asked = []
+
+    def table(spark, sf_dir, workloads, methods=queries.METHODS, repeats=1):
+        asked.append((set(workloads), set(methods)))
+        return spark.createDataFrame([("w", "gap", 1.0, 1.0, 1.0, 0), ("w", "model_coded", 2.0, 0.5, 2.0, 0)], "workload string, method string, bpk double, ns double, build_s double, mismatches long")
+
+    monkeypatch.setattr(queries, "method_table", table)
+    q = queries.queries()
+    assert [q[n](spark, SF).count() for n in ("bpk_table", "pareto_front", "ratio_table")] == [2, 2, 2]
+    cells = {f"{d}_{a}" for d in ("unique", "zipf", "uniform100") for a in (0.5, 0.8, 0.95)}
+    for workloads, methods in asked:
+        assert workloads >= cells | {"part_supp", "kmer12"} and len(methods) == 5
+    assert {"gap_plan_kmer12", "lookup_gap_planned_kmer12"} <= set(q)
+
+
+def test_model_coded_rows_take_the_best_architecture(spark, monkeypatch):
+    made = []
+    build = baselines.ModelCodedMap.build.__func__
+    monkeypatch.setattr(baselines.ModelCodedMap, "build", classmethod(lambda cls, df, spec, hidden=(), *a, **k: made.append(hidden) or build(cls, df, spec, hidden, *a, **k)))
+    got = queries.method_table(spark, SF, ("uniform100_0.95",), ("model_coded",)).collect()
+    assert made == list(baselines.ARCHES) and got[0]["mismatches"] == 0
+
+
 def test_synthetic_shares_are_exact(spark):
     keys = tables.table(spark, SF, "events", "event_id")
     for dist, values in (("unique", 201), ("uniform100", 101), ("zipf", None)):
