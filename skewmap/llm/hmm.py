@@ -7,9 +7,9 @@ being kept for unknown words, so the model is a proper distribution over words a
 
     log10 p(text) = forward log10 p(classes of the text) + sum of log10 p(word | class).
 
-Training: the first estimates come from a bounded sample; then whole-corpus rounds in which every task
-adds up its expected counts by the scaled forward-backward recursion, the counts are summed across
-partitions in two steps, and the tables are made anew. Scoring is the scaled forward recursion, exact.
+Training: in every round every task adds up the expected counts of its training documents by the scaled
+forward-backward recursion, the counts are summed across partitions in two steps, and the tables are made
+anew. Scoring is the scaled forward recursion, exact.
 
 Word counts cover all training documents. Rare words' counts come back to the documents through a join
 on the word, of which each batch of documents sends one row with the list of its rows that hold it.
@@ -312,7 +312,7 @@ def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024)
 
 
 @common.cleaned
-def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 2, sampled: int = 1500, sample_rounds: int = 12) -> DataFrame:
+def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14) -> DataFrame:
     """One row per document: key, n_tokens, n_known, train_tokens, base_score, score. ``training`` is a boolean column."""
     spark = docs.sparkSession
     n = common.partitions(spark)
@@ -322,16 +322,7 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
     counts = common.materialise(counts, "words")
     v = fit_vocabulary(counts)
     vocabulary = spark.sparkContext.broadcast(v)
-    # First estimates from a bounded sample: the documents of smallest key hash.
-    order = F.xxhash64(F.col("id").cast("string"), F.lit(19))
-    short = rows.where(F.col("train") & (F.octet_length("t") <= 200_000)).select("t", order.alias("h"))
-    last = short.select("h").orderBy("h").limit(sampled).agg(F.max("h")).first()[0]  # hashes only: texts stay where they are
-    some = short.where(F.col("h") <= F.lit(last)).select("t").limit(2 * sampled) if last is not None else short.select("t").limit(0)
-    sample = [v.encode(common.words_of((r["t"] or "").encode())) for r in some.collect()]
     model, spare = initial(v, states), v.spare()
-    for _ in range(sample_rounds if sample else 0):
-        got = [expected(model, g, v.classes) for g in _in_groups(sample)]
-        model = update(*(sum(x[1:], x[0]) for x in zip(*got)), spare)
     for _ in range(rounds):
         handle = spark.sparkContext.broadcast(model)
         schema = "block int, salt int, counts binary"

@@ -260,6 +260,16 @@ def test_rounds_raise_the_likelihood():
         m, last = hmm.update(*hmm.expected(m, texts, v.classes), 1e-3 * v.spare(), shrink=0), now
 
 
+def test_every_round_counts_all_training_documents(documents, monkeypatch):
+    here, rounds = [], []
+    expected, update = hmm.expected, hmm.update
+    monkeypatch.setattr(hmm, "expected", lambda *a: here.append(1) or expected(*a))
+    monkeypatch.setattr(hmm, "update", lambda first, moves, *a: rounds.append(float(first.sum())) or update(first, moves, *a))
+    hmm.score(documents.select("doc_id", "text"), F.col("doc_id") % 4 > 0)
+    assert not here  # workers have their own list: nothing is counted on the driver
+    assert len(rounds) == 14 and rounds == pytest.approx([documents.where("doc_id % 4 > 0").count()] * 14)
+
+
 def test_score_edges(odd_docs):
     got = hmm.score(odd_docs, F.col("doc_id") != 7).collect()
     assert len(got) == 12 and all(math.isfinite(r["score"]) and math.isfinite(r["base_score"]) for r in got)
