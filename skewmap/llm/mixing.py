@@ -2,8 +2,9 @@
 
 Every source is a queue of its documents in shuffled (key-hash) order. A document's virtual finish time
 is the words its source has served up to and including it, divided by the source's target; all queues
-run at their weights, so at virtual time v each source has served v times its target. The mix is the
-global order by virtual time, cut where the total budget is served (v = 1). A source may serve
+run at their weights, so at virtual time v each source has served v times its target. Each source is cut
+at its own target, which is where a global order by virtual time reaches v = 1; that order itself is made
+by ``mixed_documents`` only, after the cut. A source may serve
 each document up to twice, in two rounds of its queue. The document in which the cut falls is counted up
 to the cut (``cut="word"``), or taken whole if at least half of it lies before the cut (``cut="document"``,
 which the documents of a mix are made with, as texts are never shortened).
