@@ -10,6 +10,7 @@ import zipfile
 from collections.abc import Callable
 from pathlib import Path
 
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
@@ -32,15 +33,34 @@ def ship(spark: SparkSession) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only if it is unset."""
+    """Folder that driver and executors share: ``spark.checkpoint.dir``; a temporary one only if it is unset and Spark is one process."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="skewmap-shared-")
         spark.sparkContext.setCheckpointDir(found)
     return found
 
 
-_scopes: list[list[DataFrame]] = []
+#: What ``cleaned`` functions that are running have made so far: stored tables and broadcasts.
+_scopes: list[list[DataFrame | Broadcast]] = []
+#: Broadcasts that lazy results made outside of such functions still read.
+_loose: list[Broadcast] = []
+
+
+def shared(spark: SparkSession, value) -> Broadcast:
+    """Broadcast of a value of bounded size. It is destroyed with the function that made it if that is ``cleaned``."""
+    handle = spark.sparkContext.broadcast(value)
+    (_scopes[-1] if _scopes else _loose).append(handle)
+    return handle
+
+
+def release() -> None:
+    """Take the broadcasts of earlier lazy results off the executors; a result that is read again fetches its own anew."""
+    while _loose:
+        _loose.pop().unpersist()
 
 
 def _path(spark: SparkSession, path: str):
@@ -65,27 +85,30 @@ def stored(df: DataFrame, name: str = "step", **options: str) -> DataFrame:
     return out
 
 
-def discard(df: DataFrame) -> None:
-    """Delete the files of a stored table that nothing reads any more."""
-    fs, where = _path(df.sparkSession, df._stored_at)
-    fs.delete(where, True)
+def discard(made: DataFrame | Broadcast) -> None:
+    """Delete the files of a stored table, or a broadcast, that nothing reads any more."""
+    if isinstance(made, Broadcast):
+        made.destroy()
+    else:
+        fs, where = _path(made.sparkSession, made._stored_at)
+        fs.delete(where, True)
 
 
 def cleaned(make: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
-    """The function's result is stored, and every table that it stored on the way is deleted."""
+    """The function's result is stored, and every table and broadcast that it made on the way is deleted."""
 
     @functools.wraps(make)
     def run(*args, **kwargs) -> DataFrame:
-        _scopes.append([])
+        inner: list[DataFrame | Broadcast] = []
+        _scopes.append(inner)
         try:
             result = make(*args, **kwargs)
-            inner = _scopes[-1]
             _scopes[-1] = []
             out = stored(result, make.__name__)
         finally:
             _scopes.pop()
-        for df in inner:
-            discard(df)
+            for made in inner:
+                discard(made)
         if _scopes:
             _scopes[-1].append(out)
         return out
