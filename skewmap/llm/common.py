@@ -4,16 +4,18 @@ from __future__ import annotations
 
 import re
 from collections.abc import Callable, Iterator
+from functools import reduce
+from operator import and_
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import cleaned, discard, partitions, shared_dir, stored
+from ..session import cleaned, discard, partitions, release, shared, shared_dir, stored
 
 materialise = stored
-__all__ = ["cleaned", "discard", "materialise", "partitions", "shared_dir"]
+__all__ = ["cleaned", "discard", "materialise", "partitions", "release", "shared", "shared_dir"]
 
 #: White space of every contract: blank and the bytes 9 to 13.
 SPACE = r"[\x20\x09-\x0D]+"
@@ -55,6 +57,21 @@ def words_of(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
+def without(docs: DataFrame, alike: dict[str, Column], fewer: DataFrame) -> DataFrame:
+    """``docs`` less the rows that ``fewer`` takes away.
+
+    ``alike`` are columns by which rows are told apart, under names that ``docs`` lacks. ``fewer`` is a stored
+    table of them and ``stay``: how many (0 or 1) of the rows alike stay. Rows that are not in it all stay.
+    """
+    there = fewer.select(*(F.col(c).alias(f"__of{c}") for c in alike), F.col("stay").alias("__stay"))
+    same = reduce(and_, (F.col(c).eqNullSafe(F.col(f"__of{c}")) for c in alike))
+    joined = docs.withColumns(alike).join(there, same, "left")
+    kept = joined.where(F.col("__stay").isNull())
+    if fewer.where("stay = 1").limit(1).count():  # the same row several times
+        kept = kept.unionByName(joined.where("__stay = 1").dropDuplicates(list(alike)))
+    return kept.select(*docs.columns)
+
+
 _caches: dict[str, Callable[[], None]] = {}
 
 
@@ -77,8 +94,9 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-_LETTER = re.compile(r"[^\W\d_]")
+_ASCII_LETTER = re.compile(rb"[A-Za-z]")
 
 
 def has_letter(text: bytes) -> bool:
-    return _LETTER.search(text.decode("utf-8", "replace")) is not None
+    """Whether a character of Unicode's letter categories is in the text; digits, number forms and marks are none."""
+    return _ASCII_LETTER.search(text) is not None or any(map(str.isalpha, text.decode("utf-8", "replace")))

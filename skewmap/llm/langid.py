@@ -4,8 +4,8 @@ Each language has a variable-order byte context tree (contexts of at most three
 unseen in a context is reached through escapes (escape count = distinct symbols of the context,
 seen symbols excluded below it), down to a uniform distribution over the 256 byte values. The
 statistics are frozen after training, so the code length of a byte depends on its context alone and
-the whole tree is laid out as a table ``bits[context, symbol, language]``. A text costs the sum of
-its bytes' code lengths; the cheapest language wins, ties go to the smaller name.
+a tree is laid out as code lengths of the symbols seen after each context, and the cost of escaping from it.
+A text costs the sum of its bytes' code lengths; the cheapest language wins, ties go to the smaller name.
 
 Defined results: null texts and texts without a letter give ``und`` and score 0; an empty training
 set gives ``und`` for all; very long texts are scored whole in slices; extra columns are ignored.
@@ -30,10 +30,14 @@ SLICE = 1 << 20
 
 @dataclass
 class ContextTrees:
-    """Frozen statistics of all languages.
+    """Frozen statistics of all languages, as sparse trees.
 
     ``symbols`` maps a byte to its symbol (bytes never trained share one); ``three``, ``two`` and ``one``
-    map packed contexts to rows of ``bits``, -1 where the context was not kept.
+    map packed contexts to nodes, -1 where the context was not kept; ``places[node, symbol]`` is the row of
+    ``bits`` with the symbol's code lengths in all languages. A symbol that no language has seen after a node has
+    none (-1): it costs the node's ``escape`` and then what it costs in the node ``below``. Only ``bits`` and
+    ``escape`` have a column for a language, so the trees grow with what was seen, not with its product
+    with the number of symbols.
     """
 
     languages: list[str]
@@ -42,12 +46,37 @@ class ContextTrees:
     three: np.ndarray
     two: np.ndarray
     one: np.ndarray
+    places: np.ndarray
     bits: np.ndarray
+    escape: np.ndarray
+    below: np.ndarray
+
+    def nodes(self, p3: np.ndarray, p2: np.ndarray, p1: np.ndarray) -> np.ndarray:
+        """The longest kept context of each byte."""
+        pair = p2 * self.size + p1
+        node = self.three[p3 * self.size * self.size + pair]
+        node = np.where(node >= 0, node, self.two[pair])
+        return np.where(node >= 0, node, self.one[p1])
+
+    def costs(self, node: np.ndarray, now: np.ndarray) -> np.ndarray:
+        """Bits of symbols after nodes under each language, escapes included."""
+        at = self.places[node, now]
+        cost = self.bits[at]
+        open_ = np.flatnonzero(at < 0)
+        cost[open_] = 0
+        while len(open_):
+            cost[open_] += self.escape[node[open_]]
+            node[open_] = self.below[node[open_]]
+            at = self.places[node[open_], now[open_]]
+            found = at >= 0
+            cost[open_[found]] += self.bits[at[found]]
+            open_ = open_[~found]
+        return cost
 
     def code_lengths(self, raw: np.ndarray, offs: np.ndarray) -> np.ndarray:
         """Bits of each row of a byte column under each language."""
         total = np.zeros((len(offs) - 1, len(self.languages)))
-        a, pad = self.size, int(self.symbols[32])
+        pad = int(self.symbols[32])
         for lo in range(0, len(raw), SLICE):
             hi = min(lo + SLICE, len(raw))
             back = max(0, lo - 3)
@@ -61,11 +90,7 @@ class ContextTrees:
                 at = at[(at >= 0) & (at < hi - lo)]
                 for x in prev:
                     x[at] = pad
-            pair = p2 * a + p1
-            node = self.three[p3 * a * a + pair]
-            node = np.where(node >= 0, node, self.two[pair])
-            node = np.where(node >= 0, node, self.one[p1])
-            cost = self.bits[node, now]
+            cost = self.costs(self.nodes(p3, p2, p1), now)
             edges = np.clip(offs[first : last + 1], lo, hi) - lo
             rows = np.flatnonzero(edges[1:] > edges[:-1])
             if len(rows):
@@ -85,14 +110,8 @@ class ContextTrees:
         return pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(score)], ["lang_pred", "score"])
 
 
-def _escape(counts: np.ndarray, lower: np.ndarray) -> np.ndarray:
-    """Distributions of contexts from symbol counts and the distributions one order below."""
-    seen = counts > 0
-    n, q = counts.sum(1, keepdims=True), seen.sum(1, keepdims=True)
-    rest = np.maximum(1e-12, 1.0 - (lower * seen).sum(1, keepdims=True))
-    full = q == counts.shape[1]
-    p = np.where(seen, counts / np.maximum(1, n + np.where(full, 0, q)), q / np.maximum(1, n + q) * lower / rest)
-    return np.where(n > 0, p, lower)
+def _grouped(key: np.ndarray, n: int, weights: np.ndarray) -> np.ndarray:
+    return np.bincount(key, weights, n) if len(key) else np.zeros(n)
 
 
 def train(texts: dict[str, list[bytes]], max_contexts: int = 20_000) -> ContextTrees:
@@ -116,28 +135,69 @@ def train(texts: dict[str, list[bytes]], max_contexts: int = 20_000) -> ContextT
     one, two, three = np.arange(a, dtype=np.int32), np.full(a * a, -1, np.int32), np.full(a**3, -1, np.int32)
     two[pairs] = a + np.arange(len(pairs))
     three[kept] = a + len(pairs) + np.arange(len(kept))
-    bits = np.zeros((a + len(pairs) + len(kept), a, len(langs)), np.float32)
+    # Nodes: contexts of one, two and three bytes, then the empty context, the root of all.
+    nodes = a + len(pairs) + len(kept) + 1
+    root = nodes - 1
+    below = np.full(nodes, root, np.int32)
+    below[a : a + len(pairs)] = pairs % a
+    below[a + len(pairs) : root] = two[kept % (a * a)]
+    # Entries: (node, symbol) that some language has seen; the root has all symbols.
+    counted = {}
+    for k, s in grams.items():
+        parts = [np.full(a, root * a, np.int64) + np.arange(a)]
+        for n, index in ((1, one), (2, two), (3, three)):
+            if len(s) > n:
+                at = index[pack(s, n)].astype(np.int64)
+                parts.append((at * a + s[n:])[at >= 0])
+        flat, n = np.unique(np.concatenate(parts), return_counts=True)
+        n[flat >= root * a] = np.bincount(s, minlength=a)
+        counted[k] = flat, n
+    entries = np.unique(np.concatenate([np.arange(root * a, root * a + a), *(f for f, _ in counted.values())]))
+    places = np.full((nodes, a), -1, np.int32)
+    node, symbol = entries // a, entries % a
+    places[node, symbol] = np.arange(len(entries))
     base = np.full(a, 1 / 256)
     base[-1] = merged / 256
+    escape = np.zeros((nodes, len(langs)), np.float32)
+    bits = np.zeros((len(entries), len(langs)), np.float32)
+    depth = [np.arange(root, nodes), np.arange(a), np.arange(a, a + len(pairs)), np.arange(a + len(pairs), root)]
+    order_of = np.empty(nodes, np.int64)
+    for d, some in enumerate(depth):
+        order_of[some] = d
     for j, k in enumerate(langs):
-        s = grams[k]
-
-        def table(n: int, index: np.ndarray, first: int, rows: int, s=s) -> np.ndarray:
-            out = np.zeros((rows, a))
-            if len(s) > n:
-                at = index[pack(s, n)] - first
-                ok = at >= 0
-                np.add.at(out, (at[ok], s[n:][ok]), 1)
-            return out
-
-        zero = _escape(np.bincount(s, minlength=a)[None, :].astype(float), base[None, :])
-        first = _escape(table(1, one, 0, a), np.repeat(zero, a, 0))
-        second = _escape(table(2, two, a, len(pairs)), first[pairs % a])
-        third = _escape(table(3, three, a + len(pairs), len(kept)), second[two[kept % (a * a)] - a] if len(pairs) else first[kept % a])
-        p = np.maximum(np.concatenate([first, second, third]), 1e-12)
-        p[:, -1] /= max(1, merged)
-        bits[:, :, j] = -np.log2(np.maximum(p, 1e-12))
-    return ContextTrees(langs, symbols, a, three, two, one, bits)
+        count = np.zeros(len(entries))
+        flat, n = counted[k]
+        count[np.searchsorted(entries, flat)] = n
+        total, kinds = _grouped(node, nodes, count), _grouped(node, nodes, (count > 0).astype(float))
+        p, gone = np.zeros(len(entries)), np.ones(nodes)
+        for d in range(4):
+            here = np.flatnonzero(order_of[node] == d)
+            x, y, c = node[here], symbol[here], count[here]
+            if d == 0:
+                lower = base[y]
+            else:  # a symbol after the shorter context: its own entry there, or what escapes lead to
+                under, lower, factor = below[x].astype(np.int64), np.zeros(len(here)), np.ones(len(here))
+                open_ = np.arange(len(here))
+                while len(open_):
+                    at = places[under[open_], y[open_]]
+                    found = at >= 0
+                    lower[open_[found]] = factor[open_[found]] * p[at[found]]
+                    open_ = open_[~found]
+                    factor[open_] *= gone[under[open_]]
+                    under[open_] = below[under[open_]]
+            rest = np.maximum(1e-12, 1.0 - _grouped(x, nodes, lower * (c > 0)))
+            full = kinds == a
+            share = kinds / np.maximum(1, total + kinds) / rest  # what an unseen symbol's lower probability is multiplied by
+            share = np.where(total > 0, share, 1.0)
+            own = c / np.maximum(1, total[x] + np.where(full[x], 0, kinds[x]))
+            p[here] = np.where(c > 0, own, share[x] * lower)
+            gone[depth[d]] = share[depth[d]]
+        escape[:, j] = -np.log2(np.maximum(gone, 1e-12))
+        p = np.maximum(p, 1e-12)
+        last = symbol == a - 1
+        p[last] /= max(1, merged)
+        bits[:, j] = -np.log2(np.maximum(p, 1e-12))
+    return ContextTrees(langs, symbols, a, three, two, one, places, bits, escape, below)
 
 
 @dataclass
@@ -180,7 +240,7 @@ class LanguageIdentifier:
             for r in rows.where(cond).select("l", "t").collect():
                 texts.setdefault(r["l"], []).append(r["t"].encode())
         trees = train(texts)
-        return cls(trees, spark.sparkContext.broadcast(trees))
+        return cls(trees, common.shared(spark, trees))
 
     def predict(self, column: Column) -> Column:
         handle = self.handle

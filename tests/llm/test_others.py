@@ -344,6 +344,48 @@ def test_code_lengths_are_a_distribution():
         assert np.allclose(np.exp2(-(bits[:256] - bits[256])).sum(0), 1, atol=1e-3)
 
 
+def ppm_brute(stream, text, symbols):
+    """Code length of a text after a training stream, contexts of three bytes at most, by counting in plain Python."""
+    counts = collections.defaultdict(collections.Counter)
+    for i, x in enumerate(stream):
+        for n in range(4):
+            if i >= n:
+                counts[stream[i - n : i]][x] += 1
+
+    def p(context, x):
+        if not context:
+            seen = counts[b""]
+            below = lambda y: 1 / 256
+        else:
+            seen = counts.get(context, {})
+            below = lambda y: p(context[1:], y)
+        if not seen:
+            return below(x)
+        n, q = sum(seen.values()), len(seen)
+        if x in seen:
+            return seen[x] / (n + (0 if q == symbols else q))
+        return q / (n + q) * below(x) / max(1e-12, 1 - sum(below(y) for y in seen))
+
+    padded = b"   " + text
+    return sum(-np.log2(p(padded[i - 3 : i], x)) for i, x in enumerate(padded) if i >= 3)
+
+
+def test_code_lengths_against_brute_force():
+    texts = {"x": [b"the cat sat on the mat and the rat", b"banana bandana"], "y": [b"le chat est sur le tapis", b"\xc3\xa9t\xc3\xa9 zebra"]}
+    trees = langid.train(texts)
+    used = len(set(b"".join(b"   " + t for v in texts.values() for t in v))) + 1
+    rows = [b"the cat", b"sur la table", b"q\xffz", b"\xc3\xa9t\xc3\xa9 and", b"123 the"]
+    raw, offs = langid.common.utf8_view(pa.array(rows, pa.binary()))
+    got = trees.code_lengths(raw, offs)
+    want = [[ppm_brute(b"".join(b"   " + t for t in texts[k]), row, used) for k in ("x", "y")] for row in rows]
+    assert np.allclose(got, want, rtol=1e-3)
+
+
+def test_letters():
+    letters = {"½ ²": False, "Ⅷ 12": False, "12 34 _!": False, "7 é": True, "你": True, "٣٤": False, "": False, "x": True}
+    assert {t: langid.common.has_letter(t.encode()) for t in letters} == letters
+
+
 def test_slices_do_not_change_scores(monkeypatch):
     trees = langid.train({"x": [b"the cat sat on the mat " * 20], "y": [b"le chat est sur le tapis " * 20]})
     rows = pa.array([b"the mat " * 50, b"", b"le tapis" * 31, b"x"], pa.binary())
