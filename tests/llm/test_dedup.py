@@ -52,6 +52,25 @@ def test_runs_compact_to_the_smallest(spark):
     assert [tuple(r)[1:] for r in index.compact().collect()] == [(3, 4)]
 
 
+def test_filters_know_their_digests_and_few_others(spark):
+    index = exactdedup.MergeIndex(4000)
+    make = lambda ids: spark.createDataFrame([(hashlib.sha256(str(i).encode()).digest(), i, 1) for i in ids], "digest binary, least long, copies long")
+    index.flush(make(range(2000)))
+    index.flush(make(range(1500, 4000)))
+    rows = index.lookup(make(range(6000))).select("least", "maybe").collect()
+    assert all(r["maybe"][0] for r in rows if r["least"] < 2000) and all(r["maybe"][1] for r in rows if 1500 <= r["least"] < 4000)
+    assert sum(r["maybe"][0] for r in rows if r["least"] >= 2000) < 0.05 * 4000
+    merged = {r["least"]: r["copies"] for r in index.compact().collect()}
+    assert merged == {i: 1 + (1500 <= i < 2000) for i in range(4000)}
+
+
+def test_exact_rows_of_null_and_repeated_identifiers(spark):
+    df = spark.createDataFrame([(0, "a"), (3, "a"), (3, "zzz"), (5, "q"), (5, "q"), (None, "a"), (None, "n"), (None, "n")], "doc_id long, text string")
+    got = sorted(((r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in exactdedup.decide(df).collect()), key=str)
+    assert got == sorted([(0, 0, 3, True), (3, 0, 3, False), (3, 3, 1, True), (5, 5, 2, True), (5, 5, 2, False), (None, 0, 3, False), (None, None, 2, True), (None, None, 2, False)], key=str)
+    assert sorted(map(tuple, exactdedup.exact_dedup(df).collect()), key=str) == sorted([(0, "a"), (3, "zzz"), (5, "q"), (None, "n")], key=str)
+
+
 def test_exact_plan_is_native(documents):
     text = exactdedup.decide(documents)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in text and "Arrow" not in text
