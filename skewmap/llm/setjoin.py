@@ -5,17 +5,22 @@ first quarter of its shingles, in one global order, on index lists; two sets of
 must meet on a list. The order is by hash, with shingles that a fixed-share sample shows to be common at the
 end, so common passages rarely meet there; any order gives the same result, this one less work.
 
-Skipping works at two levels. Index lists are kept by size and position, and whole blocks are skipped where
-size and position bound the overlap below what similarity needs. Answers are derived from highly similar
-sets: every member of a list is first compared with the list's hub only, verified members join
-the hub's component, and afterwards only pairs in different components are still asked for. Before texts are
-fetched, the number of common list entries bounds the overlap of a pair once more. All bounds are
+Skipping works at two levels. Index lists are cut into blocks by size and position, and whole blocks, then single
+pairs, are skipped where size and position bound the overlap below what similarity needs. Answers are derived from
+highly similar sets: every member of a list is first compared with the list's hub only, verified members join
+the hub's component and have its answers, and afterwards only pairs in different components are still asked for.
+Before texts are fetched, the number of common list entries bounds the overlap of a pair once more. All bounds are
 lossless: no link between different components is missed, and no limit is set on lists or partners.
 
+A list with over a thousandth of all entries is hot; there are less than a thousand. Their hubs, a few for each,
+are sent to every task, so no task gets a hot list. Where a hot list is asked again, it is dealt in tiles of bounded
+blocks, and no tile is made of two blocks of one component.
+
 Shingles are 64-bit hashes. Defined results: fewer than five words make one shingle of them all; null,
-empty and blank texts have no shingle and no link; equal texts are one class; rows repeating an
-identifier are merged into it; a null identifier is a component of its own, reported as null; an
-empty table gives no rows; extra columns are ignored.
+empty and blank texts have no shingle and no link; equal texts are one class; rows are told apart by their
+place, so rows that repeat an identifier are sets of their own; a null identifier sorts after all others and is
+reported only where a component has no other; an empty table gives no rows; extra columns are ignored by
+``components`` and kept by ``near_dedup``.
 """
 
 from __future__ import annotations
@@ -36,7 +41,9 @@ SHARE = (75, 100)
 #: Shingles that the sample can put at the end of the order, and in how many sampled documents they stand at least.
 COMMON, SEEN = 500_000, 4
 SAMPLED = 64
-REMEMBERED = 500_000
+REMEMBERED = 300_000
+#: A list of over one in ``HOT`` entries is hot; a tile of a hot list has two blocks of about ``TILE`` entries.
+HOT, TILE = 1000, 20_000
 _MULT = np.random.default_rng(20_231).integers(1, 2**63, WORDS, dtype=np.uint64) | np.uint64(1)
 
 
@@ -112,7 +119,7 @@ class Order:
 
 
 def _sets(order):
-    """For ``mapInArrow`` from (id, text): each document's set as (id, mark, n, tokens), tokens being its index entries in order."""
+    """For ``mapInArrow`` from (id, tag, text): each document's set as (id, tag, mark, n, tokens), tokens being its index entries in order."""
 
     def entries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("setjoin")
@@ -120,7 +127,7 @@ def _sets(order):
         seen: set[bytes] = set()
         for batch in batches:
             sizes, prints, lists = [], [], []
-            for text in common.byte_rows(batch.column(1)):
+            for text in common.byte_rows(batch.column(2)):
                 s = shingles(text)
                 mark = xxhash.xxh3_128_digest(s.tobytes()) if len(s) else b""
                 sizes.append(len(s))
@@ -132,7 +139,10 @@ def _sets(order):
                     lists.append(np.zeros(0, np.int64))
             edges = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
             flat = np.concatenate(lists) if lists else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints, pa.binary()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(edges), pa.array(flat))], ["id", "mark", "n", "tokens"])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(1), pa.array(prints, pa.binary()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(edges), pa.array(flat))],
+                ["id", "tag", "mark", "n", "tokens"],
+            )
 
     return entries
 
@@ -166,8 +176,8 @@ def _runs(batches: Iterator[pa.RecordBatch], names: list[str]) -> Iterator[tuple
 
 
 def _possible(size_a, pos_a, size_b, pos_b) -> np.ndarray:
-    """Whether size and position allow the overlap, the entry being the first that both sets have."""
-    return 1 + np.minimum(size_a - pos_a, size_b - pos_b) - 1 >= needed(size_a, size_b)
+    """Whether size and position allow the overlap: what both have before the entry, the entry, and what both have after it."""
+    return np.minimum(pos_a, pos_b) + np.minimum(size_a - pos_a, size_b - pos_b) >= needed(size_a, size_b)
 
 
 PAIR = "a long, b long, na long, nb long"
@@ -178,12 +188,16 @@ def _pair_batch(a, b, na, nb) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.where(swap, b, a)), pa.array(np.where(swap, a, b)), pa.array(np.where(swap, nb, na)), pa.array(np.where(swap, na, nb))], ["a", "b", "na", "nb"])
 
 
+#: Two ways to cut sizes into classes, so that near sizes share one.
+_SHIFTS, _BASE = (0.0, 0.5), 1.3
+
+
 def _hub_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each entry with the hub of its list and size class: one pair for an entry."""
     for (token, ids, at), _ in _runs(batches, ["token", "id", "at"]):
         size, pos = at >> 24, at & 0xFFFFFF
-        for shift in (0.0, 0.5):  # two ways to cut sizes into classes, so that near sizes share one
-            band = np.floor(np.log(size) / np.log(1.3) + shift).astype(np.int64)
+        for shift in _SHIFTS:
+            band = np.floor(np.log(size) / np.log(_BASE) + shift).astype(np.int64)
             order = np.lexsort((ids, band, token))
             t, b = token[order], band[order]
             first = np.concatenate([[True], (t[1:] != t[:-1]) | (b[1:] != b[:-1])])
@@ -193,34 +207,75 @@ def _hub_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield _pair_batch(ids[hub][ok], ids[order][ok], size[hub][ok], size[order][ok])
 
 
+def _hot_hub_pairs(lists: DataFrame) -> DataFrame:
+    """The same for hot lists, whose hubs, at most some dozens for each of less than ``HOT`` lists, go to every task."""
+    size = F.shiftright("at", 24)
+    out = None
+    for shift in _SHIFTS:
+        banded = lists.withColumn("band", F.floor(F.log(size) / float(np.log(_BASE)) + shift))
+        hubs = banded.groupBy("token", "band").agg(F.min(F.struct("id", "at")).alias("hub"))
+        met = banded.join(F.broadcast(hubs), ["token", "band"]).where(F.col("id") != F.col("hub.id"))
+        less, other = F.col("hub.id") < F.col("id"), F.shiftright("hub.at", 24)
+        pairs = met.select(F.least("hub.id", "id").alias("a"), F.greatest("hub.id", "id").alias("b"), F.when(less, other).otherwise(size).alias("na"), F.when(less, size).otherwise(other).alias("nb"))
+        out = pairs if out is None else out.unionByName(pairs)
+    return out
+
+
+def _tiles(lists: DataFrame) -> DataFrame:
+    """Hot lists (token, id, at, component) as entries of tiles: token is the tile's number, half the side of it (2 if it has one).
+
+    Blocks have about ``TILE`` entries, of one component if that has as many on the list. Entries go to as many
+    tiles as their block has partners; blocks of one component are none to each other.
+    """
+    sizes = lists.groupBy("token", "component").agg(F.count(F.lit(1)).alias("n")).withColumn("group", F.when(F.col("n") >= TILE, F.col("component")))
+    groups = sizes.groupBy("token", "group").agg(F.sum("n").alias("n")).withColumn("parts", F.ceil(F.col("n") / TILE))
+    named = lists.join(sizes.where("group is not null").select("token", "component", "group"), ["token", "component"], "left")
+    blocks = groups.select("token", "group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.xxhash64("token", "group").alias("g"))
+    a, b = blocks.select("token", F.struct("g", "part").alias("x"), "group"), blocks.select("token", F.struct("g", "part").alias("y"), F.col("group").alias("other"))
+    tiles = a.join(b, "token").where((F.col("x") <= F.col("y")) & (F.col("group").isNull() | F.col("other").isNull() | (F.col("group") != F.col("other"))))
+    tiles = tiles.select("token", F.xxhash64("token", "x", "y").alias("tile"), F.when(F.col("x") == F.col("y"), F.array(F.struct(F.col("x").alias("block"), F.lit(2).alias("half")))).otherwise(F.array(F.struct(F.col("x").alias("block"), F.lit(0).alias("half")), F.struct(F.col("y").alias("block"), F.lit(1).alias("half")))).alias("sides"))
+    sides = tiles.select("token", "tile", F.explode("sides").alias("s")).select("token", "tile", "s.block", "s.half")
+    counted = named.join(groups.select("token", "group", "parts").withColumnRenamed("token", "__t").withColumnRenamed("group", "__g"), (F.col("token") == F.col("__t")) & F.col("group").eqNullSafe(F.col("__g")))
+    own = counted.withColumn("block", F.struct(F.xxhash64("token", "group").alias("g"), F.pmod(F.xxhash64("id"), F.col("parts")).alias("part")))
+    return own.join(sides, ["token", "block"]).select(F.col("tile").alias("token"), "id", "at", "component", "half")
+
+
 def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterator[pa.RecordBatch]:
-    """Pairs of a list that are in different components, block by block; blocks that sizes rule out are skipped.
+    """Pairs of a list that are in different components, block by block; blocks that size and position rule out are skipped.
 
-    Positions are not asked here: every common entry of a pair must be counted for the bound on its overlap.
+    Position rules a pair out for good, so every common entry of a pair that is possible is counted.
     """
     out: list[tuple] = []
     held = 0
     num, den = SHARE
-    for cols, starts in _runs(batches, ["token", "id", "at", "component"]):
+    for cols, starts in _runs(batches, ["token", "id", "at", "component", "half"]):
         ends = np.append(starts[1:], len(cols[0]))
         mixed = np.minimum.reduceat(cols[3], starts) != np.maximum.reduceat(cols[3], starts)
         for lo, hi in zip(starts[mixed].tolist(), ends[mixed].tolist()):
-            ids, at, comp = (c[lo:hi] for c in cols[1:])
-            order = np.lexsort((ids, at))
-            ids, at, comp = ids[order], at[order], comp[order]
-            size = at >> 24
-            for i in range(0, len(ids), block):
-                a = slice(i, i + block)
+            ids, at, comp, half = (c[lo:hi] for c in cols[1:])
+            order = np.lexsort((ids, at))  # by size, then position
+            ids, at, comp, half = ids[order], at[order], comp[order], half[order]
+            size, pos = at >> 24, at & 0xFFFFFF
+            edges = [slice(i, min(i + block, len(ids))) for i in range(0, len(ids), block)]
+            before = [int(pos[e].max()) for e in edges]
+            after = [int((size[e] - pos[e]).max()) for e in edges]
+            for i, a in enumerate(edges):
                 most = size[a][-1] * den // num  # beyond it no set of this block has a partner
-                for j in range(i, len(ids), block):
-                    b = slice(j, j + block)
+                for j in range(i, len(edges)):
+                    b = edges[j]
                     if size[b][0] > most:
                         break
+                    if min(before[i], before[j]) + min(after[i], after[j]) < needed(int(size[a][0]), int(size[b][0])):
+                        continue
                     # Sizes rise along the list, so the first of a pair is the smaller.
                     ok = (comp[a][:, None] != comp[b][None, :]) & (size[b][None, :] * num <= size[a][:, None] * den)
+                    if half[0] != 2:
+                        ok &= half[a][:, None] != half[b][None, :]
                     if i == j:
                         ok = np.triu(ok, 1)
                     x, y = np.nonzero(ok)
+                    fits = _possible(size[a][x], pos[a][x], size[b][y], pos[b][y])
+                    x, y = x[fits], y[fits]
                     if len(x):
                         out.append((ids[a][x], ids[b][y], size[a][x], size[b][y]))
                         held += len(x)
@@ -277,51 +332,90 @@ def connected(edges: DataFrame) -> DataFrame:
 
 
 @common.cleaned
-def components(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per document: key, n_shingles, component_id."""
+def _components(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """One row per document: id, tag (hash of the text), node (the row's number), n_shingles, component (a node of it), component_id."""
     spark = docs.sparkSession
     n = common.partitions(spark)
-    rows = docs.select(F.col(key).cast("long").alias("id"), F.col(text).cast("string").alias("text"))
-    order = spark.sparkContext.broadcast(Order(_common_shingles(rows)))
-    made = common.materialise(rows.mapInArrow(_sets(order), "id long, mark binary, n long, tokens array<long>"), "sets")
-    sets = common.materialise(made.select("id", "mark", F.col("n").alias("n_shingles")), "marks")
-    classes = common.materialise(sets.where(F.octet_length("mark") > 0).groupBy("mark").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("copies")), "classes")
-    entries = made.where(F.col("id").isNotNull()).select("id", "n", F.posexplode("tokens").alias("p", "token"))
-    lists = entries.select("token", "id", F.shiftleft("n", 24).bitwiseOR(F.col("p").cast("long")).alias("at"))
-
-    def shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    rows = docs.select(F.col(key).cast("long").alias("id"), F.xxhash64(F.col(text).cast("string")).alias("tag"), F.col(text).cast("string").alias("text"))
+    order = common.shared(spark, Order(_common_shingles(rows)))
+    made = rows.mapInArrow(_sets(order), "id long, tag long, mark binary, n long, tokens array<long>")
+    made = common.materialise(made.withColumn("node", F.monotonically_increasing_id()), "sets")
+    sets = common.materialise(made.select("node", "id", "tag", "mark", F.col("n").alias("n_shingles")), "marks")
+    real = F.octet_length("mark") > 0
+    classes = common.materialise(sets.where(real).groupBy("mark").agg(F.min("node").alias("rep"), F.min("id").alias("least"), F.count(F.lit(1)).alias("copies")), "classes")
+    entries = made.select("node", "n", F.posexplode("tokens").alias("p", "token"))
+    lists = entries.select("token", F.col("node").alias("id"), F.shiftleft("n", 24).bitwiseOR(F.col("p").cast("long")).alias("at"))
+
+    def several(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for cols, _ in _runs(batches, ["token", "id", "at"]):
             yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["token", "id", "at"])
 
-    lists = common.materialise(lists.repartition(n, "token").sortWithinPartitions("token").mapInArrow(shared, "token long, id long, at long"), "shared")
+    lists = common.materialise(lists.repartition(n, "token").sortWithinPartitions("token").mapInArrow(several, "token long, id long, at long"), "shared")
     common.discard(made)
-    # Lists hold one document of a class for each input task; from here on the class's smallest identifier.
-    rep = sets.where(F.octet_length("mark") > 0).join(classes.where(F.col("copies") > 1), "mark").where(F.col("id") != F.col("rep")).select("id", "rep")
+    # Lists hold one document of a class for each input task; from here on the class's first.
+    rep = sets.where(real).join(classes.where(F.col("copies") > 1), "mark").where(F.col("node") != F.col("rep")).select(F.col("node").alias("id"), "rep")
     lists = lists.join(rep, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "at").groupBy("token", "id").agg(F.min("at").alias("at"))
     lists = common.materialise(lists, "lists")
+    total = lists.count()
+    hot = common.materialise(lists.groupBy("token").count().where(F.col("count") * HOT > total).select("token"), "hot")
+    some_hot = hot.limit(1).count() > 0
+    cold = lists.join(F.broadcast(hot), "token", "left_anti") if some_hot else lists
+    warm = lists.join(F.broadcast(hot), "token") if some_hot else None
 
     def prefix(size: str):
         return F.col(size) - F.ceil(F.col(size) * SHARE[0] / SHARE[1]) + 1
 
     bound = F.ceil((F.col("na") + F.col("nb")) * SHARE[0] / (SHARE[0] + SHARE[1])) - F.greatest(F.col("na") - prefix("na"), F.col("nb") - prefix("nb"))
     # The hubs: a pair needs only enough common entries to be worth a look, as what is passed over here is asked again below.
-    hubs = lists.repartition(n, "token").sortWithinPartitions("token", "id").mapInArrow(_hub_pairs, PAIR)
+    hubs = cold.repartition(n, "token").sortWithinPartitions("token", "id").mapInArrow(_hub_pairs, PAIR)
+    hubs = hubs.unionByName(_hot_hub_pairs(warm)) if some_hot else hubs
     hubs = common.materialise(hubs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") / 2 >= F.least(bound, F.lit(4))).select("a", "b"), "hubs")
-    involved = lists.select("id").distinct()
-    texts = common.materialise(rows.join(involved, "id", "left_semi").dropDuplicates(["id"]), "texts", compression="zstd")
+    involved = lists.select(F.col("id").alias("node")).distinct().join(sets.select("node", F.col("id").alias("__id"), F.col("tag").alias("__tag")), "node")
+    texts = rows.join(involved, F.col("id").eqNullSafe(F.col("__id")) & (F.col("tag") == F.col("__tag"))).select(F.col("node").alias("id"), "text")
+    if sets.groupBy("id", "tag").count().where("count > 1").limit(1).count():  # rows equal in identifier and text
+        texts = texts.dropDuplicates(["id"])
+    texts = common.materialise(texts, "texts", compression="zstd")
     links = common.materialise(_verify(hubs, texts), "links")
     labels = connected(links)
     # All other pairs: different components, and as many common entries as the similarity needs.
-    tagged = lists.join(labels, "id", "left").select("token", "id", "at", F.coalesce("component", "id").alias("component"))
+    tag = lambda x: x.join(labels, "id", "left").select("token", "id", "at", F.coalesce("component", "id").alias("component"))
+    tagged = tag(cold).withColumn("half", F.lit(2))
+    tagged = tagged.unionByName(_tiles(common.materialise(tag(warm), "warm"))) if some_hot else tagged
     cross = tagged.repartition(n, "token").sortWithinPartitions("token").mapInArrow(_cross_pairs, PAIR)
     cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") >= bound).select("a", "b")
     cross = common.materialise(cross, "cross")
     more = common.materialise(_verify(cross, texts), "links")
     if more.limit(1).count():
         labels = connected(labels.select(F.col("id").alias("a"), F.col("component").alias("b")).where("a != b").unionByName(more))
-    found = sets.join(classes.select("mark", "rep"), "mark", "left").select("id", "n_shingles", F.coalesce("rep", "id").alias("rep"))
-    found = found.join(labels.select(F.col("id").alias("rep"), "component"), "rep", "left")
-    return found.select(F.col("id").alias(key), "n_shingles", F.coalesce("component", "rep").alias("component_id"))
+    # The smallest identifier of a component, then of every class, then of every row.
+    linked = classes.select("rep", "least").join(labels.withColumnRenamed("id", "rep"), "rep")
+    smallest = linked.groupBy("component").agg(F.min("least").alias("smallest"))
+    linked = linked.join(smallest, "component").select("rep", "component", "smallest")
+    known = classes.select("mark", "rep", "least").join(linked, "rep", "left").select("mark", F.coalesce("component", "rep").alias("component"), F.coalesce("smallest", "least").alias("component_id"))
+    found = sets.join(known, "mark", "left")
+    own = F.when(real, F.col("component_id")).otherwise(F.col("id"))
+    return found.select("id", "tag", "node", "n_shingles", F.coalesce("component", "node").alias("component"), own.alias("component_id"))
+
+
+def components(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """One row per document: key, n_shingles, component_id."""
+    return _components(docs, key, text).select(F.col("id").alias(key), "n_shingles", "component_id")
+
+
+@common.cleaned
+def _fewer(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """(__key, __text, stay): how many rows of a key and text stay, where not all do."""
+    rows = _components(docs, key, text)
+    first = rows.groupBy("component").agg(F.min(F.struct(F.col("id").isNull().alias("last"), "id", "tag", "node")).alias("first"), F.count(F.lit(1)).alias("n"))
+    rows = rows.join(first.where("n > 1").select("component", F.col("first.node").alias("first")), "component")
+    counted = rows.groupBy(F.col("id").alias("__key"), F.col("tag").alias("__text")).agg(F.count_if(F.col("node") == F.col("first")).alias("stay"), F.count(F.lit(1)).alias("n"))
+    return counted.where("stay < n").drop("n")
+
+
+def near_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """``docs`` with all its columns and one row of each component: the one of smallest key."""
+    alike = {"__key": F.col(key).cast("long"), "__text": F.xxhash64(F.col(text).cast("string"))}
+    return common.without(docs, alike, _fewer(docs, key, text))
 
 
 def op8_ngram_jaccard_join(spark, sf_dir: str) -> DataFrame:

@@ -289,6 +289,44 @@ def test_sets_against_brute_force(documents, texts):
 
 
 @pytest.mark.parametrize("seed", range(3))
+def near_rows(seed=3, groups=12):
+    """Families of near copies of several sizes, texts that share most of a passage, and lone texts."""
+    rng = random.Random(seed)
+    word = lambda: "".join(rng.choices("abcdefghij", k=4))
+    rows = []
+    passage = [word() for _ in range(60)]
+    for g in range(groups):
+        base = [word() for _ in range(rng.randrange(20, 80))]
+        for _ in range(rng.randrange(1, 25)):
+            own = list(base)
+            for _ in range(rng.randrange(0, 3)):
+                own[rng.randrange(len(own))] = word()
+            rows.append(" ".join(own))
+    rows += [" ".join(passage + [word() for _ in range(rng.randrange(5, 25))]) for _ in range(60)]
+    return [(i, t) for i, t in enumerate(rows, 1)]
+
+
+@pytest.mark.parametrize("hot,tile", [(1000, 20_000), (5, 7), (10**9, 10)])
+def test_hot_lists_give_the_same(spark, monkeypatch, hot, tile):
+    monkeypatch.setattr(setjoin, "HOT", hot)
+    monkeypatch.setattr(setjoin, "TILE", tile)
+    rows = near_rows()
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in setjoin.components(df).collect()} == sets_brute(rows)
+
+
+def test_sets_of_repeated_and_null_identifiers(spark):
+    text = lambda c, n=40: " ".join(f"{c}{i}" for i in range(n))
+    near = text("a") + " end"
+    rows = [(1, text("a")), (2, near), (2, text("b")), (7, text("b")), (None, text("b")), (None, text("c")), (None, text("c")), (9, None), (9, None)]
+    for order in (rows, rows[::-1]):
+        df = spark.createDataFrame(order, "doc_id long, text string").coalesce(1)
+        got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in setjoin.components(df).collect()), key=str)
+        assert got == sorted([(1, 36, 1), (2, 37, 1), (2, 36, 2), (7, 36, 2), (None, 36, 2), (None, 36, None), (None, 36, None), (9, 0, 9), (9, 0, 9)], key=str)
+        kept = sorted(map(tuple, setjoin.near_dedup(df).collect()), key=str)
+        assert kept == sorted([(1, text("a")), (2, text("b")), (None, text("c")), (9, None), (9, None)], key=str)
+
+
 def test_chains_and_common_passages(spark, seed):
     rng = random.Random(seed)
     word = lambda: "".join(rng.choices("abcdefghijklmnop", k=4))
