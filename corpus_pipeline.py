@@ -16,9 +16,15 @@ from skewmap.session import ship
 ORACLE_SQL = None
 
 
+def _ready(spark: SparkSession) -> None:
+    """Workers get the package, and give up what the stage before, which is written by now, sent them."""
+    ship(spark)
+    common.release()
+
+
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language can be told stay; those without letters go."""
-    ship(spark)
+    _ready(spark)
     held = F.coalesce(common.residue("doc_id", 5) == 0, F.lit(False))
     model = langid.LanguageIdentifier.fit(docs.where(~held))
     return docs.where(model.predict(F.col("text"))["lang_pred"] != "und")
@@ -26,24 +32,25 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of equal texts stays."""
+    _ready(spark)
     return exactdedup.exact_dedup(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates stays: the one of smallest doc_id."""
-    ship(spark)
-    gone = setjoin.components(docs).where(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, docs["doc_id"] == gone["__gone"], "left_anti")
+    _ready(spark)
+    return setjoin.near_dedup(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sources mixed to their targets; a document may stand twice."""
+    _ready(spark)
     return mixing.mixed_documents(docs)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents cut and packed into sequences of at most 2048 tokens."""
-    ship(spark)
+    _ready(spark)
     return packing.pack(docs)
 
 
