@@ -2,7 +2,7 @@
 
 Keys are hashed to 64 bits and dealt to shards; one exchange by shard brings a shard's keys to its gate
 and its linear system, for building as for looking up. A shard is cut into buckets of about
-``BUCKET_BITS`` equations, each a GF(2) system solved by peeling and bit-packed elimination. Bit j of
+``BUCKET_BITS`` equations, each a GF(2) system; a shard's systems are solved side by side by lazy elimination. Bit j of
 a key's codeword is the XOR of cells h0 + j, h1 + j, h2 + j (and h3 + j) of its bucket.
 
 Keys whose 64-bit hashes coincide cannot both be in a system; all but the first go to ``exceptions``, a table
@@ -11,6 +11,7 @@ with the original keys that lookups ask first.
 
 from __future__ import annotations
 
+import functools
 import json
 import math
 import struct
@@ -20,16 +21,21 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.gatecost import FAMILIES
-from ..session import stored
+from ..session import partitions, stored
 from ..sources.keyvalue import KeyValueSpec, key_hash
 from . import gates, hashing, huffman, stats
-from .peeling import assign, eliminate, peel
+from .peeling import solve
 
-BUCKET_BITS, SHARD_KEYS = 900, 50_000
-#: Cells per equation and spare cells by number of hashes; small buckets need a little over the asymptotic overhead.
-SPACE = {3: (1.089, 24), 4: (1.024, 12)}
+#: Equations of a bucket, keys of a shard, buckets that are solved side by side, header bytes of a bucket.
+BUCKET_BITS, SHARD_KEYS, SIDE_BY_SIDE, HEADER = 2000, 100_000, 400, 4
+#: Keys of a shard of an index with few shards; codebooks up to so many bytes are sent to every task.
+SPLIT_KEYS, BROADCAST_BYTES = 25_000, 16 << 20
+#: By number of hashes: cells per equation, spare cells, and words of cells that may be set aside; small buckets need
+#: a little over the asymptotic overhead.
+SPACE = {3: (1.089, 24, 4), 4: (1.024, 16, 6)}
 
 
 # ---------------------------------------------------------------- linear systems of a shard
@@ -53,39 +59,48 @@ def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
 
 
 def solve_shard(h: np.ndarray, sizes: np.ndarray, codes: np.ndarray, hashes: int) -> bytes:
-    """Cells of a shard whose keys have codewords of given sizes: header, bucket table, packed cells."""
+    """Cells of a shard whose keys have codewords of given sizes: header, bucket table, packed cells.
+
+    All buckets are solved side by side; those whose system is singular take the next seed, and a little more space.
+    """
     h = hashing.prepared(h)
-    total = int(sizes.sum())
-    buckets = max(1, round(total / BUCKET_BITS))
+    buckets = max(1, round(int(sizes.sum()) / BUCKET_BITS))
     own = bucket_of(h, buckets)
-    order = np.argsort(own, kind="stable")
-    edges = np.searchsorted(own[order], np.arange(buckets + 1))
-    factor, spare = SPACE[hashes]
-    seeds, counts, parts = [], [], []
-    for b in range(buckets):
-        rows = order[edges[b] : edges[b + 1]]
-        n = sizes[rows]
-        eqs = int(n.sum())
-        key = np.repeat(np.arange(len(rows)), n)
-        bit = np.arange(eqs) - np.repeat(np.cumsum(n) - n, n)
-        want = (codes[rows][key] >> (n[key] - 1 - bit)) & 1
-        for seed in range(10_000):
-            cells = max(int(n.max(initial=0)) + hashes, math.ceil(factor * eqs * (1 + 0.01 * (seed // 8))) + spare) if eqs else 0
-            if not eqs:
-                values = np.zeros(0, np.uint8)
-                break
-            at = (positions(h[rows], np.int64(seed), np.int64(cells), hashes)[key] + bit[:, None]) % cells
-            values = np.zeros(cells, np.uint8)
-            layers, left = peel(at, cells)
-            if eliminate(at[left], want[left], values):
-                assign(layers, at, want.astype(np.uint8), values)
-                break
-        else:
-            raise RuntimeError("no seed solves a bucket")
-        seeds.append(seed)
-        counts.append(len(values))
-        parts.append(values)
-    head = struct.pack("<I", buckets) + np.array(seeds, "<u2").tobytes() + np.array(counts, "<u4").tobytes()
+    eqs = np.bincount(own, sizes, buckets).astype(np.int64)
+    most = np.zeros(buckets, np.int64)
+    np.maximum.at(most, own, sizes)
+    factor, spare, words = SPACE[hashes]
+    seeds, counts = np.zeros(buckets, np.int64), np.zeros(buckets, np.int64)
+    parts: list[np.ndarray] = [np.zeros(0, np.uint8)] * buckets
+    todo = np.flatnonzero(eqs > 0)
+    for seed in range(0x10000):
+        if not len(todo):
+            break
+        failed = [todo[:0]]
+        seeds[todo] = seed
+        counts[todo] = np.maximum(most[todo] + hashes, np.ceil(factor * eqs[todo] * (1 + 0.01 * (seed // 8))).astype(np.int64) + spare)
+        for lo in range(0, len(todo), SIDE_BY_SIDE):
+            some = todo[lo : lo + SIDE_BY_SIDE]
+            place = np.full(buckets, -1)
+            place[some] = np.arange(len(some))
+            rows = np.flatnonzero(place[own] >= 0)
+            size, start = counts[some], np.cumsum(counts[some]) - counts[some]
+            n, which = sizes[rows], place[own[rows]]
+            key = np.repeat(np.arange(len(rows)), n)
+            bit = np.arange(len(key)) - np.repeat(np.cumsum(n) - n, n)
+            want = (codes[rows][key] >> (n[key] - 1 - bit)) & 1
+            at = positions(h[rows], np.full(len(rows), seed), size[which], hashes)
+            at = (at[key] + bit[:, None]) % size[which[key], None] + start[which[key], None]
+            values, solved = solve(at, want, which[key], np.repeat(np.arange(len(some)), size), len(some), words)
+            for i in np.flatnonzero(solved).tolist():
+                parts[some[i]] = values[start[i] : start[i] + size[i]]
+            failed.append(some[~solved])
+        todo = np.concatenate(failed)
+    else:
+        raise RuntimeError("no seed solves a bucket")
+    if counts.max(initial=0) > 0xFFFF:
+        raise RuntimeError("a bucket has more cells than its header can tell")
+    head = struct.pack("<I", buckets) + seeds.astype("<u2").tobytes() + counts.astype("<u2").tobytes()
     return head + np.packbits(np.concatenate(parts), bitorder="little").tobytes()
 
 
@@ -95,8 +110,8 @@ def read_shard(data: bytes, h: np.ndarray, code: huffman.Code, hashes: int) -> n
         return np.zeros(len(h), np.int64)
     (buckets,) = struct.unpack_from("<I", data)
     seeds = np.frombuffer(data, "<u2", buckets, 4).astype(np.int64)
-    counts = np.frombuffer(data, "<u4", buckets, 4 + 2 * buckets).astype(np.int64)
-    bits = np.unpackbits(np.frombuffer(data, np.uint8, offset=4 + 6 * buckets), bitorder="little")
+    counts = np.frombuffer(data, "<u2", buckets, 4 + 2 * buckets).astype(np.int64)
+    bits = np.unpackbits(np.frombuffer(data, np.uint8, offset=4 + HEADER * buckets), bitorder="little")
     base = np.cumsum(counts) - counts
     h = hashing.prepared(h)
     own = bucket_of(h, buckets)
@@ -170,20 +185,32 @@ class Index:
     def plan(self) -> Plan:
         return self.manifest.plan
 
+    @functools.cached_property
+    def book_bytes(self) -> int:
+        """Bytes of the codebook's values and ranks."""
+        kind = self.codebook.schema["value"].dataType
+        size = F.octet_length("value") if isinstance(kind, (T.StringType, T.BinaryType)) else F.octet_length(F.col("value").cast("string"))
+        return self.codebook.agg(F.coalesce(F.sum(F.coalesce(size, F.lit(0)) + 24), F.lit(0))).first()[0]
+
     def lookup(self, keys: DataFrame, absent: str = "arbitrary") -> DataFrame:
         """``keys`` with a column of values. Keys that are not in the index get any value.
 
-        One exchange of the keys by shard serves gate and map; the codebook is joined by rank.
+        One exchange of the keys by shard serves gate and map; the codebook is joined by rank. A task reads a shard's
+        row and then streams the keys of that shard past it, so repeated keys, however many, are never gathered.
         """
         if absent != "arbitrary":
             raise ValueError("this index stores no key fingerprints; absent keys get any value")
         m = self.manifest
         extra = [c for c in keys.columns]
-        tagged = keys.select(*extra, key_hash(keys, m.keys, m.seed).alias("__h")).withColumn("__shard", F.pmod("__h", F.lit(m.shards)))
+        h = key_hash(keys, m.keys, m.seed)
+        asked = keys.select(F.pmod(h, F.lit(m.shards)).alias("__shard"), F.lit(1).alias("__kind"), h.alias("__h"), F.lit(None).cast("binary").alias("__gate"), F.lit(None).cast("binary").alias("__cells"), *extra)
+        given = self.shards.select(F.col("shard").alias("__shard"), F.lit(0).alias("__kind"), F.lit(0).cast("long").alias("__h"), F.col("gate").alias("__gate"), F.col("cells").alias("__cells"), *(F.lit(None).cast(f.dataType).alias(f.name) for f in keys.schema.fields))
+        n = max(1, min(m.shards, partitions(keys.sparkSession)))
+        met = given.union(asked).repartitionById(n, F.pmod("__shard", F.lit(n)).cast("int")).sortWithinPartitions("__shard", "__kind")
         fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keys.schema.fields)
-        found = tagged.groupBy("__shard").cogroup(self.shards.groupBy("shard")).applyInArrow(_lookup(m, extra), f"{fields + ', ' if fields else ''}__rank long")
+        found = met.mapInArrow(_lookup(m, extra), f"{fields + ', ' if fields else ''}__rank long")
         book = self.codebook.select(F.col("rank").alias("__rank"), F.col("value").alias(m.value))
-        book = F.broadcast(book) if m.distinct_values <= huffman.SMALL else book
+        book = F.broadcast(book) if self.book_bytes <= BROADCAST_BYTES else book
         out = found.join(book, "__rank", "left").select(*extra, m.value)
         if not m.exceptions:
             return out
@@ -191,7 +218,8 @@ class Index:
         cond = F.lit(True)
         for k in m.keys:
             cond = cond & F.col(k).eqNullSafe(F.col(f"__e_{k}"))
-        return out.join(F.broadcast(odd), cond, "left").select(*extra, F.when(F.col("__e"), F.col("__e_value")).otherwise(F.col(m.value)).alias(m.value))
+        odd = F.broadcast(odd) if m.exceptions <= huffman.SMALL else odd
+        return out.join(odd, cond, "left").select(*extra, F.when(F.col("__e"), F.col("__e_value")).otherwise(F.col(m.value)).alias(m.value))
 
     def filter_equals(self, keys: DataFrame, value) -> DataFrame:
         """Keys whose value is ``value``; for a value other than the dominant one, the gate turns most keys away."""
@@ -240,26 +268,44 @@ def _column(table: pa.Table, name: str) -> np.ndarray:
     return table.column(name).to_numpy()
 
 
+def ranks_in_shard(m: Manifest, family, code: huffman.Code, gate: bytes, cells: bytes, h: np.ndarray) -> np.ndarray:
+    """Ranks of values that a shard gives for key hashes."""
+    rank, passed = np.zeros(len(h), np.int64), np.arange(len(h))
+    given, h = h, hashing.prepared(h)
+    if m.plan.use_gate:
+        passed = np.flatnonzero(gates.probe(family, m.plan.param, gate, h if isinstance(family, str) else given))
+    if len(passed) and cells:
+        rank[passed] = _back(read_shard(cells, h[passed], code, m.hashes), m.dominant_place)
+    return rank
+
+
 def _lookup(m: Manifest, extra: list[str]):
-    code, plan = huffman.Code(*m.code), m.plan
-
-    def run(keys: pa.Table, shard: pa.Table) -> pa.Table:
-        rank = np.zeros(keys.num_rows, np.int64)
-        if shard.num_rows and keys.num_rows:
-            h = hashing.prepared(_column(keys, "__h"))
-            passed = np.arange(len(h))
-            if plan.use_gate:
-                passed = np.flatnonzero(gates.probe(plan.family, plan.param, shard.column("gate")[0].as_py() or b"", h))
-            cells = shard.column("cells")[0].as_py()
-            if len(passed) and cells:
-                rank[passed] = _back(read_shard(cells, h[passed], code, m.hashes), m.dominant_place)
-        return keys.select(extra).append_column("__rank", pa.array(rank))
+    """For ``mapInArrow`` over (shard, kind, hash, gate, cells, keys), sorted by shard, its own row before its keys."""
+    code, family = huffman.Code(*m.code), gates.named(m.plan.family) if m.plan.use_gate else None
+
+    def run(batches):
+        at, gate, cells = None, b"", b""
+        for batch in batches:
+            shard, kind, h = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+            rank = np.zeros(batch.num_rows, np.int64)
+            cuts = np.flatnonzero((shard[1:] != shard[:-1]) | (kind[1:] != kind[:-1])) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, len(shard)]):
+                if lo == hi:
+                    continue
+                if kind[lo] == 0:
+                    at, gate, cells = shard[lo], batch.column(3)[lo].as_py() or b"", batch.column(4)[lo].as_py() or b""
+                elif shard[lo] == at:
+                    rank[lo:hi] = ranks_in_shard(m, family, code, gate, cells, h[lo:hi])
+            keys = pa.array(kind == 1)
+            out = pa.RecordBatch.from_arrays([*(batch.column(5 + i) for i in range(len(extra))), pa.array(rank)], [*extra, "__rank"])
+            yield out.filter(keys)
 
     return run
 
 
 def _gate_shard(plan: Plan):
     """For ``applyInArrow`` on a shard's keys: its gate, the dominant keys it lets pass, and colliding hashes."""
+    family = gates.named(plan.family) if plan.use_gate else None
 
     def run(keys: pa.Table) -> pa.Table:
         h, rank = _column(keys, "h"), _column(keys, "rank")
@@ -270,8 +316,8 @@ def _gate_shard(plan: Plan):
         h, rank = h[~twice], rank[~twice]
         gate, leaked = b"", h[rank == 0]
         if plan.use_gate:
-            gate = gates.build(plan.family, plan.param, h[rank != 0])
-            leaked = leaked[gates.probe(plan.family, plan.param, gate, leaked)]
+            gate = gates.build(family, plan.param, h[rank != 0])
+            leaked = leaked[gates.probe(family, plan.param, gate, leaked)]
         return pa.table({
             "shard": pa.array([keys.column("shard")[0].as_py()], pa.int64()), "gate": pa.array([gate], pa.binary()), "leaked": pa.array([leaked.tobytes()], pa.binary()),
             "n_leaked": pa.array([len(leaked)], pa.int64()), "collided": pa.array([other.tolist()], pa.list_(pa.int64())), "keys": pa.array([len(h)], pa.int64()),
@@ -295,7 +341,7 @@ def _map_shard(code: huffman.Code, hashes: int, place: int):
         if code.longest and len(h):
             sizes, words = code.encode(_moved(rank, place))
             cells = solve_shard(h, sizes, words, hashes)
-            head = 4 + 6 * struct.unpack_from("<I", cells)[0]
+            head = 4 + HEADER * struct.unpack_from("<I", cells)[0]
         else:
             cells, head = b"", 0
         return pa.table({"shard": gate.column("shard"), "gate": gate.column("gate"), "cells": pa.array([cells], pa.binary()), "head": pa.array([head], pa.int32()), "keys": gate.column("keys")})
@@ -303,35 +349,70 @@ def _map_shard(code: huffman.Code, hashes: int, place: int):
     return run
 
 
-def build(df: DataFrame, spec: KeyValueSpec, plan: Plan, profile: stats.Profile | None = None, hashes: int = 3, seed: int = 0, shard_keys: int = SHARD_KEYS) -> Index:
-    """Index of ``df`` under a plan. Three exchanges: histogram by value, and keys by shard for gate and for map."""
-    spark = df.sparkSession
-    pairs = spec.pairs(df)
-    histogram = stored(stats.value_histogram(pairs, spec.value), "histogram")
-    profile = profile or stats.profile(pairs, spec.value)
-    distinct = histogram.count()
-    n = histogram.agg(F.coalesce(F.sum("freq"), F.lit(0))).first()[0]
-    book = stored(huffman.ranked_values(histogram, distinct), "codebook")
+def shard_count(n: int, shard_keys: int = SHARD_KEYS) -> int:
+    """Shards of an index over n keys: of about ``shard_keys``, but some for a few cores from 50,000 keys on."""
+    shards = max(1, -(-n // shard_keys))
+    return max(shards, min(8, n // SPLIT_KEYS)) if n >= 2 * SPLIT_KEYS else shards
+
+
+def build(df: DataFrame, spec: KeyValueSpec, plan: Plan, hashes: int = 3, seed: int = 0, shard_keys: int = SHARD_KEYS) -> Index:
+    """Index of ``df`` under a plan. Exchanges: histogram by value, and keys by shard for gate and for map."""
+    pairs = df if isinstance(df, Relation) else relation(df, spec, seed)
+    return build_relation(pairs, plan, hashes, shard_keys)
+
+
+@dataclass
+class Relation:
+    """A checked relation, stored once: rows (keys, value, __h), and its histogram with what planners ask of it."""
+
+    pairs: DataFrame
+    spec: KeyValueSpec
+    seed: int
+    histogram: DataFrame
+    runs: list[tuple[int, int]]
+    key_types: dict[str, str]
+
+    @functools.cached_property
+    def profile(self) -> stats.Profile:
+        return stats.Profile(sum(f * m for f, m in self.runs), sum(m for _, m in self.runs), max((f for f, _ in self.runs), default=0))
+
+    @property
+    def entropy(self) -> float:
+        n = max(1, self.profile.num_keys)
+        return -sum(m * (f / n) * math.log2(f / n) for f, m in self.runs)
+
+
+def relation(df: DataFrame, spec: KeyValueSpec, seed: int = 0) -> Relation:
+    """Store a relation with its key hashes and find its histogram; refused if keys repeat and the policy says so."""
+    pairs = spec.rows(df)
+    hashed = stored(pairs.select(*spec.keys, spec.value, key_hash(pairs, spec.keys, seed).alias("__h")), "pairs")
+    if spec.on_duplicate == "error":
+        spec.refuse_repeats(hashed, "__h")
+    histogram = stored(stats.value_histogram(hashed, spec.value), "histogram")
     runs = huffman.collect_runs(stats.freq_of_freq(histogram))
+    return Relation(hashed, spec, seed, histogram, runs, {k: df.schema[k].dataType.simpleString() for k in spec.keys})
+
+
+def build_relation(made: Relation, plan: Plan, hashes: int = 3, shard_keys: int = SHARD_KEYS) -> Index:
+    """Index of a stored relation."""
+    pairs, spec, seed, histogram, runs, profile = made.pairs, made.spec, made.seed, made.histogram, made.runs, made.profile
+    distinct, n = profile.distinct_values, profile.num_keys
+    book = stored(huffman.ranked_values(histogram, distinct), "codebook")
     base_code = huffman.Code.of(runs)
-    shards = max(1, -(-n // shard_keys))
-    if n > 2 * 12_288:
-        shards = max(shards, min(8, n // 12_288))
+    shards = shard_count(n, shard_keys)
     if distinct <= 1:
         plan = replace(plan, use_gate=False)
+    if plan.use_gate:
+        gates.named(plan.family)
     ranks = book.select(F.col("value").alias("__v"), "rank")
     ranks = F.broadcast(ranks) if distinct <= huffman.SMALL else ranks
-    hashed = pairs.select(key_hash(pairs, spec.keys, seed).alias("h"), F.col(spec.value).alias("__value"))
-    keyed = hashed.join(ranks, F.col("__value").eqNullSafe(F.col("__v"))).select(F.pmod("h", F.lit(shards)).alias("shard"), "h", "rank")
-    keyed = stored(keyed, "keys")
+    keyed = pairs.select(F.col("__h").alias("h"), F.col(spec.value).alias("__value"))
+    keyed = stored(keyed.join(ranks, F.col("__value").eqNullSafe(F.col("__v"))).select(F.pmod("h", F.lit(shards)).alias("shard"), "h", "rank"), "keys")
     gated = stored(keyed.groupBy("shard").applyInArrow(_gate_shard(plan), "shard long, gate binary, leaked binary, n_leaked long, collided array<long>, keys long"), "gates")
     totals = gated.agg(F.coalesce(F.sum("n_leaked"), F.lit(0)).alias("leaked"), F.coalesce(F.sum(F.size("collided")), F.lit(0)).alias("collided")).first()
-    top = max((f for f, _ in runs), default=0)
-    left = list(runs)
+    top = profile.dominant_count
     leaked = totals["leaked"] if plan.use_gate else top
-    if plan.use_gate and runs:
-        left = [(f, m - (f == top)) for f, m in runs]
-        left = [(f, m) for f, m in left if m] + [(max(leaked, 0), 1)]
+    left = gated_runs(runs, leaked) if plan.use_gate and runs else list(runs)
     code = huffman.Code.of(left)
     # The dominant value's place among the others by their frequencies.
     place = sum(m for f, m in runs if f > leaked) - (1 if top > leaked else 0) if plan.use_gate else 0
@@ -339,12 +420,19 @@ def build(df: DataFrame, spec: KeyValueSpec, plan: Plan, profile: stats.Profile
     shard_rows = stored(shard_rows, "shards")
     odd = pairs.limit(0)
     if totals["collided"]:
-        hit = gated.select(F.explode("collided").alias("h"))
-        odd = pairs.withColumn("h", key_hash(pairs, spec.keys, seed)).join(hit, "h", "left_semi").drop("h")
-    odd = stored(odd, "exceptions")
+        hit = gated.select(F.explode("collided").alias("__h"))
+        odd = pairs.join(hit, "__h", "left_semi").select(*spec.keys, spec.value)
+    odd = stored(odd.select(*spec.keys, spec.value), "exceptions")
     pair = lambda c: (c.lengths, c.counts)
     manifest = Manifest(tuple(spec.keys), spec.value, seed, shards, hashes, n, distinct, top, leaked, pair(base_code), pair(code), place, plan, totals["collided"])
-    return Index(manifest, shard_rows, book, odd, {k: df.schema[k].dataType.simpleString() for k in spec.keys})
+    return Index(manifest, shard_rows, book, odd, made.key_types)
+
+
+def gated_runs(runs: list[tuple[int, int]], leaked: int) -> list[tuple[int, int]]:
+    """Frequencies in a gated map: the dominant value's is that of its leaked keys."""
+    top = max(f for f, _ in runs)
+    left = [(f, m - (f == top)) for f, m in runs]
+    return [(f, m) for f, m in left if m] + [(max(leaked, 0), 1)]
 
 
 def model_bits(runs: list[tuple[int, int]], eps: float | None = None, bits: float = 0.0, delta: float = 1.089) -> dict[str, float]:

@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import gates, hashing, huffman
-from .index import Index, Plan, model_bits, read_shard
+from . import gates, huffman
+from .index import Index, Plan, model_bits, ranks_in_shard
 
 
 def timed(build: Callable):
@@ -82,19 +82,14 @@ def _inside(index: Index, keys: DataFrame) -> float:
     from ..sources.keyvalue import key_hash
 
     m = index.manifest
-    code, plan = huffman.Code(*m.code), m.plan
+    code, family = huffman.Code(*m.code), gates.named(m.plan.family) if m.plan.use_gate else None
     tagged = keys.select(key_hash(keys, m.keys, m.seed).alias("h")).withColumn("s", F.pmod("h", F.lit(m.shards)))
 
     def run(k: pa.Table, s: pa.Table) -> pa.Table:
         h = k.column("h").to_numpy()
         began = time.perf_counter_ns()
         if s.num_rows and len(h):
-            h = hashing.prepared(h)
-            passed = np.arange(len(h))
-            if plan.use_gate:
-                passed = np.flatnonzero(gates.probe(plan.family, plan.param, s.column("gate")[0].as_py() or b"", h))
-            if len(passed) and s.column("cells")[0].as_py():
-                read_shard(s.column("cells")[0].as_py(), h[passed], code, m.hashes)
+            ranks_in_shard(m, family, code, s.column("gate")[0].as_py() or b"", s.column("cells")[0].as_py() or b"", h)
         return pa.table({"ns": pa.array([time.perf_counter_ns() - began]), "n": pa.array([len(h)])})
 
     out = tagged.groupBy("s").cogroup(index.shards.groupBy("shard")).applyInArrow(run, "ns long, n long").agg(F.sum("ns"), F.sum("n")).first()

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.bounds import DELTA3, lower_bound
 from ..functions.gatecost import FAMILIES, GateFamily, Setting, settings
-from ..operators.index import Plan, build, model_bits
+from ..operators.index import SHARD_KEYS, Plan, build, build_relation, model_bits, relation, shard_count
 from ..operators.stats import Profile
 from ..sources.keyvalue import KeyValueSpec
 
@@ -45,14 +45,23 @@ def _scored(profile: Profile, choices: list[Setting], delta: float, l0: float) -
     return [(lower_bound(profile.alpha, s.eps, s.bits, profile.ratio, delta, l0), s) for s in choices]
 
 
-def gap_plan(profile: Profile, families: Iterable[str] = ("fuse3",), delta: float = DELTA3, mode: str = "discrete", l0: float = 1) -> Plan:
-    """Gate at the setting of the greatest lower bound, if that is positive."""
+def gate_keys(profile: Profile, shard_keys: int = SHARD_KEYS) -> float:
+    """Keys of each gate of an index to be built: a shard's share of the minority keys."""
+    return (profile.num_keys - profile.dominant_count) / shard_count(profile.num_keys, shard_keys)
+
+
+def gap_plan(profile: Profile, families: Iterable[str] = ("fuse3",), delta: float = DELTA3, mode: str = "discrete", l0: float = 1, keys: float | None = None) -> Plan:
+    """Gate at the setting of the greatest lower bound, if that is positive.
+
+    ``keys``: keys of each gate (``gate_keys``), to plan with what gates of that size take when stored; without
+    it they cost what they do at large.
+    """
     if profile.distinct_values <= 1 or not profile.num_keys:
         return Plan(False, planner="gap")
     if mode == "continuous":
         choices = [s for f in families if (s := continuous_setting(FAMILIES[f], profile.alpha, delta, l0))]
     else:
-        choices = settings(families)
+        choices = settings(families, keys)
     bound, best = min(_scored(profile, choices, delta, l0), key=lambda x: (-x[0], x[1].bits, x[1].family), default=(0.0, None))
     if best is None or bound <= 0:
         return Plan(False, bound=bound, planner="gap")
@@ -125,13 +134,13 @@ def entropy_fit_plan(profile: Profile, entropy: float, family: str = "ideal_bloo
 # ---------------------------------------------------------------- exhaustive search
 
 
-def exhaustive_plan(runs: list[tuple[int, int]], families: Iterable[str] = ("fuse3",), delta: float = DELTA3) -> tuple[Plan, list[tuple[Setting, float]]]:
+def exhaustive_plan(runs: list[tuple[int, int]], families: Iterable[str] = ("fuse3",), delta: float = DELTA3, keys: float | None = None) -> tuple[Plan, list[tuple[Setting, float]]]:
     """Best setting by the cost model, and every setting's saving per key over the ungated map."""
     n = sum(f * m for f, m in runs)
     alone = model_bits(runs, delta=delta)
     base = alone["map"] + alone["code_lengths"]
     out = []
-    for s in settings(families):
+    for s in settings(families, keys):
         terms = model_bits(runs, s.eps, s.bits, delta)
         out.append((s, (base - terms["map"] - terms["gate"] - terms["code_lengths"]) / n))
     best, saving = max(out, key=lambda x: (x[1], -x[0].bits))
@@ -141,9 +150,9 @@ def exhaustive_plan(runs: list[tuple[int, int]], families: Iterable[str] = ("fus
 
 def exhaustive_measured(df: DataFrame, spec: KeyValueSpec, families: Iterable[str] = ("fuse3",), **options) -> tuple[Plan, list[tuple[Plan, float]]]:
     """Builds the ungated map and every setting, and takes the smallest by stored bits."""
-    tried = []
+    tried, made = [], relation(df, spec)
     for plan in [Plan(False, planner="exhaustive"), *(Plan(True, s.family, s.param, s.eps, s.bits, planner="exhaustive") for s in settings(families))]:
-        size = build(df, spec, plan, **options).measured_bits().groupBy().sum("bpk").first()[0]
+        size = build_relation(made, plan, **options).measured_bits().groupBy().sum("bpk").first()[0]
         tried.append((plan, size))
     return min(tried, key=lambda x: x[1])[0], tried
 
@@ -152,28 +161,24 @@ PLANNERS = ("gap", "entropy_fit", "exhaustive", "never", "always")
 
 
 def build_index(df: DataFrame, spec: KeyValueSpec, planner: str = "gap", families: Iterable[str] = ("fuse3",), delta: float = DELTA3, **options):
-    """Profile, plan, build: the whole way from a relation to an index."""
-    from ..operators import huffman, stats
-
-    pairs = df.select(*spec.keys, spec.value)
-    prof = stats.profile(spec.pairs(pairs), spec.value)
-    families = tuple(families)
+    """Profile, plan, build: the whole way from a relation to an index. The relation is read once and stored."""
+    made = relation(df, spec, options.pop("seed", 0))
+    prof, families = made.profile, tuple(families)
+    keys = gate_keys(prof, options.get("shard_keys", SHARD_KEYS))
     if planner == "gap":
-        plan = gap_plan(prof, families, delta)
+        plan = gap_plan(prof, families, delta, keys=keys)
     elif planner == "entropy_fit":
-        h = stats.entropy(stats.value_histogram(pairs, spec.value)).first()["entropy"]
-        plan = entropy_fit_plan(prof, h, families[0])
+        plan = entropy_fit_plan(prof, made.entropy, families[0])
     elif planner == "exhaustive":
-        runs = huffman.collect_runs(stats.freq_of_freq(stats.value_histogram(pairs, spec.value)))
-        plan = exhaustive_plan(runs, families, delta)[0] if runs else Plan(False, planner="exhaustive")
+        plan = exhaustive_plan(made.runs, families, delta, keys)[0] if made.runs else Plan(False, planner="exhaustive")
     elif planner == "never":
         plan = Plan(False, planner="never")
     elif planner == "always":
-        bound, best = max(_scored(prof, settings(families), delta, 1), key=lambda x: x[0])
+        bound, best = max(_scored(prof, settings(families, keys), delta, 1), key=lambda x: x[0])
         plan = Plan(True, best.family, best.param, best.eps, best.bits, bound, "always")
     else:
         raise ValueError(f"planner is one of {PLANNERS}")
-    return build(pairs, spec, plan, prof, **options)
+    return build_relation(made, plan, **options)
 
 
 def explain(profile: Profile, families: Iterable[str] = ("fuse3",), delta: float = DELTA3) -> str:

@@ -30,8 +30,8 @@ class KeyValueSpec:
             if isinstance(kind, (T.MapType, T.CalendarIntervalType, T.DayTimeIntervalType, T.YearMonthIntervalType)):
                 raise TypeError(f"key column {name} has type {kind.simpleString()}, which cannot be hashed as a key")
 
-    def pairs(self, df: DataFrame) -> DataFrame:
-        """Key columns and the value, one row per key."""
+    def rows(self, df: DataFrame) -> DataFrame:
+        """Key columns and the value; one row per key, but for the policy ``error``, under which repeats are yet to be refused."""
         self.check(df)
         rows = df.select(*self.keys, self.value)
         how = {"first": F.min, "sum": F.sum, "max": F.max}.get(self.on_duplicate)
@@ -39,9 +39,24 @@ class KeyValueSpec:
             return rows.groupBy(*self.keys).agg(how(self.value).cast(rows.schema[self.value].dataType).alias(self.value))
         if self.on_duplicate != "error":
             raise ValueError(f"unknown policy {self.on_duplicate!r}")
+        return rows
+
+    def refuse_repeats(self, rows: DataFrame, hashed: str | None = None) -> None:
+        """Raise if a key occurs more than once. With a column of key hashes only rows that share one are compared by key."""
+        if hashed is not None:
+            again = rows.groupBy(hashed).agg(F.count(F.lit(1)).alias("__n")).where("__n > 1").drop("__n")
+            if not again.limit(1).count():
+                return
+            rows = rows.join(again, hashed, "left_semi")
         twice = rows.groupBy(*self.keys).agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).collect()
         if twice:
             raise DuplicateKeys(f"key {twice[0].asDict()} occurs {twice[0]['n']} times")
+
+    def pairs(self, df: DataFrame) -> DataFrame:
+        """Key columns and the value, one row per key."""
+        rows = self.rows(df)
+        if self.on_duplicate == "error":
+            self.refuse_repeats(rows)
         return rows
 
 

@@ -43,10 +43,32 @@ def test_gates_have_no_false_negatives_and_the_promised_rate(family, param):
     assert abs(gates.probe(family, param, gate, other).mean() - eps) < 4 * (eps * (1 - eps) / 50_000) ** 0.5 + 0.003
     bits = (len(gate) - 12) * 8 / len(h)
     assert bits <= FAMILIES[family].bits(eps) * 1.1 + 0.05
+    assert len(gate) * 8 == FAMILIES[family].stored(param, len(h))  # the planner's cost is the gate's
     assert not gates.probe(family, param, gates.build(family, param, h[:0]), h).any()
     assert gates.probe(family, param, gates.build(family, param, h[:1]), h[:1]).all()
 
 
+def test_registered_families_are_built_and_others_refused(spark):
+    from skewmap.functions import gatecost
+
+    with pytest.raises(ValueError):
+        gates.build("cuckoo", 3, np.arange(10))
+    with pytest.raises(ValueError):
+        gates.build("fuse3", 0.4, np.arange(10))
+    sorted_ = gatecost.GateFamily("sorted", (1,), lambda p: 1e-9, lambda e: 64.0, build=lambda p, h, seed: np.sort(h).tobytes(), probe=lambda p, g, h: np.isin(h, np.frombuffer(g, np.int64)))
+    gatecost.register_gate_family(sorted_)
+    curve = gatecost.register_gate_family(gatecost.GateFamily("curve", (1,), lambda p: 0.5, lambda e: 1.2))
+    try:
+        df = pairs(spark, ["a" if i % 9 else str(i % 4) for i in range(3000)])
+        ix = build(df, KeyValueSpec(("k",), "v"), Plan(True, "sorted", 1, 1e-9, 64.0), shard_keys=800)
+        assert ix.manifest.leaked == 0 and exact(ix, df)
+        with pytest.raises(ValueError):
+            build(df, KeyValueSpec(("k",), "v"), Plan(True, curve.name, 1, 0.5, 1.2))
+    finally:
+        gatecost.FAMILIES.pop("sorted")
+        gatecost.FAMILIES.pop("curve")
+
+
 def test_bloom_probe_as_column(spark):
     import struct
 
@@ -60,18 +82,30 @@ def test_bloom_probe_as_column(spark):
     assert (got == gates.probe("bloom3", 6, gate, h)).all()
 
 
-def test_linear_systems():
+@pytest.mark.parametrize("k,factor,words", [(3, 1.12, 2), (4, 1.06, 3), (3, 1.4, 1)])
+def test_linear_systems(k, factor, words):
     rng = np.random.default_rng(1)
-    for m, k, factor in ((300, 3, 1.15), (300, 4, 1.08), (1, 3, 9), (0, 3, 1)):
-        cells = int(m * factor) + 12
-        at = np.array([rng.choice(cells, k, replace=False) for _ in range(m)], np.int64).reshape(m, k)
-        want = rng.integers(0, 2, m)
-        values = np.zeros(cells, np.uint8)
-        layers, left = peeling.peel(at, cells)
-        assert peeling.eliminate(at[left], want[left], values)
-        peeling.assign(layers, at, want.astype(np.uint8), values)
-        assert (np.bitwise_xor.reduce(values[at], axis=1) == want).all()
-    assert not peeling.eliminate(np.array([[0, 1, 2], [0, 1, 2]]), np.array([0, 1]), np.zeros(3, np.uint8))
+    sizes = [0, 1, 2, 40, 300, 300, 500]
+    cells = [int(m * factor) + 14 for m in sizes]
+    start = np.cumsum([0, *cells])
+    at = np.array([start[b] + rng.choice(cells[b], k, replace=False) for b, m in enumerate(sizes) for _ in range(m)], np.int64)
+    system, slot_system = np.repeat(np.arange(len(sizes)), sizes), np.repeat(np.arange(len(sizes)), cells)
+    want = rng.integers(0, 2, len(at))
+    values, solved = peeling.solve(at, want, system, slot_system, len(sizes), words)
+    assert solved.sum() >= len(sizes) - 1
+    assert (np.bitwise_xor.reduce(values[at], axis=1) == want)[solved[system]].all()
+
+
+def test_contradictions_are_not_solved():
+    at = np.array([[0, 1, 2], [0, 1, 2], [3, 4, 5], [3, 4, 5]])
+    values, solved = peeling.solve(at, np.array([0, 1, 1, 1]), np.array([0, 0, 1, 1]), np.repeat([0, 1], 3), 2, 1)
+    assert solved.tolist() == [False, True] and values[3:].sum() % 2 == 1
+    # More cells set aside than there are bits for them: given up, not solved wrongly.
+    rng = np.random.default_rng(2)
+    at = np.array([rng.choice(410, 4, replace=False) for _ in range(400)])
+    want = rng.integers(0, 2, 400)
+    values, solved = peeling.solve(at, want, np.zeros(400, np.int64), np.zeros(410, np.int64), 1, 1)
+    assert not solved[0] or (np.bitwise_xor.reduce(values[at], axis=1) == want).all()
 
 
 @pytest.mark.parametrize("hashes", [3, 4])
@@ -137,6 +171,15 @@ def test_colliding_hashes_are_exceptions(spark, monkeypatch):
     assert exact(ix, df)
 
 
+def test_repeated_probe_keys_and_uneven_shards(spark):
+    df = pairs(spark, [str(i % 7) for i in range(5000)])
+    ix = build(df, KeyValueSpec(("k",), "v"), Plan(False), shard_keys=900)
+    asked = df.select("k").unionByName(spark.range(20_000).select(F.lit(17).cast("long").alias("k")))
+    got = ix.lookup(asked)
+    assert got.count() == 25_000 and got.where("k = 17 and v <> '3'").count() == 0
+    assert ix.lookup(df.select("k").limit(0)).count() == 0
+
+
 def test_absent_keys_get_some_value(spark):
     df = pairs(spark, ["a"] * 90 + ["b"] * 10)
     ix = planner.build_index(df, KeyValueSpec(("k",), "v"))
