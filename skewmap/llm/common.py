@@ -57,6 +57,15 @@ def words_of(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
+#: Rows of a stored side that every task may get in a join; rows of such sides have some dozens of bytes.
+FEW = 500_000
+
+
+def small(side: DataFrame) -> DataFrame:
+    """``side`` to be broadcast if it was counted to have few rows; a side that grows beyond that is joined by an exchange."""
+    return F.broadcast(side) if side.count() <= FEW else side
+
+
 def without(docs: DataFrame, alike: dict[str, Column], fewer: DataFrame) -> DataFrame:
     """``docs`` less the rows that ``fewer`` takes away.
 
@@ -65,7 +74,7 @@ def without(docs: DataFrame, alike: dict[str, Column], fewer: DataFrame) -> Data
     """
     there = fewer.select(*(F.col(c).alias(f"__of{c}") for c in alike), F.col("stay").alias("__stay"))
     same = reduce(and_, (F.col(c).eqNullSafe(F.col(f"__of{c}")) for c in alike))
-    joined = docs.withColumns(alike).join(there, same, "left")
+    joined = docs.withColumns(alike).join(small(there), same, "left")
     kept = joined.where(F.col("__stay").isNull())
     if fewer.where("stay = 1").limit(1).count():  # the same row several times
         kept = kept.unionByName(joined.where("__stay = 1").dropDuplicates(list(alike)))

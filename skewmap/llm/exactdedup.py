@@ -105,9 +105,12 @@ def decide(docs: DataFrame, key: str = "doc_id", text: str = "text", memtables:
     least = F.struct(F.col("id").isNull().alias("last"), "id", "row")
     for i in range(memtables):
         index.flush(digests.where(F.col("memtable") == i).select("digest", least.alias("least"), F.lit(1).cast("long").alias("copies")))
-    hits = index.compact().where("copies > 1")
-    # Byte verification: rows that share a digest must share their bytes.
-    texts = rows.select("t", digest).join(hits.select("digest"), "digest", "left_semi").groupBy("digest", "t").count()
+    hits = common.materialise(index.compact().where("copies > 1"), "hits")
+    # Byte verification: rows that share a digest must share their bytes. Texts of other digests stay where they are.
+    hot = F.broadcast(hits.where(F.col("copies") * HOT > total).select("digest"))
+    few = common.small(hits.where(F.col("copies") * HOT <= total).select("digest"))
+    texts = rows.select("t", digest)
+    texts = texts.join(hot, "digest", "left_semi").unionByName(texts.join(hot, "digest", "left_anti").join(few, "digest", "left_semi")).groupBy("digest", "t").count()
     clash = common.materialise(texts.groupBy("digest").agg(F.count(F.lit(1)).alias("texts")).where("texts > 1").select("digest"), "clash")
     groups = hits.select("digest", F.col("least.id").alias("keep_id"), F.col("least.row").alias("first"), F.col("copies").alias("group_size"))
     odd = None
@@ -117,7 +120,7 @@ def decide(docs: DataFrame, key: str = "doc_id", text: str = "text", memtables:
         odd = odd.select("id", "digest", F.min("id").over(group).alias("keep_id"), F.count(F.lit(1)).over(group).alias("group_size"), (F.col("n") == 1).alias("kept"))
         digests = digests.join(clash, "digest", "left_anti")
     hot = F.broadcast(groups.where(F.col("group_size") * HOT > total))
-    few = groups.where(F.col("group_size") * HOT <= total)
+    few = common.small(groups.where(F.col("group_size") * HOT <= total))
     known = digests.join(hot, "digest")
     others = digests.join(hot, "digest", "left_anti").join(few, "digest", "left")
     kept = F.coalesce(F.col("row") == F.col("first"), F.lit(True)).alias("kept")

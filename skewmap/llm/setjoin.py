@@ -44,6 +44,8 @@ SAMPLED = 64
 REMEMBERED = 300_000
 #: A list of over one in ``HOT`` entries is hot; a tile of a hot list has two blocks of about ``TILE`` entries.
 HOT, TILE = 1000, 20_000
+#: Pairs left open are asked in so many rounds, the rest at once; up to ``MANY`` pairs are not worth a round.
+ROUNDS, MANY = 4, 10_000
 _MULT = np.random.default_rng(20_231).integers(1, 2**63, WORDS, dtype=np.uint64) | np.uint64(1)
 
 
@@ -193,12 +195,12 @@ _SHIFTS, _BASE = (0.0, 0.5), 1.3
 
 
 def _hub_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Each entry with the hub of its list and size class: one pair for an entry."""
-    for (token, ids, at), _ in _runs(batches, ["token", "id", "at"]):
+    """Each entry with the hub, the entry of least rank, of its list and size class: one pair for an entry."""
+    for (token, ids, at, rank), _ in _runs(batches, ["token", "id", "at", "rank"]):
         size, pos = at >> 24, at & 0xFFFFFF
         for shift in _SHIFTS:
             band = np.floor(np.log(size) / np.log(_BASE) + shift).astype(np.int64)
-            order = np.lexsort((ids, band, token))
+            order = np.lexsort((ids, rank, band, token))
             t, b = token[order], band[order]
             first = np.concatenate([[True], (t[1:] != t[:-1]) | (b[1:] != b[:-1])])
             hub = order[np.flatnonzero(first)[np.cumsum(first) - 1]]
@@ -209,13 +211,16 @@ def _hub_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _hot_hub_pairs(lists: DataFrame) -> DataFrame:
     """The same for hot lists, whose hubs, at most some dozens for each of less than ``HOT`` lists, go to every task."""
-    size = F.shiftright("at", 24)
+    size, pos = F.shiftright("at", 24), F.col("at").bitwiseAND(0xFFFFFF)
+    num, den = SHARE
     out = None
     for shift in _SHIFTS:
         banded = lists.withColumn("band", F.floor(F.log(size) / float(np.log(_BASE)) + shift))
-        hubs = banded.groupBy("token", "band").agg(F.min(F.struct("id", "at")).alias("hub"))
+        hubs = banded.groupBy("token", "band").agg(F.min(F.struct("rank", "id", "at")).alias("hub"))
+        other, place = F.shiftright("hub.at", 24), F.col("hub.at").bitwiseAND(0xFFFFFF)
         met = banded.join(F.broadcast(hubs), ["token", "band"]).where(F.col("id") != F.col("hub.id"))
-        less, other = F.col("hub.id") < F.col("id"), F.shiftright("hub.at", 24)
+        met = met.where((F.least(pos, place) + F.least(size - pos, other - place)) * (num + den) >= (size + other) * num)
+        less = F.col("hub.id") < F.col("id")
         pairs = met.select(F.least("hub.id", "id").alias("a"), F.greatest("hub.id", "id").alias("b"), F.when(less, other).otherwise(size).alias("na"), F.when(less, size).otherwise(other).alias("nb"))
         out = pairs if out is None else out.unionByName(pairs)
     return out
@@ -228,16 +233,18 @@ def _tiles(lists: DataFrame) -> DataFrame:
     tiles as their block has partners; blocks of one component are none to each other.
     """
     sizes = lists.groupBy("token", "component").agg(F.count(F.lit(1)).alias("n")).withColumn("group", F.when(F.col("n") >= TILE, F.col("component")))
-    groups = sizes.groupBy("token", "group").agg(F.sum("n").alias("n")).withColumn("parts", F.ceil(F.col("n") / TILE))
-    named = lists.join(sizes.where("group is not null").select("token", "component", "group"), ["token", "component"], "left")
+    large = common.materialise(sizes.where("group is not null").select("token", "component", "group"), "large")
+    groups = common.materialise(sizes.groupBy("token", "group").agg(F.sum("n").alias("n")).withColumn("parts", F.ceil(F.col("n") / TILE)), "groups")
     blocks = groups.select("token", "group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.xxhash64("token", "group").alias("g"))
     a, b = blocks.select("token", F.struct("g", "part").alias("x"), "group"), blocks.select("token", F.struct("g", "part").alias("y"), F.col("group").alias("other"))
     tiles = a.join(b, "token").where((F.col("x") <= F.col("y")) & (F.col("group").isNull() | F.col("other").isNull() | (F.col("group") != F.col("other"))))
-    tiles = tiles.select("token", F.xxhash64("token", "x", "y").alias("tile"), F.when(F.col("x") == F.col("y"), F.array(F.struct(F.col("x").alias("block"), F.lit(2).alias("half")))).otherwise(F.array(F.struct(F.col("x").alias("block"), F.lit(0).alias("half")), F.struct(F.col("y").alias("block"), F.lit(1).alias("half")))).alias("sides"))
-    sides = tiles.select("token", "tile", F.explode("sides").alias("s")).select("token", "tile", "s.block", "s.half")
-    counted = named.join(groups.select("token", "group", "parts").withColumnRenamed("token", "__t").withColumnRenamed("group", "__g"), (F.col("token") == F.col("__t")) & F.col("group").eqNullSafe(F.col("__g")))
+    pair = F.array(F.struct(F.col("x").alias("block"), F.lit(0).alias("half")), F.struct(F.col("y").alias("block"), F.lit(1).alias("half")))
+    tiles = tiles.select("token", F.xxhash64("token", "x", "y").alias("tile"), F.when(F.col("x") == F.col("y"), F.array(F.struct(F.col("x").alias("block"), F.lit(2).alias("half")))).otherwise(pair).alias("sides"))
+    sides = common.materialise(tiles.select("token", "tile", F.explode("sides").alias("s")).select("token", "tile", "s.block", "s.half"), "sides")
+    named = lists.join(common.small(large), ["token", "component"], "left")
+    counted = named.join(common.small(groups.select(F.col("token").alias("__t"), F.col("group").alias("__g"), "parts")), (F.col("token") == F.col("__t")) & F.col("group").eqNullSafe(F.col("__g")))
     own = counted.withColumn("block", F.struct(F.xxhash64("token", "group").alias("g"), F.pmod(F.xxhash64("id"), F.col("parts")).alias("part")))
-    return own.join(sides, ["token", "block"]).select(F.col("tile").alias("token"), "id", "at", "component", "half")
+    return own.join(common.small(sides), ["token", "block"]).select(F.col("tile").alias("token"), "id", "at", "component", "half")
 
 
 def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterator[pa.RecordBatch]:
@@ -343,18 +350,19 @@ def _components(docs: DataFrame, key: str, text: str) -> DataFrame:
     sets = common.materialise(made.select("node", "id", "tag", "mark", F.col("n").alias("n_shingles")), "marks")
     real = F.octet_length("mark") > 0
     classes = common.materialise(sets.where(real).groupBy("mark").agg(F.min("node").alias("rep"), F.min("id").alias("least"), F.count(F.lit(1)).alias("copies")), "classes")
-    entries = made.select("node", "n", F.posexplode("tokens").alias("p", "token"))
-    lists = entries.select("token", F.col("node").alias("id"), F.shiftleft("n", 24).bitwiseOR(F.col("p").cast("long")).alias("at"))
+    # An entry's rank is the smallest identifier of its class: what a copy was made from mostly has a smaller one.
+    entries = made.select("node", "n", F.coalesce("id", F.lit(2**63 - 1)).alias("rank"), F.posexplode("tokens").alias("p", "token"))
+    lists = entries.select("token", F.col("node").alias("id"), F.shiftleft("n", 24).bitwiseOR(F.col("p").cast("long")).alias("at"), "rank")
 
     def several(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for cols, _ in _runs(batches, ["token", "id", "at"]):
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["token", "id", "at"])
+        for cols, _ in _runs(batches, ["token", "id", "at", "rank"]):
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["token", "id", "at", "rank"])
 
-    lists = common.materialise(lists.repartition(n, "token").sortWithinPartitions("token").mapInArrow(several, "token long, id long, at long"), "shared")
+    lists = common.materialise(lists.repartition(n, "token").sortWithinPartitions("token").mapInArrow(several, "token long, id long, at long, rank long"), "shared")
     common.discard(made)
     # Lists hold one document of a class for each input task; from here on the class's first.
-    rep = sets.where(real).join(classes.where(F.col("copies") > 1), "mark").where(F.col("node") != F.col("rep")).select(F.col("node").alias("id"), "rep")
-    lists = lists.join(rep, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "at").groupBy("token", "id").agg(F.min("at").alias("at"))
+    rep = sets.where(real).join(classes.where(F.col("copies") > 1), "mark").where(F.col("node") != F.col("rep")).select(F.col("node").alias("id"), "rep", F.coalesce("least", F.lit(2**63 - 1)).alias("least"))
+    lists = lists.join(rep, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "at", F.coalesce("least", "rank").alias("rank")).groupBy("token", "id").agg(F.min("at").alias("at"), F.min("rank").alias("rank"))
     lists = common.materialise(lists, "lists")
     total = lists.count()
     hot = common.materialise(lists.groupBy("token").count().where(F.col("count") * HOT > total).select("token"), "hot")
@@ -366,15 +374,15 @@ def _components(docs: DataFrame, key: str, text: str) -> DataFrame:
         return F.col(size) - F.ceil(F.col(size) * SHARE[0] / SHARE[1]) + 1
 
     bound = F.ceil((F.col("na") + F.col("nb")) * SHARE[0] / (SHARE[0] + SHARE[1])) - F.greatest(F.col("na") - prefix("na"), F.col("nb") - prefix("nb"))
-    # The hubs: a pair needs only enough common entries to be worth a look, as what is passed over here is asked again below.
-    hubs = cold.repartition(n, "token").sortWithinPartitions("token", "id").mapInArrow(_hub_pairs, PAIR)
-    hubs = hubs.unionByName(_hot_hub_pairs(warm)) if some_hot else hubs
-    hubs = common.materialise(hubs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") / 2 >= F.least(bound, F.lit(4))).select("a", "b"), "hubs")
     involved = lists.select(F.col("id").alias("node")).distinct().join(sets.select("node", F.col("id").alias("__id"), F.col("tag").alias("__tag")), "node")
     texts = rows.join(involved, F.col("id").eqNullSafe(F.col("__id")) & (F.col("tag") == F.col("__tag"))).select(F.col("node").alias("id"), "text")
     if sets.groupBy("id", "tag").count().where("count > 1").limit(1).count():  # rows equal in identifier and text
         texts = texts.dropDuplicates(["id"])
     texts = common.materialise(texts, "texts", compression="zstd")
+    # The hubs: a pair needs only enough common entries to be worth a look, as what is passed over here is asked again below.
+    hubs = cold.repartition(n, "token").sortWithinPartitions("token").mapInArrow(_hub_pairs, PAIR)
+    hubs = hubs.unionByName(_hot_hub_pairs(warm)) if some_hot else hubs
+    hubs = common.materialise(hubs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") / 2 >= F.least(bound, F.lit(4))).select("a", "b"), "hubs")
     links = common.materialise(_verify(hubs, texts), "links")
     labels = connected(links)
     # All other pairs: different components, and as many common entries as the similarity needs.
@@ -382,11 +390,26 @@ def _components(docs: DataFrame, key: str, text: str) -> DataFrame:
     tagged = tag(cold).withColumn("half", F.lit(2))
     tagged = tagged.unionByName(_tiles(common.materialise(tag(warm), "warm"))) if some_hot else tagged
     cross = tagged.repartition(n, "token").sortWithinPartitions("token").mapInArrow(_cross_pairs, PAIR)
-    cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") >= bound).select("a", "b")
-    cross = common.materialise(cross, "cross")
-    more = common.materialise(_verify(cross, texts), "links")
-    if more.limit(1).count():
-        labels = connected(labels.select(F.col("id").alias("a"), F.col("component").alias("b")).where("a != b").unionByName(more))
+    cross = cross.groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"), F.first("na").alias("na"), F.first("nb").alias("nb")).where(F.col("c") >= bound)
+    open_ = common.materialise(cross.select("a", "b", (F.col("c") / (F.col("na") + F.col("nb"))).alias("near")), "cross")
+    # Each round asks every set about its likeliest partner; links answer for all pairs that they connect.
+    turn = 0
+    while count := open_.count():
+        turn += 1
+        last = count <= MANY or turn > ROUNDS
+        if not last:
+            best = open_.groupBy("b").agg(F.max_by("a", F.struct("near", "a")).alias("a")).unionByName(open_.groupBy("a").agg(F.max_by("b", F.struct("near", "b")).alias("b"))).distinct()
+            asked = common.materialise(best.select("a", "b"), "asked")
+        else:
+            asked = open_.select("a", "b")
+        found = common.materialise(_verify(asked, texts), "links")
+        if found.limit(1).count():
+            labels = connected(labels.select(F.col("id").alias("a"), F.col("component").alias("b")).where("a != b").unionByName(found))
+        if last:
+            break
+        ends = labels.select(F.col("id").alias("__a"), F.col("component").alias("ca")), labels.select(F.col("id").alias("__b"), F.col("component").alias("cb"))
+        left = open_.join(asked, ["a", "b"], "left_anti").join(ends[0], F.col("a") == F.col("__a"), "left").join(ends[1], F.col("b") == F.col("__b"), "left")
+        open_ = common.materialise(left.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b", "near"), "cross")
     # The smallest identifier of a component, then of every class, then of every row.
     linked = classes.select("rep", "least").join(labels.withColumnRenamed("id", "rep"), "rep")
     smallest = linked.groupBy("component").agg(F.min("least").alias("smallest"))
