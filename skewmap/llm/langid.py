@@ -25,7 +25,7 @@ from pyspark.sql.window import Window
 from . import common
 
 RESULT = T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
-SLICE = 1 << 20
+SLICE = 1 << 18
 
 
 @dataclass
@@ -80,8 +80,8 @@ class ContextTrees:
         for lo in range(0, len(raw), SLICE):
             hi = min(lo + SLICE, len(raw))
             back = max(0, lo - 3)
-            s = self.symbols[raw[back:hi]].astype(np.int64)
-            s = np.concatenate([np.full(3 - (lo - back), pad), s])
+            s = self.symbols[raw[back:hi]]
+            s = np.concatenate([np.full(3 - (lo - back), pad, np.int32), s])
             first, last = np.searchsorted(offs, lo, "right") - 1, np.searchsorted(offs, hi, "left")
             p1, p2, p3, now = s[2:-1].copy(), s[1:-2].copy(), s[:-3].copy(), s[3:]
             begins = np.unique(offs[first:last])
