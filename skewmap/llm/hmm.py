@@ -7,9 +7,10 @@ being kept for unknown words, so the model is a proper distribution over words a
 
     log10 p(text) = forward log10 p(classes of the text) + sum of log10 p(word | class).
 
-Training: in every round every task adds up the expected counts of its training documents by the scaled
-forward-backward recursion, the counts are summed across partitions in two steps, and the tables are made
-anew. Scoring is the scaled forward recursion, exact.
+Texts are read twice: to count words, and to write every text as its words' classes, which is all that
+training and scoring read. Training: in every round every task adds up the expected counts of its training
+documents by the scaled forward-backward recursion, the counts are summed across partitions in two steps, and the
+tables are made anew. Scoring is the scaled forward recursion, exact.
 
 Word counts cover all training documents. Rare words' counts come back to the documents through a join
 on the word, of which each batch of documents sends one row with the list of its rows that hold it.
@@ -38,6 +39,8 @@ from . import common
 END = b"\n"
 #: Words whose classes a worker remembers before it starts anew.
 REMEMBERED = 300_000
+_held: dict[str, "Classes"] = {}
+common.remember("hmm", _held.clear)
 
 
 @dataclass
@@ -56,11 +59,16 @@ class Vocabulary:
     def classes(self) -> int:
         return len(self.counts) + self.rest
 
+    @property
+    def kind(self) -> str:
+        """Type of stored classes."""
+        return "<u2" if self.classes <= 1 << 16 else "<u4"
+
     def encode(self, words: list[bytes]) -> np.ndarray:
         """Classes of a text's words and its end."""
-        known = getattr(self, "_known", None)
-        if known is None or len(known) > REMEMBERED:
-            known = self._known = Classes(self)
+        known = _held.get("known")
+        if known is None or known.of is not self.words or len(known) > REMEMBERED:
+            known = _held["known"] = Classes(self)
         out = np.empty(len(words) + 1, np.int32)
         out[:-1] = np.fromiter(map(known.__getitem__, words), np.int32, len(words))
         out[-1] = 0
@@ -86,6 +94,7 @@ class Classes(dict):
 
     def __init__(self, vocabulary: Vocabulary) -> None:
         super().__init__(vocabulary.words)
+        self.of = vocabulary.words
         self.first, self.rest = len(vocabulary.counts), vocabulary.rest
 
     def __missing__(self, word: bytes) -> int:
@@ -122,47 +131,50 @@ def _steps(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return out, offsets, order
 
 
-def forward(model: Model, texts: list[np.ndarray], keep: bool = False):
-    """log10 probability of each text; with ``keep`` also the scaled forward variables, step by step."""
+def forward(model: Model, texts: list[np.ndarray], keep: bool = False, kind=np.float64):
+    """log10 probability of each text; with ``keep`` also emissions and scaled forward variables, step by step."""
     cls, offsets, order = _steps(texts)
-    emit, move = model.emit, model.move
-    logs, total = np.zeros(len(texts)), len(offsets) - 1
+    e, move = np.take(model.emit.astype(kind), cls, axis=0), model.move.astype(kind)
+    ones, tiny = np.ones(len(model.start), kind), kind(1e-300 if kind is np.float64 else 1e-37)
+    kept = np.empty(e.shape, kind) if keep else None
+    scales = np.empty(len(cls), kind)
     alpha = None
-    kept, scales = (np.empty((len(cls), len(model.start)), np.float64), np.empty(len(cls))) if keep else (None, None)
-    for t in range(total):
-        a, b = offsets[t], offsets[t + 1]
-        e = emit[cls[a:b]]
-        alpha = (model.start * e) if t == 0 else (alpha[: b - a] @ move) * e
-        scale = np.maximum(alpha.sum(1), 1e-300)
-        alpha = alpha / scale[:, None]
-        logs[: b - a] += np.log10(scale)
+    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
+        alpha = e[a:b] * model.start.astype(kind) if alpha is None else alpha[: b - a] @ move
+        if a:
+            alpha *= e[a:b]
+        scale = np.maximum(alpha @ ones, tiny)
+        alpha *= (1 / scale)[:, None]
+        scales[a:b] = scale
         if keep:
-            kept[a:b], scales[a:b] = alpha, scale
+            kept[a:b] = alpha
+    row = np.arange(len(cls)) - np.repeat(offsets[:-1], np.diff(offsets))
     result = np.empty(len(texts))
-    result[order] = logs
-    return (result, cls, offsets, kept, scales) if keep else result
+    result[order] = np.bincount(row, np.log10(scales, dtype=np.float64), len(texts))
+    return (result, cls, offsets, e, kept, scales) if keep else result
 
 
-def expected(model: Model, texts: list[np.ndarray], classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def expected(model: Model, texts: list[np.ndarray], classes: int, kind=np.float64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Baum-Welch counts of a batch: start, moves and emissions (class x state)."""
-    _, cls, offsets, alpha, scales = forward(model, texts, keep=True)
-    k = len(model.start)
-    gamma = alpha  # becomes the posterior in place, from the last step down
+    _, cls, offsets, e, gamma, scales = forward(model, texts, True, kind)  # gamma becomes the posterior in place, from the last step down
+    k, back = len(model.start), model.move.T.astype(kind)
+    e *= (1 / scales)[:, None]
     moves, beta = np.zeros((k, k)), None
-    for t in range(len(offsets) - 2, -1, -1):
-        a, b = offsets[t], offsets[t + 1]
-        here = np.ones((b - a, k))
+    steps = offsets.tolist()
+    for t in range(len(steps) - 2, -1, -1):
+        a, b = steps[t], steps[t + 1]
+        here = np.ones((b - a, k), kind)
         if beta is not None:
-            c = offsets[t + 2]
-            n = c - b
-            ahead = model.emit[cls[b:c]] * beta / scales[b:c, None]
-            moves += alpha[a : a + n].T @ ahead
-            here[:n] = ahead @ model.move.T
+            n = len(beta)
+            ahead = e[b : b + n] * beta
+            moves += gamma[a : a + n].T @ ahead
+            here[:n] = ahead @ back
+            gamma[a : a + n] *= here[:n]
         beta = here
-        gamma[a:b] *= here
     moves *= model.move
     emit = np.stack([np.bincount(cls, gamma[:, j], classes) for j in range(k)], 1)
-    return gamma[: offsets[1]].sum(0), moves, emit
+    first = gamma[: steps[1]].astype(np.float64)
+    return (first / first.sum(1, keepdims=True)).sum(0), moves, emit
 
 
 def update(start: np.ndarray, moves: np.ndarray, emit: np.ndarray, spare: np.ndarray, shrink: float = 4.0) -> Model:
@@ -178,7 +190,7 @@ def update(start: np.ndarray, moves: np.ndarray, emit: np.ndarray, spare: np.nda
     return Model(s / s.sum(), m / m.sum(1, keepdims=True), e / e.sum(0))
 
 
-def _in_groups(texts: list[np.ndarray], tokens: int = 400_000) -> Iterator[list[np.ndarray]]:
+def _in_groups(texts: list[np.ndarray], tokens: int) -> Iterator[list[np.ndarray]]:
     """Texts in groups of bounded size, whole, those of similar length together."""
     group, held = [], 0
     for t in sorted(texts, key=len):
@@ -208,17 +220,27 @@ def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 BLOCK_ROWS = 4096
 
 
+#: Tokens that are trained on or scored side by side.
+TRAINED, SCORED = 800_000, 400_000
+
+
+def _classes_of(column: pa.Array, kind: str) -> list[np.ndarray]:
+    """Texts as arrays of classes."""
+    raw, offs = common.utf8_view(column)
+    flat, edges = raw.tobytes(), offs.tolist()
+    return [np.frombuffer(flat, kind, (hi - lo) // np.dtype(kind).itemsize, lo) for lo, hi in zip(edges[:-1], edges[1:])]
+
+
 def _counting(model, vocabulary):
-    """For ``mapInArrow`` over texts: a task's expected counts as blocks of the emission table, block -1 for start and moves."""
+    """For ``mapInArrow`` over texts as classes: a task's expected counts as blocks of the emission table, block -1 for start and moves."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
         m, v = model.value, vocabulary.value
-        k, total = len(m.start), None
+        total = None
         for batch in batches:
-            texts = [v.encode(w) for w in _words(batch.column(0))]
-            for group in _in_groups(texts):
-                got = expected(m, group, v.classes)
+            for group in _in_groups(_classes_of(batch.column(0), v.kind), TRAINED):
+                got = expected(m, group, v.classes, np.float32)
                 total = got if total is None else tuple(a + b for a, b in zip(total, got))
         if total is not None:
             start, moves, emit = total
@@ -241,25 +263,33 @@ def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([0] * len(total), pa.int32()), pa.array([x.tobytes() for x in total.values()], pa.binary())], ["block", "salt", "counts"])
 
 
-def _postings(vocabulary):
-    """For ``mapInArrow`` over (id, text): rare words of a batch, each with the signatures of the rows that hold it."""
+def _encode(vocabulary):
+    """For ``mapInArrow`` over (id, text, train): each text as the classes of its words.
+
+    A row also has the rare words that it is the first of its batch to hold, each with the signatures of all rows of
+    the batch that hold it, as often as they do.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent = vocabulary.value.words
+        common.only("hmm")
+        v = vocabulary.value
+        frequent = v.words
         for batch in batches:
             marks = _marks(batch)
             place: dict[bytes, int] = {}
-            at, rows = [], []
+            codes, at, rows, seen = [], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [0]
             for mark, words in zip(marks, _words(batch.column(1))):
+                codes.append(v.encode(words).astype(v.kind).tobytes())
                 rare = [place.setdefault(w, len(place)) for w in words if w not in frequent]
                 at.append(np.array(rare, np.int64))
                 rows.append(np.full(len(rare), mark))
-            if not place:
-                continue
+                seen.append(len(place))
             word, row = np.concatenate(at), np.concatenate(rows)
-            order = np.argsort(word, kind="stable")
             edges = np.concatenate([[0], np.cumsum(np.bincount(word, minlength=len(place)))]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(list(place), pa.binary()), pa.ListArray.from_arrays(pa.array(edges), pa.array(row[order]))], ["word", "rows"])
+            lists = pa.ListArray.from_arrays(pa.array(edges), pa.array(row[np.argsort(word, kind="stable")]))
+            found = pa.StructArray.from_arrays([pa.array(list(place), pa.binary()), lists], ["word", "rows"])
+            rare = pa.ListArray.from_arrays(pa.array(seen, pa.int32()), found)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks), batch.column(2), pa.array(codes, pa.binary()), rare], ["id", "mark", "train", "codes", "rare"])
 
     return run
 
@@ -271,25 +301,26 @@ def _marks(batch: pa.RecordBatch) -> np.ndarray:
 
 
 def _scores(model, vocabulary):
-    """For ``mapInArrow`` over (id, text): what each row's score needs beside its rare words' counts."""
+    """For ``mapInArrow`` over (id, mark, classes): what each row's score needs beside its rare words' counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.only("hmm")
         m, v = model.value, vocabulary.value
         within, top = v.within(), len(v.counts)
         own = np.concatenate([np.log10(v.counts + 1.0), np.zeros(v.rest)])
         known = np.concatenate([v.counts > 0, np.zeros(v.rest, bool)])
         for batch in batches:
-            texts = [v.encode(w) for w in _words(batch.column(1))]
+            texts = _classes_of(batch.column(2), v.kind)
             n = np.array([len(t) for t in texts], np.int64)
             logs = np.zeros(len(texts))
             order = sorted(range(len(texts)), key=lambda i: len(texts[i]))
             done = 0
-            for group in _in_groups([texts[i] for i in order]):
+            for group in _in_groups([texts[i] for i in order], SCORED):
                 logs[order[done : done + len(group)]] = forward(m, group)
                 done += len(group)
             sums = np.array([(within[t].sum() + own[t].sum(), own[t].sum(), known[t].sum(), (t >= top).sum()) for t in texts]).reshape(-1, 4)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(_marks(batch)), pa.array(n), pa.array(logs + sums[:, 0]), pa.array(sums[:, 1]), pa.array(sums[:, 2].astype(np.int64)), pa.array(sums[:, 3].astype(np.int64))],
+                [batch.column(0), batch.column(1), pa.array(n), pa.array(logs + sums[:, 0]), pa.array(sums[:, 1]), pa.array(sums[:, 2].astype(np.int64)), pa.array(sums[:, 3].astype(np.int64))],
                 ["id", "mark", "n_tokens", "model", "own", "known", "rare"],
             )
 
@@ -312,19 +343,22 @@ def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024)
 
 
 @common.cleaned
-def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14) -> DataFrame:
+def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14, frequent: int = 40_000, rest: int = 1024) -> DataFrame:
     """One row per document: key, n_tokens, n_known, train_tokens, base_score, score. ``training`` is a boolean column."""
     spark = docs.sparkSession
     n = common.partitions(spark)
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("string").alias("t"), F.coalesce(training, F.lit(True)).alias("train"))
-    learn = rows.where("train").select("t")
-    counts = learn.mapInArrow(_count_words, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
+    counts = rows.where("train").select("t").mapInArrow(_count_words, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
     counts = common.materialise(counts, "words")
-    v = fit_vocabulary(counts)
-    vocabulary = spark.sparkContext.broadcast(v)
+    v = fit_vocabulary(counts, frequent, rest)
+    vocabulary = common.shared(spark, v)
+    kind = rows.schema["id"].dataType.simpleString()
+    texts = rows.select("id", "t", "train").mapInArrow(_encode(vocabulary), f"id {kind}, mark long, train boolean, codes binary, rare array<struct<word binary, rows array<long>>>")
+    texts = common.materialise(texts, "classes", compression="zstd")
+    learn = texts.where("train").select("codes")
     model, spare = initial(v, states), v.spare()
     for _ in range(rounds):
-        handle = spark.sparkContext.broadcast(model)
+        handle = common.shared(spark, model)
         schema = "block int, salt int, counts binary"
         part = learn.mapInArrow(_counting(handle, vocabulary), schema)
         part = part.repartition(n, "block", "salt").mapInArrow(_summed, schema).repartition(n, "block").mapInArrow(_summed, schema)
@@ -334,12 +368,11 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
         first = found.pop(-1)
         emit = np.concatenate([found[i] for i in sorted(found)]).reshape(-1, states)
         model = update(first[:states], first[states:].reshape(states, states), emit, spare)
-    handle = spark.sparkContext.broadcast(model)
-    pairs = rows.select("id", "t")
-    rare = pairs.mapInArrow(_postings(vocabulary), "word binary, rows array<long>").join(counts, "word", "left")
+    handle = common.shared(spark, model)
+    rare = texts.select(F.explode("rare").alias("x")).select("x.word", "x.rows").join(counts, "word", "left")
     rare = rare.select(F.explode("rows").alias("mark"), F.log10(F.coalesce("c", F.lit(0)) + 1).alias("x"), F.col("c").isNotNull().cast("long").alias("k"))
     rare = rare.groupBy("mark").agg(F.sum("x").alias("x"), F.sum("k").alias("k"), F.count(F.lit(1)).alias("all"))
-    parts = pairs.mapInArrow(_scores(handle, vocabulary), f"id {rows.schema['id'].dataType.simpleString()}, mark long, n_tokens long, model double, own double, known long, rare long")
+    parts = texts.select("id", "mark", "codes").mapInArrow(_scores(handle, vocabulary), f"id {kind}, mark long, n_tokens long, model double, own double, known long, rare long")
     joined = parts.join(rare, "mark", "left")
     # Equal rows share a signature, under which their rare words are summed; each row has its part.
     part = F.coalesce(F.col("rare") / F.col("all"), F.lit(0.0))

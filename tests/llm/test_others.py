@@ -249,6 +249,78 @@ def test_forward_equals_enumeration():
     assert np.allclose(counts[1], moves) and np.allclose(counts[2], emits) and np.isclose(counts[0].sum(), len(texts))
 
 
+def test_narrow_numbers_count_the_same():
+    rng = np.random.default_rng(3)
+    v, k = vocabulary(), 4
+    m = hmm.Model(rng.dirichlet([1] * k), rng.dirichlet([1] * k, k), rng.dirichlet([1] * v.classes, k).T)
+    texts = [rng.integers(0, v.classes, n).astype(np.uint16) for n in (1, 300, 2, 5000)]
+    wide, narrow = hmm.expected(m, texts, v.classes), hmm.expected(m, texts, v.classes, np.float32)
+    assert all(np.allclose(a, b, rtol=1e-3) for a, b in zip(wide, narrow))
+
+
+def score_brute(rows, train, states, rounds, frequent, rest):
+    """Scores by the model's definition: words and classes by plain counting, Baum-Welch and the forward sum in loops."""
+    c = collections.Counter()
+    for (i, w), t in zip(rows, train):
+        if t:
+            c.update([*w, hmm.END])
+    n, ends = sum(c.values()), c.pop(hmm.END, 0)
+    ranked = sorted(c.items(), key=lambda x: (-x[1], x[0]))
+    top = {w: j for j, (w, _) in enumerate(ranked[:frequent], 1)}
+    tokens, words = np.zeros(rest), np.zeros(rest)
+    for w, x in ranked[frequent:]:
+        g = zlib.crc32(w[-3:]) % rest
+        tokens[g] += x
+        words[g] += 1
+    v = hmm.Vocabulary(top, np.array([ends, *(x for _, x in ranked[:frequent])], float), rest, tokens, words, n, len(c) + 1)
+    cls = lambda w: top[w] if w in top else 1 + len(top) + zlib.crc32(w[-3:]) % rest
+    coded = [[*map(cls, w), 0] for _, w in rows]
+    m = hmm.initial(v, states)
+    for _ in range(rounds):
+        start, moves, emit = np.zeros(states), np.zeros((states, states)), np.zeros((v.classes, states))
+        for x, t in zip(coded, train):
+            if not t:
+                continue
+            al, sc = [], []
+            for j, s in enumerate(x):
+                a = (m.start if j == 0 else al[-1] @ m.move) * m.emit[s]
+                sc.append(a.sum())
+                al.append(a / a.sum())
+            be = [np.ones(states)]
+            for j in range(len(x) - 1, 0, -1):
+                be.insert(0, m.move @ (m.emit[x[j]] * be[0]) / sc[j])
+            start += al[0] * be[0]
+            for j, s in enumerate(x):
+                emit[s] += al[j] * be[j]
+                if j:
+                    moves += np.outer(al[j - 1], m.emit[s] * be[j] / sc[j]) * m.move
+        m = hmm.update(start, moves, emit, v.spare())
+    out = {}
+    for (i, w), x in zip(rows, coded):
+        total, a = 0.0, None
+        for s in x:
+            a = (m.start if a is None else a @ m.move) * m.emit[s]
+            total += math.log10(a.sum())
+            a = a / a.sum()
+        for word in [*w, hmm.END]:
+            k = 0 if word == hmm.END else cls(word)
+            own = ends + 1 if k == 0 else c.get(word, 0) + 1
+            size = own if k <= len(top) else tokens[k - 1 - len(top)] + words[k - 1 - len(top)] + 1
+            total += math.log10(own / size)
+        out[i] = total
+    return out
+
+
+def test_score_against_brute_force(spark):
+    rng = np.random.default_rng(4)
+    kinds = [f"w{i}{s}" for i in range(60) for s in ("ing", "ed", "s")]
+    rows = [(i, " ".join(rng.choice(kinds, rng.integers(0, 40), p=np.arange(180, 0, -1) / np.arange(181).sum()))) for i in range(80)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["score"] for r in hmm.score(df, F.col("doc_id") % 3 > 0, states=3, rounds=4, frequent=50, rest=7).collect()}
+    want = score_brute([(i, t.encode().split()) for i, t in rows], [i % 3 > 0 for i, _ in rows], 3, 4, 50, 7)
+    assert all(math.isclose(got[i], want[i], rel_tol=1e-4) for i in want)
+
+
 def test_rounds_raise_the_likelihood():
     rng = np.random.default_rng(2)
     v = vocabulary()
