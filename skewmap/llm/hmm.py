@@ -17,7 +17,7 @@ on the word, of which each batch of documents sends one row with the list of its
 
 Defined results: null and empty texts are the end mark alone; an empty training set leaves N = V = 0 and
 uniform classes; long texts are scored whole; a null identifier counts as a training row; rows that
-repeat are scored alike; an empty table gives no rows; extra columns are ignored.
+repeat are scored alike (scores are rounded to millionths, as the last digits depend on what is scored beside); an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -380,7 +380,7 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
     unit = float(np.log10(v.tokens + v.distinct + 1))
     return joined.select(
         F.col("id").alias(key), "n_tokens", (F.col("known") + k).cast("long").alias("n_known"), F.lit(v.tokens).cast("long").alias("train_tokens"),
-        (F.col("own") + x - F.col("n_tokens") * unit).alias("base_score"), (F.col("model") + x).alias("score"),
+        (F.col("own") + x - F.col("n_tokens") * unit).alias("base_score"), F.round(F.col("model") + x, 6).alias("score"),
     )
 
 
