@@ -20,7 +20,10 @@ Consecutive windows of one anchor form a segment of at most 2 * length - GRAM by
 4. First windows come back to their documents by key; what no first window of a candidate or repeated
    segment keeps is removed.
 
-A hot string is reduced at the start: a task sends each distinct segment of a batch once.
+A hot string is reduced at the start: a task sends each distinct segment of a batch once. An anchor hash that a
+fixed-share sample of documents shows to have many distinct segments is dealt to tasks by segment as well,
+and its segments are candidates without being counted; the sample only chooses the way, either gives the same result.
+The pass of step 1 holds a bounded number of rows, however many an anchor has.
 
 Segment and window identity is by hashes: 64 bits of anchor and 64 of segment, together 128 bits, and
 128 bits for windows of step 3. Bytes are compared in step 2.
@@ -50,6 +53,8 @@ LENGTH, GRAM = 100, 20
 SLICE = 1 << 22
 #: Candidates of one anchor hash that a shard takes, and bytes of a shard.
 CHUNK, SHARD_BYTES = 10_000, 2_500_000
+#: One document in ``SAMPLED`` is looked at for hot anchors; up to ``MOST_HOT`` are dealt by segment over ``SALTS`` tasks each.
+SAMPLED, MOST_HOT, SALTS = 64, 4096, 32
 _TABLE = np.random.default_rng(41).integers(1, 2**63, 256, dtype=np.uint64)
 
 
@@ -88,7 +93,16 @@ def anchors(raw: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np
     return h[at[first]], at[first], first, count
 
 
-def _segments(length: int, gram: int):
+def _salts(anchor: np.ndarray, segment: np.ndarray, hot: np.ndarray) -> np.ndarray:
+    """Which of a hot anchor's tasks a segment goes to; -1 for other anchors."""
+    out = np.full(len(anchor), -1, np.int32)
+    if len(hot):
+        some = np.flatnonzero(hot[np.minimum(np.searchsorted(hot, anchor), len(hot) - 1)] == anchor)
+        out[some] = (segment[some] % np.uint64(SALTS)).astype(np.int32)
+    return out
+
+
+def _segments(length: int, gram: int, hot: np.ndarray):
     """For ``mapInArrow`` over (key, mark, bytes): one row per distinct segment of a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,49 +132,62 @@ def _segments(length: int, gram: int):
             h, own, row, at = h[new], own[new], row[new], at[new]
             for lo in range(0, len(h), 500_000):
                 s = slice(lo, lo + 500_000)
-                yield pa.RecordBatch.from_arrays([pa.array(h[s].view(np.int64)), pa.array(own[s].view(np.int64)), pa.array(keys[row[s]]), pa.array(marks[row[s]]), pa.array(at[s])], ["anchor", "segment", "key", "mark", "at"])
+                yield pa.RecordBatch.from_arrays([pa.array(h[s].view(np.int64)), pa.array(_salts(h[s], own[s], hot)), pa.array(own[s].view(np.int64)), pa.array(keys[row[s]]), pa.array(marks[row[s]]), pa.array(at[s])], ["anchor", "salt", "segment", "key", "mark", "at"])
 
     return run
 
 
 def _firsts(chunk: int):
-    """For ``mapInArrow`` over segments sorted by anchor, segment, key, mark, place.
+    """For ``mapInArrow`` over segments sorted by anchor, salt, segment, key, mark, place.
 
     Gives the first of each segment: chunk -1 if it is the only one of its anchor, else the chunk it goes to;
-    ``spread`` tells whether its anchor has several chunks.
+    ``spread`` tells whether its anchor has several chunks. Rows of an anchor are held until it is known to
+    have more than a chunk; then they are given out as they come.
     """
-    names = ["anchor", "segment", "key", "mark", "at"]
-
-    def emit(cols: list[np.ndarray]) -> pa.RecordBatch | None:
-        anchor, segment = cols[0], cols[1]
-        new = np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (segment[1:] != segment[:-1])])
-        cols = [c[new] for c in cols]
-        anchor = cols[0]
-        start = np.concatenate([[True], anchor[1:] != anchor[:-1]])
-        group = np.cumsum(start) - 1
+    names = ["anchor", "salt", "segment", "key", "mark", "at"]
+
+    def emit(cols: list[np.ndarray], given: int, more: bool) -> pa.RecordBatch:
+        """Rows of whole groups; of the first one ``given`` rows are out already, the last of which stands first here."""
+        anchor, salt = cols[0], cols[1]
+        start = np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (salt[1:] != salt[:-1])])
         begin = np.flatnonzero(start)
+        group = np.cumsum(start) - 1
         size = np.diff(np.append(begin, len(anchor)))
-        part = np.where(size[group] == 1, -1, (np.arange(len(anchor)) - begin[group]) // chunk)
-        return pa.RecordBatch.from_arrays([pa.array(cols[0]), pa.array(cols[2]), pa.array(cols[3]), pa.array(cols[4]), pa.array(part.astype(np.int32)), pa.array(size[group] > chunk)], ["anchor", "key", "mark", "at", "chunk", "spread"])
+        place = np.arange(len(anchor)) - begin[group]
+        if given:
+            size[0] += given - 1
+            place[group == 0] += given - 1
+        spread = (size[group] > chunk) | (salt >= 0)
+        if more:
+            spread[group == group[-1]] = True
+        part = np.where((size[group] == 1) & ~spread, -1, place // chunk * (SALTS + 1) + salt + 1)
+        keep = np.arange(len(anchor)) >= (given > 0)
+        return pa.RecordBatch.from_arrays([pa.array(c[keep]) for c in (anchor, *cols[3:], part.astype(np.int32), spread)], ["anchor", "key", "mark", "at", "chunk", "spread"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] | None = None
+        given = 0
         for batch in batches:
             cols = [batch.column(n).to_numpy(zero_copy_only=False) for n in names]
             if held is not None:
                 cols = [np.concatenate([a, b]) for a, b in zip(held, cols)]
             if not len(cols[0]):
                 continue
-            anchor = cols[0]
-            cut = len(anchor) - int((anchor[::-1] != anchor[-1]).argmax()) if anchor[0] != anchor[-1] else 0
+            anchor, salt, segment = cols[:3]
+            cols = [c[np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (salt[1:] != salt[:-1]) | (segment[1:] != segment[:-1])])] for c in cols]
+            anchor, salt = cols[:2]
+            other = np.flatnonzero((anchor != anchor[-1]) | (salt != salt[-1]))
+            cut = int(other[-1]) + 1 if len(other) else 0
             if cut:
-                yield emit([c[:cut] for c in cols])
+                yield emit([c[:cut] for c in cols], given, False)
+                given = 0
             held = [c[cut:] for c in cols]
-            if len(held[0]) > 4 * chunk:  # a hot anchor: equal segments are dropped as they come
-                new = np.concatenate([[True], held[1][1:] != held[1][:-1]])
-                held = [c[new] for c in held]
-        if held is not None and len(held[0]):
-            yield emit(held)
+            count = len(held[0]) + max(0, given - 1)
+            if count > chunk or held[1][0] >= 0:
+                yield emit(held, given, True)
+                given, held = count, [c[-1:] for c in held]
+        if held is not None and len(held[0]) > (given > 0):
+            yield emit(held, given, False)
 
     return run
 
@@ -275,9 +302,8 @@ def merge_runs(runs: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
             both = da[at] == db
             sa = sa.copy()
             np.minimum.at(sa, at[both], sb[both])
-            d, s = np.concatenate([da, db[~both]]), np.concatenate([sa, sb[~both]])
-            order = np.argsort(d, kind="stable")
-            merged.append((d[order], s[order]))
+            into = np.searchsorted(da, db[~both])
+            merged.append((np.insert(da, into, db[~both]), np.insert(sa, into, sb[~both])))
         runs = merged + runs[len(runs) - len(runs) % 2 :]
     return runs[0] if runs else (np.zeros(0, "S16"), np.zeros(0, np.int64))
 
@@ -403,8 +429,11 @@ def remove_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", len
     spark = docs.sparkSession
     n = common.partitions(spark)
     rows = docs.select(F.coalesce(F.col(key).cast("long"), F.lit(-(2**63) + 1)).alias("key"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("mark"), F.col(text).cast("string").alias("t"))
-    schema = "anchor long, segment long, key long, mark long, at long"
-    segments = rows.mapInArrow(_segments(length, gram), schema).repartition(n, "anchor").sortWithinPartitions("anchor", "segment", "key", "mark", "at")
+    schema = "anchor long, salt int, segment long, key long, mark long, at long"
+    sample = rows.where(F.pmod(F.xxhash64("key", "mark"), F.lit(SAMPLED)) == 0).mapInArrow(_segments(length, gram, np.zeros(0, np.uint64)), schema)
+    seen = sample.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") * SAMPLED >= chunk).orderBy(F.desc("n"), "anchor").limit(MOST_HOT)
+    hot = np.sort(np.array([r["anchor"] for r in seen.collect()], np.int64).view(np.uint64))
+    segments = rows.mapInArrow(_segments(length, gram, hot), schema).repartition(n, "anchor", "salt").sortWithinPartitions("anchor", "salt", "segment", "key", "mark", "at")
     firsts = common.materialise(segments.mapInArrow(_firsts(chunk), "anchor long, key long, mark long, at long, chunk int, spread boolean"), "firsts", compression="zstd")
     packed = rows.mapInArrow(_compress, "key long, mark long, z binary")
     candidates = firsts.where("chunk >= 0")
