@@ -6,7 +6,7 @@ running list, and hands on one list per query. The lists of a query's lanes are
 cell holds one tile and one block, so memory is bounded whatever the table's size. Work is queries times
 vectors, as the search is exact.
 
-Components become integers, floor(scale * x). Products are formed in float64 while every possible score is
+Components become integers, floor(scale * x), which travel in the narrowest type that holds them all. Products are formed in float64 while every possible score is
 below 2**50, and in 64-bit integers beyond.
 
 Defined results: vectors that are null or hold null or non-finite components are neither queries nor
@@ -27,8 +27,10 @@ from pyspark.sql.window import Window
 
 from . import common
 
-TILE, BLOCK, LANE_ROWS = 4096, 4096, 1 << 20
-LOWEST = np.iinfo(np.int64).min
+#: Queries of a tile, vectors of a block, most vectors of a lane, and least vectors that are worth a lane of their own.
+TILE, BLOCK, LANE_ROWS, LANE_LEAST = 4096, 4096, 1 << 20, 8192
+#: Score of what is no candidate; its negative is a number, too.
+LOWEST = np.iinfo(np.int64).min + 1
 
 
 def integers(vector: Column, scale: int) -> Column:
@@ -76,7 +78,7 @@ def _search(k: int):
         cell, qi, qv, ci, cv, top = None, [], [], [], [], None
 
         def matrix(parts: list) -> np.ndarray:
-            return np.concatenate(parts) if parts else np.zeros((0, 0), np.int64)
+            return np.concatenate(parts).astype(np.int64) if parts else np.zeros((0, 0), np.int64)
 
         def block() -> None:
             nonlocal top, ci, cv
@@ -136,10 +138,15 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id"
     spark = vectors.sparkSession
     rows = vectors.where(usable(F.col(vector)) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), integers(F.col(vector), scale).alias("v"), is_query.alias("q"))
     rows = common.materialise(rows.withColumn("d", F.size("v")).withColumn("h", F.xxhash64("id", "v")), "vectors")
-    shape = rows.groupBy("d").agg(F.count(F.lit(1)).alias("n"), F.count_if("q").alias("q")).agg(F.max("n").alias("n"), F.max("q").alias("q")).first()
+    least, most = F.min(F.array_min("v")), F.max(F.array_max("v"))
+    shape = rows.groupBy("d").agg(F.count(F.lit(1)).alias("n"), F.count_if("q").alias("q"), least.alias("least"), most.alias("most")).agg(F.max("n").alias("n"), F.max("q").alias("q"), F.min("least").alias("least"), F.max("most").alias("most")).first()
     n, q = shape["n"] or 0, shape["q"] or 0
     tiles, lanes = max(1, -(-q // TILE)), max(1, -(-n // LANE_ROWS))
-    lanes = max(lanes, -(-common.partitions(spark) // tiles)) if n > 2 * BLOCK else lanes
+    # Lanes for all tasks, if there are vectors for them: what is merged later grows with the lanes.
+    lanes = max(lanes, min(-(-common.partitions(spark) // tiles), n // LANE_LEAST))
+    top = max(abs(shape["least"] or 0), abs(shape["most"] or 0) + 1)
+    narrow = "smallint" if top <= 1 << 15 else "int" if top <= 1 << 31 else "bigint"
+    rows = rows.withColumn("v", F.col("v").cast(f"array<{narrow}>"))
     spread = lambda m: F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
     asked = rows.where("q").select(spread(lanes).alias("lane"), F.pmod("h", F.lit(tiles)).cast("int").alias("tile"), "d", F.lit(0).alias("kind"), "id", "v")
     given = rows.select(F.pmod(F.shiftright("h", 20), F.lit(lanes)).cast("int").alias("lane"), spread(tiles).alias("tile"), "d", F.lit(1).alias("kind"), "id", "v")
