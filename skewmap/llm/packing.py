@@ -152,12 +152,18 @@ def tokenise(path: str, size: int = SIZE):
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("packing")
+        gc.disable()  # the tables hold millions of small objects and no cycles
+        try:
+            yield from cut(batches)
+        finally:
+            gc.enable()
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = TaskContext.get().partitionId()
         ranks: dict[int, int] = {}
         table = _tables.get(path)
         if table is None:
             table = _tables[path] = WordIds(path)
-        gc.disable()  # the tables hold millions of small objects and no cycles
         for batch in batches:
             keys = batch.column(0)
             out: list[tuple] = []
@@ -175,7 +181,6 @@ def tokenise(path: str, size: int = SIZE):
                 [keys.take(pa.array(cols[0], pa.int64())), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.int64()), pa.array([part] * len(out), pa.int32()), pa.array(cols[5], pa.int64())],
                 ["doc_id", "piece", "start", "length", "ids_crc32", "part", "rank"],
             )
-        gc.enable()
 
     return pieces
 
