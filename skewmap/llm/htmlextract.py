@@ -96,68 +96,86 @@ class Potentials:
 def marginals(potentials: Potentials, trees: list[dom.Tree], features: list[list[list[int]]] | None = None) -> list[np.ndarray]:
     """Content marginals of the elements of every tree by sum-product over all trees at once."""
     features = features or [describe(t) for t in trees]
-    sizes = np.array([len(t.tag) for t in trees])
-    base = np.concatenate([[0], np.cumsum(sizes)])
-    parent = np.concatenate([np.where(np.array(t.parent) < 0, -1, np.array(t.parent) + b) for t, b in zip(trees, base)])
     flat = [f for page in features for f in page]
     counts = np.array([len(f) for f in flat])
     ends = np.concatenate([[0], np.cumsum(counts)])
     score = np.add.reduceat(potentials.weights[np.concatenate([np.array(f) for f in flat])], ends[:-1])
-    node = np.stack([-score / 2, score / 2], 1)
-    depth = np.zeros(len(parent), np.int64)
-    level = np.flatnonzero(parent < 0)
-    kids = np.flatnonzero(parent >= 0)
-    levels = [level]
-    for d in range(1, len(parent) + 1):  # parents stand before their children, so depths settle level by level
-        if not len(kids):
-            break
-        hit = depth[parent[kids]] == d - 1
-        known = np.zeros(len(parent), bool)
-        known[levels[-1]] = True
-        hit &= known[parent[kids]]
-        level, kids = kids[hit], kids[~hit]
-        depth[level] = d
-        levels.append(level)
-    up = node.copy()
-    sent = np.zeros_like(node)
-    edge = potentials.edge
-    for level in reversed(levels[1:]):
-        m = np.logaddexp(edge[:, 0][None, :] + up[level, 0:1], edge[:, 1][None, :] + up[level, 1:2])
-        m -= m.max(1, keepdims=True)
-        sent[level] = m
-        np.add.at(up, parent[level], m)
-    down = np.zeros_like(node)
-    for level in levels[1:]:
-        p = parent[level]
-        rest = up[p] + down[p] - sent[level]
-        m = np.logaddexp(edge[0][None, :] + rest[:, 0:1], edge[1][None, :] + rest[:, 1:2])
-        down[level] = m - m.max(1, keepdims=True)
-    belief = up + down
-    p = 1 / (1 + np.exp(np.clip(belief[:, 0] - belief[:, 1], -50, 50)))
-    return [p[a:b] for a, b in zip(base[:-1], base[1:])]
-
-
-def train(pages: list[tuple[dom.Tree, np.ndarray]], rounds: int = 600, rate: float = 1.0, decay: float = 1e-5) -> Potentials:
-    """Potentials from labelled trees: node weights by gradient ascent given the edge potentials of the label counts."""
-    edge = np.ones((2, 2))
-    rows, cols, labels, n = [], [], [], 0
+    forest = Forest(trees)
+    p, _ = forest.beliefs(score, potentials.edge)
+    return [p[a:b] for a, b in zip(forest.base[:-1], forest.base[1:])]
+
+
+class Forest:
+    """All elements of some trees side by side, by level of depth."""
+
+    def __init__(self, trees: list[dom.Tree]) -> None:
+        self.base = np.concatenate([[0], np.cumsum([len(t.tag) for t in trees])])
+        depths: list[int] = []
+        for t in trees:  # parents stand before their children
+            own = [0] * len(t.parent)
+            for i in range(1, len(own)):
+                own[i] = own[t.parent[i]] + 1
+            depths += own
+        self.parent = np.concatenate([np.where(np.array(t.parent) < 0, -1, np.array(t.parent) + b) for t, b in zip(trees, self.base)])
+        depth = np.array(depths)
+        order = np.argsort(depth, kind="stable")
+        self.levels = np.split(order, np.flatnonzero(np.diff(depth[order])) + 1)
+
+    def beliefs(self, score: np.ndarray, edge: np.ndarray, pairs: bool = False) -> tuple[np.ndarray, np.ndarray | None]:
+        """Content marginals of all elements by messages up and down; with ``pairs`` also the summed marginals of parent and child."""
+        node = np.stack([-score / 2, score / 2], 1)
+        up, down, sent = node.copy(), np.zeros_like(node), np.zeros_like(node)
+        for level in reversed(self.levels[1:]):
+            m = np.logaddexp(edge[:, 0][None, :] + up[level, 0:1], edge[:, 1][None, :] + up[level, 1:2])
+            m -= m.max(1, keepdims=True)
+            sent[level] = m
+            np.add.at(up, self.parent[level], m)
+        both = np.zeros((2, 2)) if pairs else None
+        for level in self.levels[1:]:
+            p = self.parent[level]
+            rest = up[p] + down[p] - sent[level]
+            m = np.logaddexp(edge[0][None, :] + rest[:, 0:1], edge[1][None, :] + rest[:, 1:2])
+            down[level] = m - m.max(1, keepdims=True)
+            if pairs:
+                joint = rest[:, :, None] + edge[None] + up[level][:, None, :]
+                joint = np.exp(joint - joint.max((1, 2), keepdims=True))
+                both += (joint / joint.sum((1, 2), keepdims=True)).sum(0)
+        belief = up + down
+        return 1 / (1 + np.exp(np.clip(belief[:, 0] - belief[:, 1], -50, 50))), both
+
+
+def train(pages: list[tuple[dom.Tree, np.ndarray]], alone: int = 300, rounds: int = 120, rate: float = 0.3, decay: float = 1e-5) -> Potentials:
+    """Potentials from labelled trees, by gradient ascent on the log-likelihood of all labels of a tree together.
+
+    The gradient of a feature is its count among content elements less the count that sum-product expects, that
+    of an edge potential the number of such parents and children less the expected one. Rounds in which elements stand
+    ``alone``, without edges, find where to begin.
+    """
+    forest = Forest([tree for tree, _ in pages])
+    rows, cols, n = [], [], 0
     for tree, label in pages:
         for i, f in enumerate(describe(tree)):
             rows += [n + i] * len(f)
             cols += f
-            if tree.parent[i] >= 0:
-                edge[label[tree.parent[i]], label[i]] += 1
-        labels.append(label)
         n += len(label)
-    rows, cols, y = np.array(rows), np.array(cols), np.concatenate(labels)
-    w, grad2 = np.zeros(FEATURES), np.full(FEATURES, 1e-8)
-    for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(np.bincount(rows, w[cols], n), -30, 30)))
-        g = np.bincount(cols, (y - p)[rows], FEATURES) / n - decay * w
-        grad2 += g * g
-        w += rate * g / np.sqrt(grad2)
-    share = np.log(edge / edge.sum(1, keepdims=True))
-    return Potentials(w, share - share.mean())
+    rows, cols, y = np.array(rows), np.array(cols), np.concatenate([label for _, label in pages])
+    kids = np.flatnonzero(forest.parent >= 0)
+    seen = np.bincount(y[forest.parent[kids]] * 2 + y[kids], minlength=4).reshape(2, 2)
+    w, edge = np.zeros(FEATURES), np.zeros((2, 2))
+    grad_w, grad_e = np.full(FEATURES, 1e-8), np.full((2, 2), 1e-8)
+    for turn in range(alone + rounds):
+        score = np.bincount(rows, w[cols], n)
+        if turn < alone:
+            p, step = 1 / (1 + np.exp(-np.clip(score, -30, 30))), 1.0
+        else:
+            (p, both), step = forest.beliefs(score, edge, True), rate
+            g = (seen - both) / len(y)
+            grad_e += g * g
+            edge += step * g / np.sqrt(grad_e)
+        g = np.bincount(cols, (y - p)[rows], FEATURES) / len(y) - decay * w
+        grad_w += g * g
+        w += step * g / np.sqrt(grad_w)
+    return Potentials(w, edge - edge.mean())
 
 
 def labelled_pages(n: int = 600, seed: int = 5) -> list[tuple[dom.Tree, np.ndarray]]:
