@@ -139,6 +139,14 @@ def test_every_repeat_of_brute_force_goes(spark, documents, texts):
     assert got == {i: len(most[i]) for i in docs}
 
 
+def test_lines_of_repeated_and_null_keys(spark):
+    line = lambda c: " ".join(f"{c}{k}" for k in range(30))
+    a, b, c = line("a"), line("b"), line("c")
+    df = spark.createDataFrame([(1, a), (2, a), (2, b), (None, b), (None, c), (7, c + "\n" + a), (9, c), (9, c)], "doc_id long, text string")
+    got = sorted(((r["doc_id"], r["n_removed"], r["kept_text"]) for r in linededup.line_dedup(df).collect()), key=str)
+    assert got == sorted([(1, 0, a), (2, 1, ""), (2, 0, b), (None, 1, ""), (None, 1, ""), (7, 1, c), (9, 1, ""), (9, 1, "")], key=str)
+
+
 def test_repeat_with_a_line_that_stands_elsewhere_before(spark):
     word = lambda c: " ".join(f"{c}{k}" for k in range(20))
     kinds = [word(c) for c in "abc"]
@@ -243,6 +251,21 @@ def test_bytes_edges(odd_docs):
     assert suffixdedup.remove_repeats(odd_docs.limit(0)).count() == 0
 
 
+def test_hot_anchors_are_dealt_by_segment(spark, monkeypatch):
+    """Texts that all hold one passage at different places: its anchors have many segments."""
+    rng = random.Random(12)
+    passage = "".join(rng.choices("abcdef ", k=60))
+    rows = [(i, "".join(rng.choices("abcdef ", k=rng.randrange(5, 50))) + passage + "".join(rng.choices("abcdef ", k=rng.randrange(5, 50)))) for i in range(120)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    want = {r["doc_id"]: tuple(r) for r in suffixdedup.remove_repeats(df, length=40, gram=8).collect()}
+    monkeypatch.setattr(suffixdedup, "SAMPLED", 1)
+    for chunk, most in ((20, 4096), (7, 2), (7, 0)):
+        monkeypatch.setattr(suffixdedup, "MOST_HOT", most)
+        got = {r["doc_id"]: tuple(r) for r in suffixdedup.remove_repeats(df, length=40, gram=8, chunk=chunk).collect()}
+        assert got == want
+    assert sum(r[2] for r in want.values()) > 119 * 55
+
+
 def test_suffix_array_and_common_prefixes():
     rng = np.random.default_rng(2)
     for n, k in ((0, 2), (1, 2), (500, 2), (300, 250), (400, 1)):
@@ -288,7 +311,6 @@ def test_sets_against_brute_force(documents, texts):
     assert got == sets_brute(texts.items())
 
 
-@pytest.mark.parametrize("seed", range(3))
 def near_rows(seed=3, groups=12):
     """Families of near copies of several sizes, texts that share most of a passage, and lone texts."""
     rng = random.Random(seed)
@@ -328,6 +350,7 @@ def test_sets_of_repeated_and_null_identifiers(spark):
         assert kept == sorted([(1, text("a")), (2, text("b")), (None, text("c")), (9, None), (9, None)], key=str)
 
 
+@pytest.mark.parametrize("seed", range(3))
 def test_chains_and_common_passages(spark, seed):
     rng = random.Random(seed)
     word = lambda: "".join(rng.choices("abcdefghijklmnop", k=4))
