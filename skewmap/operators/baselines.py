@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import functools
 import math
+import pickle
 import struct
 from dataclasses import dataclass
 
@@ -17,8 +19,8 @@ from . import gates, hashing, huffman, stats
 from .peeling import peel
 
 SHARD_KEYS = 50_000
-#: Rows up to which a plain table is sent to every executor; beyond, it is joined by an exchange.
-BROADCAST_ROWS = 2_000_000
+#: Bytes up to which a plain table is sent to every executor; beyond, it is joined by an exchange.
+BROADCAST_BYTES = 64 << 20
 
 
 # ---------------------------------------------------------------- plain hash map
@@ -30,16 +32,18 @@ class HashTable:
 
     pairs: DataFrame
     spec: KeyValueSpec
-    rows: int
 
     @classmethod
     def build(cls, df: DataFrame, spec: KeyValueSpec) -> HashTable:
-        pairs = stored(spec.pairs(df), "pairs")
-        return cls(pairs, spec, pairs.count())
+        return cls(stored(spec.pairs(df), "pairs"), spec)
+
+    @functools.cached_property
+    def bytes(self) -> int:
+        return (self.measured_bits().first()["bits"] or 0) // 8
 
     def lookup(self, keys: DataFrame) -> DataFrame:
         side = self.pairs.select(*(F.col(k).alias(f"__t_{k}") for k in self.spec.keys), F.col(self.spec.value))
-        side = F.broadcast(side) if self.rows <= BROADCAST_ROWS else side.hint("shuffle_hash")
+        side = F.broadcast(side) if self.bytes <= BROADCAST_BYTES else side.hint("shuffle_hash")
         cond = F.lit(True)
         for k in self.spec.keys:
             cond = cond & F.col(k).eqNullSafe(F.col(f"__t_{k}"))
@@ -219,8 +223,13 @@ def ribbon_get(data: bytes, h: np.ndarray) -> np.ndarray:
 
 #: Hidden layers of the models that are tried; an empty tuple is the linear one.
 ARCHES = ((), (50,), (100,), (50, 50))
-#: Symbols a model can predict; all rarer values share one escape symbol and are coded by rank after it.
-MODEL_SYMBOLS = 32
+#: Symbols a model predicts; rarer values share one escape symbol, after which their rank follows in plain bits.
+MODEL_SYMBOLS = 256
+#: Scores are in 64ths of a power of two; probabilities are whole numbers below 2**30 over their sum.
+_UNIT, _ONE = 64, 30
+_POWERS = np.array([round(2 ** (_ONE - f / _UNIT)) for f in range(_UNIT)], np.int64)
+#: Fingerprint bits that are tried for the filter before the codes.
+FILTER_BITS = tuple(range(7))
 
 
 def ordinal_features(col: Column, k: int) -> Column:
@@ -233,194 +242,322 @@ def hash_features(h: Column, bits: int = 32) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(bits - 1)), lambda i: F.getbit(h, i).cast("double"))
 
 
+def _matrix(column, width: int) -> np.ndarray:
+    """Rows of a list column of ``width`` numbers each."""
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return column.flatten().to_numpy(zero_copy_only=False).astype(np.float32).reshape(len(column), width)
+
+
 @dataclass(frozen=True)
 class Network:
-    """A trained model as float16 layers (weights, offsets); evaluation is in float32 in a fixed order."""
+    """A trained model as float16 layers (weights, offsets). Evaluation is in float32, one addition after the other, so
+    every machine gets the same bits."""
 
     layers: tuple[tuple[np.ndarray, np.ndarray], ...]
 
     def scores(self, x: np.ndarray) -> np.ndarray:
+        """Logarithms of the symbols' odds, in 64ths of a power of two."""
         a = x.astype(np.float32)
         for i, (w, b) in enumerate(self.layers):
-            # Sums column by column: the same bits on every machine, whatever its matrix library does.
             out = np.repeat(b.astype(np.float32)[None, :], len(a), 0)
-            for j in range(w.shape[0]):
+            for j in np.flatnonzero(w.any(1)):
                 out += a[:, j : j + 1] * w[j].astype(np.float32)[None, :]
-            a = np.float32(1) / (np.float32(1) + np.exp(-np.clip(out, -30, 30).astype(np.float32))) if i + 1 < len(self.layers) else out
-            if i + 1 < len(self.layers):
-                a = np.round(a * 1024) / np.float32(1024)  # hides the last digits of exp
-        return np.round(a * 64) / np.float32(64)
+            a = np.maximum(out, np.float32(0)) if i + 1 < len(self.layers) else out
+        return np.rint(np.clip(a, -600, 600) * np.float32(_UNIT / math.log(2))).astype(np.int64)
 
     @property
     def bits(self) -> int:
-        return 16 * sum(w.size + b.size for w, b in self.layers)
-
-
-def train(rows: DataFrame, hidden: tuple[int, ...], classes: int, features: int, rounds: int = 3, iterations: int = 12, seed: int = 1) -> Network:
-    """Fit (features, label) rows: warm-started rounds that end when the held-out loss stops falling."""
-    from pyspark.ml.classification import LogisticRegression, MultilayerPerceptronClassifier
-    from pyspark.ml.functions import array_to_vector
-
-    data = stored(rows.select(array_to_vector("features").alias("features"), F.col("label").cast("double").alias("label")), "training")
-    if not hidden:
-        model = LogisticRegression(maxIter=iterations * rounds, regParam=1e-4, family="multinomial").fit(data)
-        w = np.zeros((features, classes), np.float16)
-        b = np.full(classes, -8.0, np.float16)
-        coefficients = model.coefficientMatrix.toArray()
-        w[:, : coefficients.shape[0]], b[: coefficients.shape[0]] = coefficients.T, model.interceptVector.toArray()
-        return Network(((w, b),))
-    fit, held = data.randomSplit([0.9, 0.1], seed)
-    sizes, weights, best, least = [features, *hidden, classes], None, None, math.inf
+        """Stored bits: offsets, a mark for every row of weights, and the rows that are not zero."""
+        return sum(16 * b.size + w.shape[0] + 16 * int(w.any(1).sum()) * w.shape[1] for w, b in self.layers)
+
+
+def train(x: np.ndarray, y: np.ndarray, hidden: tuple[int, ...], classes: int, rounds: int = 40, patience: int = 3, seed: int = 1) -> Network:
+    """Fit features to labels by Adam on cross entropy, stopping when the loss on a held-out tenth has not fallen for ``patience`` rounds.
+
+    The last layer begins as the labels' frequencies whatever the features, and the best state seen is kept: a model
+    that learns nothing stays at that and has no weights to store.
+    """
+    rng = np.random.default_rng(seed)
+    sizes = [x.shape[1], *hidden, classes]
+    prior = np.log((np.bincount(y, minlength=classes) + 0.1) / (len(y) + 0.1 * classes))
+    layers = [[rng.normal(0, math.sqrt(2 / a), (a, b)) if i + 2 < len(sizes) else np.zeros((a, b)), np.zeros(b)] for i, (a, b) in enumerate(zip(sizes[:-1], sizes[1:]))]
+    layers[-1][1] = prior.copy()
+    held = rng.random(len(y)) < 0.1
+    fit = np.flatnonzero(~held)
+
+    def forward(part: np.ndarray) -> list[np.ndarray]:
+        out = [part]
+        for i, (w, b) in enumerate(layers):
+            z = out[-1] @ w + b
+            out.append(np.maximum(z, 0) if i + 1 < len(layers) else z)
+        return out
+
+    def loss(part: np.ndarray, label: np.ndarray) -> float:
+        z = forward(part)[-1]
+        top = z.max(1)
+        return float((np.log(np.exp(z - top[:, None]).sum(1)) + top - z[np.arange(len(label)), label]).mean())
+
+    def kept() -> Network:
+        return Network(tuple((w.astype(np.float16), b.astype(np.float16)) for w, b in layers))
+
+    if not held.any() or not len(fit):
+        return kept()
+    best, least, waited = kept(), loss(x[held], y[held]) - 1e-4, 0
+    moments = [[np.zeros_like(p), np.zeros_like(p)] for layer in layers for p in layer]
+    step = 0
     for _ in range(rounds):
-        net = MultilayerPerceptronClassifier(layers=sizes, maxIter=iterations, seed=seed, blockSize=256)
-        if weights is not None:
-            net = net.setInitialWeights(weights)
-        model = net.fit(fit)
-        weights = model.weights
-        scored = model.transform(held)
-        from pyspark.ml.functions import vector_to_array
-
-        p = F.get(vector_to_array("probability"), F.col("label").cast("int"))
-        loss = scored.agg(F.avg(-F.ln(F.greatest(p, F.lit(1e-9))))).first()[0]
-        if loss is not None and loss >= least:
-            break
-        best, least = weights, math.inf if loss is None else loss
-    flat, layers = (best or weights).toArray(), []
-    for a, b in zip(sizes[:-1], sizes[1:]):
-        w, flat = flat[: a * b].reshape(a, b, order="F"), flat[a * b :]
-        layers.append((w.astype(np.float16), flat[:b].astype(np.float16)))
-        flat = flat[b:]
-    return Network(tuple(layers))
-
-
-def _order(scores: np.ndarray) -> np.ndarray:
-    """Symbols of each key from the most to the least likely; ties by symbol."""
-    return np.argsort(-scores, axis=1, kind="stable")
+        rng.shuffle(fit)
+        for lo in range(0, len(fit), 256):
+            rows = fit[lo : lo + 256]
+            out = forward(x[rows])
+            z = np.exp(out[-1] - out[-1].max(1, keepdims=True))
+            g = z / z.sum(1, keepdims=True)
+            g[np.arange(len(rows)), y[rows]] -= 1
+            g /= len(rows)
+            grads = []
+            for i in reversed(range(len(layers))):
+                grads[:0] = [out[i].T @ g, g.sum(0)]
+                if i:
+                    g = (g @ layers[i][0].T) * (out[i] > 0)
+            step += 1
+            for (m, v), grad, (i, j) in zip(moments, grads, [(i, j) for i in range(len(layers)) for j in range(2)]):
+                m += 0.1 * (grad - m)
+                v += 0.001 * (grad * grad - v)
+                layers[i][j] = layers[i][j] - 3e-3 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
+        now = loss(x[held], y[held])
+        if now < least:
+            best, least, waited = kept(), now, 0
+        else:
+            waited += 1
+            if waited >= patience:
+                break
+    return best
+
+
+def _odds(scores: np.ndarray) -> np.ndarray:
+    """Whole-numbered odds of the symbols of each key, by integers alone."""
+    below = scores.max(1, keepdims=True) - scores
+    return np.maximum(_POWERS[below & (_UNIT - 1)] >> np.minimum(below >> 6, _ONE), 1)
+
+
+def key_codes(odds: np.ndarray, guess: np.ndarray, bits: int) -> np.ndarray:
+    """Codeword lengths of every symbol for each key that passed a filter of ``bits`` bits.
+
+    Only one in 2**bits keys whose first guess is right passes, so the guess's odds fall by as much. Lengths are the
+    least with 2**-length at most the probability; what the code then has to spare shortens the codewords that
+    rounding made longest.
+    """
+    w = odds.copy()
+    rows = np.arange(len(w))
+    w[rows, guess] = np.maximum(w[rows, guess] >> bits, 1)
+    total = w.sum(1, keepdims=True)
+    length = np.maximum(np.floor(np.log2(total / w)).astype(np.int64) - 1, 0)
+    for _ in range(3):  # whole numbers decide
+        length += (w << length) < total
+    cost = np.int64(1) << (48 - length)
+    spare = (np.int64(1) << 48) - cost.sum(1, keepdims=True)
+    order = np.argsort(-(w << length), axis=1, kind="stable")
+    ahead = np.take_along_axis(cost, order, 1).cumsum(1) <= spare
+    shorter = np.zeros_like(length)
+    np.put_along_axis(shorter, order, ahead.astype(np.int64), 1)
+    return np.maximum(length - shorter, 1)
+
+
+def _codeword(length: np.ndarray, symbol: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Size and canonical codeword (shorter ones first, then by symbol) of one symbol of each key."""
+    rows = np.arange(len(length))
+    own = length[rows, symbol][:, None]
+    before = (length < own) | ((length == own) & (np.arange(length.shape[1])[None, :] < symbol[:, None]))
+    return own[:, 0], np.where(before, np.int64(1) << np.maximum(own - length, 0), 0).sum(1)
+
+
+CHUNK_KEYS = 20_000
 
 
 @dataclass
 class ModelCodedMap:
-    """A model orders the symbols for each key; the true symbol's place in that order is prefix-coded.
+    """A model predicts every key's distribution over the values; the true value is stored by the key's own prefix code.
 
-    Whether the first guess is right is one ribbon structure; the other codeword bits are further ones, a structure for
-    each bit place over the keys that need it. The codes of the places are one Huffman code, so each key has a
-    prefix code of its own over the values.
+    Two ribbon structures hold a shard. A filter has the keys whose first guess is wrong, so most right guesses
+    need nothing more; its number of bits is the one of least size in all. For the keys that pass, the
+    other gives the bits of the codeword, one equation for a key and bit. The model is the architecture whose map is
+    smallest, weights included, by the code lengths of a bounded sample of keys.
     """
 
     shards: DataFrame
     dictionary: DataFrame
     spec: KeyValueSpec
     network: Network
-    code: huffman.Code
+    hidden: tuple[int, ...]
     classes: int
+    distinct: int
     count: int
     shard_count: int
-    feature: str
+    width: int
+    features: Column | None
+    filter_bits: int
+    extra: int
+    longest: int
 
     @classmethod
-    def build(cls, df: DataFrame, spec: KeyValueSpec, hidden: tuple[int, ...] = (), features: Column | None = None, width: int = 32, sample: int = 20_000) -> ModelCodedMap:
+    def build(cls, df: DataFrame, spec: KeyValueSpec, arches=((),), features: Column | None = None, width: int = 32, sample: int = 20_000) -> ModelCodedMap:
         spark = df.sparkSession
         pairs = stored(spec.pairs(df.select(*spec.keys, spec.value)), "pairs")
         hist = stored(stats.value_histogram(pairs, spec.value), "histogram")
         distinct, n = hist.count(), pairs.count()
         book = stored(huffman.ranked_values(hist, distinct).select("value", "rank"), "dictionary")
-        classes = min(distinct, MODEL_SYMBOLS) + (distinct > MODEL_SYMBOLS)
+        classes = max(2, min(distinct, MODEL_SYMBOLS) + (distinct > MODEL_SYMBOLS))
+        extra = max(0, math.ceil(math.log2(distinct - classes + 1))) if distinct > classes else 0
         shards = max(1, -(-n // SHARD_KEYS))
         h = key_hash(pairs, spec.keys)
         x = features if features is not None else hash_features(h, width)
         side = F.broadcast(book) if distinct <= huffman.SMALL else book
         keyed = pairs.select(h.alias("h"), x.alias("features"), F.col(spec.value).alias("__v")).join(side, F.col("__v").eqNullSafe(F.col("value"))).select(F.pmod("h", F.lit(shards)).alias("shard"), "h", "rank", "features")
         keyed = stored(keyed, "keys")
-        # Training sees a bounded sample, the keys of smallest hash; the map holds all keys.
-        part = keyed.select("features", F.least("rank", F.lit(classes - 1)).alias("label"), "h").orderBy(F.xxhash64("h")).limit(sample)
-        network = train(part, hidden, max(2, classes), width)
-
-        def places(batches):
+        # Training and the choice of architecture see a bounded sample, the keys of smallest hash; the map holds all keys.
+        # Architectures are trained side by side.
+        few = stored(keyed.select("features", "rank", "h").orderBy(F.xxhash64("h")).limit(sample), "sample")
+        part = few.select("features", F.least("rank", F.lit(classes - 1)).alias("label"), "h", F.explode(F.array(*(F.lit(i) for i in range(len(arches))))).alias("arch"))
+
+        def fit(t: pa.Table) -> pa.Table:
+            t = t.sort_by("h")
+            net = train(_matrix(t.column("features"), width).astype(np.float64), t.column("label").to_numpy(), arches[t.column("arch")[0].as_py()], classes)
+            return pa.table({"arch": t.column("arch")[:1], "net": pa.array([pickle.dumps(net)], pa.binary())})
+
+        nets = {r["arch"]: pickle.loads(r["net"]) for r in part.groupBy("arch").applyInArrow(fit, "arch int, net binary").collect()}
+        blank = Network(((np.zeros((width, classes), np.float16), np.zeros(classes, np.float16)),))
+        nets = {i: nets.get(i, blank) for i in range(len(arches))}
+
+        def sizes(batches):
+            """Bits of codes, filters and so on of each architecture and filter size, added up over a task's keys."""
+            total = np.zeros((len(arches), len(FILTER_BITS)))
+            keys = 0
             for batch in batches:
-                f = np.array(batch.column("features").to_pylist(), np.float64).reshape(batch.num_rows, width)
-                label = np.minimum(batch.column("rank").to_numpy(), classes - 1)
-                place = (_order(network.scores(f)) == label[:, None]).argmax(1)
-                v, c = np.unique(place, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(v), pa.array(c)], ["place", "n"])
-
-        counts = {r["place"]: r["n"] for r in keyed.mapInArrow(places, "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect()}
-        # Codes need frequencies that fall with the place.
-        falling, top = [], None
-        for p in range(max(2, classes)):
-            top = counts.get(p, 0) + 1 if top is None else min(top, counts.get(p, 0) + 1)
-            falling.append(top)
-        runs: dict[int, int] = {}
-        for f in falling:
-            runs[f] = runs.get(f, 0) + 1
-        code = huffman.Code.of(list(runs.items()))
-        extra = max(0, math.ceil(math.log2(max(1, distinct - classes + 1)))) if distinct > classes else 0
+                feats, rank = _matrix(batch.column("features"), width), batch.column("rank").to_numpy()
+                label = np.minimum(rank, classes - 1)
+                keys += len(label)
+                for i in range(len(arches)):
+                    odds = _odds(nets[i].scores(feats))
+                    guess = odds.argmax(1)
+                    wrong = guess != label
+                    for j, r in enumerate(FILTER_BITS):
+                        size = key_codes(odds, guess, r)[np.arange(len(label)), label] + extra * (label == classes - 1)
+                        total[i, j] += size[wrong].sum() + size[~wrong].sum() / 2**r + wrong.sum() * r
+            i, j = (z.ravel() for z in np.indices(total.shape))
+            yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(total.ravel()), pa.array(np.full(total.size, keys))], ["arch", "bits", "size", "keys"])
+
+        tried = few.mapInArrow(sizes, "arch long, bits long, size double, keys long").groupBy("arch", "bits").agg(F.sum("size").alias("size"), F.sum("keys").alias("keys")).collect()
+        best = min(tried, key=lambda t: (t["size"] * 1.09 * n / max(1, t["keys"]) + nets[t["arch"]].bits, t["arch"], t["bits"]), default=None)
+        arch, r = (best["arch"], FILTER_BITS[best["bits"]]) if best else (0, 0)
+        network = nets[arch]
 
         def make(t: pa.Table) -> pa.Table:
             h, rank = t.column("h").to_numpy(), t.column("rank").to_numpy()
-            f = np.array(t.column("features").to_pylist(), np.float64).reshape(len(h), width)
+            feats = _matrix(t.column("features"), width)
             label = np.minimum(rank, classes - 1)
-            place = (_order(network.scores(f)) == label[:, None]).argmax(1)
-            size, word = code.encode(place)
-            structures = [ribbon_build(h, (place == 0).astype(np.uint8), 1000)]
-            for j in range(code.longest):
-                need = (place > 0) & (size > j)
-                structures.append(ribbon_build(h[need], ((word[need] >> (size[need] - 1 - j)) & 1).astype(np.uint8), 2000 + 300 * j))
-            rare = label == classes - 1 if extra else np.zeros(len(h), bool)
-            for j in range(extra):
-                structures.append(ribbon_build(h[rare], (((rank[rare] - classes + 1) >> j) & 1).astype(np.uint8), 50_000 + 300 * j))
-            return pa.table({"shard": t.column("shard")[:1], "parts": pa.array([structures], pa.list_(pa.binary()))})
-
-        made = stored(keyed.groupBy("shard").applyInArrow(make, "shard long, parts array<binary>"), "model")
-        out = cls(made, book, spec, network, code, classes, n, shards, "given" if features is not None else "hash")
-        out.width, out.features, out.extra, out.distinct = width, features, extra, distinct
-        return out
+            guess = np.concatenate([_odds(network.scores(feats[i : i + CHUNK_KEYS])).argmax(1) for i in range(0, len(h), CHUNK_KEYS)])
+            wrong = guess != label
+            gate = ribbon_filter(h[wrong], r)
+            passed = np.flatnonzero(wrong | ribbon_passes(gate, h, r))
+            eqs, bits, longest = [np.zeros(0, np.int64)], [np.zeros(0, np.uint8)], 0
+            for i in range(0, len(passed), CHUNK_KEYS):
+                some = passed[i : i + CHUNK_KEYS]
+                size, word = _codeword(key_codes(_odds(network.scores(feats[some])), guess[some], r), label[some])
+                rare = (label[some] == classes - 1) & (extra > 0)
+                word = np.where(rare, (word << extra) | (rank[some] - classes + 1), word)
+                size = size + extra * rare
+                longest = max(longest, int(size.max(initial=0)))
+                key = np.repeat(np.arange(len(some)), size)
+                bit = np.arange(len(key)) - np.repeat(np.cumsum(size) - size, size)
+                eqs.append(_bit_hash(h[some][key], bit))
+                bits.append(((word[key] >> (size[key] - 1 - bit)) & 1).astype(np.uint8))
+            return pa.table({"shard": t.column("shard")[:1], "gate": pa.array([gate], pa.list_(pa.binary())), "codes": pa.array([ribbon_build(np.concatenate(eqs), np.concatenate(bits), 1000)], pa.binary()), "longest": pa.array([longest], pa.int32())})
+
+        made = stored(keyed.groupBy("shard").applyInArrow(make, "shard long, gate array<binary>, codes binary, longest int"), "model")
+        longest = made.agg(F.coalesce(F.max("longest"), F.lit(0))).first()[0]
+        return cls(made, book, spec, network, arches[arch], classes, distinct, n, shards, width, features, r, extra, longest)
 
     def lookup(self, keys: DataFrame) -> DataFrame:
-        extra_cols, network, code, classes, width, extra, distinct = list(keys.columns), self.network, self.code, self.classes, self.width, self.extra, self.distinct
+        columns, network, classes, width, extra, distinct, r, longest = list(keys.columns), self.network, self.classes, self.width, self.extra, self.distinct, self.filter_bits, self.longest
         h = key_hash(keys, self.spec.keys)
         x = self.features if self.features is not None else hash_features(h, width)
-        tagged = keys.select(*extra_cols, h.alias("__h"), x.alias("__x")).withColumn("__shard", F.pmod("__h", F.lit(self.shard_count)))
+        tagged = keys.select(*columns, h.alias("__h"), x.alias("__x")).withColumn("__shard", F.pmod("__h", F.lit(self.shard_count)))
         fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keys.schema.fields)
-        n, first_rank, first_code = code.table()
+
+        def ranks(h: np.ndarray, feats: np.ndarray, gate: list[bytes], codes: bytes) -> np.ndarray:
+            odds = _odds(network.scores(feats))
+            guess = odds.argmax(1)
+            rank = guess.astype(np.int64)
+            passed = np.flatnonzero(ribbon_passes(gate, h, r))
+            if not len(passed):
+                return rank
+            h, length = h[passed], key_codes(odds[passed], guess[passed], r)
+            order = np.lexsort((np.broadcast_to(np.arange(classes), length.shape), length), axis=-1)
+            sizes = np.take_along_axis(length, order, 1)
+            spans = np.int64(1) << (48 - sizes)
+            begins = spans.cumsum(1) - spans  # a codeword is the interval of all numbers that begin with it
+            at, place = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+            rows = open_ = np.arange(len(h))
+            for bit in range(longest):
+                at[open_] |= ribbon_get(codes, _bit_hash(h[open_], np.full(len(open_), bit))).astype(np.int64) << (47 - bit)
+                place[open_] = (begins[open_] <= at[open_, None]).sum(1) - 1
+                open_ = open_[sizes[open_, place[open_]] > bit + 1]
+                if not len(open_):
+                    break
+            symbol, size = order[rows, place], sizes[rows, place]
+            if extra:
+                rare = np.flatnonzero(symbol == classes - 1)
+                more = np.zeros(len(rare), np.int64)
+                for bit in range(extra):
+                    more = (more << 1) | ribbon_get(codes, _bit_hash(h[rare], size[rare] + bit)).astype(np.int64)
+                symbol[rare] += more
+            rank[passed] = np.minimum(symbol, distinct - 1)
+            return rank
 
         def read(k: pa.Table, s: pa.Table) -> pa.Table:
             rank = np.zeros(k.num_rows, np.int64)
             if k.num_rows and s.num_rows:
-                h = k.column("__h").to_numpy()
-                f = np.array(k.column("__x").to_pylist(), np.float64).reshape(len(h), width)
-                parts = [p.as_py() for p in s.column("parts")[0].values] if s.column("parts")[0].values is not None else []
-                place = np.zeros(len(h), np.int64)
-                open_ = np.flatnonzero(ribbon_get(parts[0], h) == 0)
-                word = np.zeros(len(h), np.int64)
-                for j in range(code.longest):
-                    if not len(open_):
-                        break
-                    word[open_] = (word[open_] << 1) | ribbon_get(parts[1 + j], h[open_])
-                    q = word[open_] - first_code[j + 1]
-                    hit = (q >= 0) & (q < n[j + 1])
-                    place[open_[hit]] = first_rank[j + 1] + q[hit]
-                    open_ = open_[~hit]
-                order = _order(network.scores(f))
-                rank = order[np.arange(len(h)), np.minimum(place, order.shape[1] - 1)].astype(np.int64)
-                if extra:
-                    rare = np.flatnonzero(rank == classes - 1)
-                    for j in range(extra):
-                        rank[rare] += ribbon_get(parts[1 + code.longest + j], h[rare]).astype(np.int64) << j
-                rank = np.minimum(rank, distinct - 1)
-            return k.select(extra_cols).append_column("__rank", pa.array(rank))
+                h, feats = k.column("__h").to_numpy(), _matrix(k.column("__x"), width)
+                gate, codes = s.column("gate")[0].as_py(), s.column("codes")[0].as_py()
+                for i in range(0, len(h), CHUNK_KEYS):
+                    rank[i : i + CHUNK_KEYS] = ranks(h[i : i + CHUNK_KEYS], feats[i : i + CHUNK_KEYS], gate, codes)
+            return k.select(columns).append_column("__rank", pa.array(rank))
 
         found = tagged.groupBy("__shard").cogroup(self.shards.groupBy("shard")).applyInArrow(read, f"{fields}, __rank long")
         book = self.dictionary.select(F.col("rank").alias("__rank"), F.col("value").alias(self.spec.value))
         book = F.broadcast(book) if self.distinct <= huffman.SMALL else book
-        return found.join(book, "__rank", "left").select(*extra_cols, self.spec.value)
+        return found.join(book, "__rank", "left").select(*columns, self.spec.value)
 
     def measured_bits(self) -> DataFrame:
-        size = self.shards.select(F.explode("parts").alias("p")).agg(F.coalesce(F.sum(F.octet_length("p")), F.lit(0)) * 8).first()[0]
+        gate = F.coalesce(F.sum(F.aggregate("gate", F.lit(0), lambda a, p: a + F.octet_length(p))), F.lit(0)) * 8
+        row = self.shards.agg(gate.alias("gate"), (F.coalesce(F.sum(F.octet_length("codes")), F.lit(0)) * 8).alias("codes")).first()
         words = self.dictionary.agg(F.coalesce(F.sum(F.octet_length(F.col("value").cast("string"))), F.lit(0)) * 8).first()[0]
-        parts = [("ribbons", size), ("weights", self.network.bits), ("dictionary", words)]
+        parts = [("filter", row["gate"]), ("ribbons", row["codes"]), ("weights", self.network.bits), ("dictionary", words)]
         return self.shards.sparkSession.createDataFrame([(p, int(b), b / max(1, self.count)) for p, b in parts], "part string, bits long, bpk double")
 
 
+def _bit_hash(h: np.ndarray, bit: np.ndarray) -> np.ndarray:
+    return hashing.xxhash64(h, bit).view(np.int64)
+
+
+def ribbon_filter(h: np.ndarray, bits: int) -> list[bytes]:
+    """A filter of ``bits`` fingerprint bits, each a ribbon structure that gives it back for the keys that are in."""
+    prints = hashing.xxhash64(h, 77)
+    return [ribbon_build(h, ((prints >> np.uint64(j)) & np.uint64(1)).astype(np.uint8), 300 * j) for j in range(bits)]
+
+
+def ribbon_passes(gate: list[bytes], h: np.ndarray, bits: int) -> np.ndarray:
+    """Whether keys may be in the filter. A filter of no bits lets all pass; one of no keys none."""
+    prints = hashing.xxhash64(h, 77)
+    out = np.ones(len(h), bool)
+    for j in range(bits):
+        if not gate[j]:
+            return np.zeros(len(h), bool)
+        some = np.flatnonzero(out)
+        out[some] = ribbon_get(gate[j], h[some]) == ((prints[some] >> np.uint64(j)) & np.uint64(1)).astype(np.uint8)
+    return out
+
+
 def best_model(df: DataFrame, spec: KeyValueSpec, arches=ARCHES, **options) -> ModelCodedMap:
-    """The architecture whose map is smallest in all, model included."""
-    return min((ModelCodedMap.build(df, spec, a, **options) for a in arches), key=lambda m: m.measured_bits().groupBy().sum("bits").first()[0])
+    """The map of the architecture that makes it smallest in all, model included."""
+    return ModelCodedMap.build(df, spec, tuple(arches), **options)

@@ -96,6 +96,22 @@ def peeled(family: str, h: np.ndarray, seed: int = 0) -> tuple[int, int, int, li
     raise RuntimeError(f"no {family} gate for {len(h)} keys after {TRIES} seeds")
 
 
+def nested(family: str, h: np.ndarray, others: np.ndarray, bits: int = 8) -> tuple[int, np.ndarray]:
+    """Cells of an XOR or fuse gate, and by how much the fingerprints of other keys miss.
+
+    Fingerprints of fewer bits are the low bits of those of more, and so are the cells: a key passes the gate
+    of r bits if the low r bits of its miss are zero. One peeling so tells the leaks of all settings.
+    """
+    h, others = hashing.prepared(np.unique(h)), hashing.prepared(others)
+    if not len(h):
+        return 0, np.full(len(others), -1)
+    seed, cells, length, layers, at = peeled(family, h)
+    values = np.zeros(cells, np.int64)
+    assign(layers, at, _fingerprints(h, seed, bits), values)
+    at = _xor_positions(others, seed, cells) if family == "xor" else _fuse_positions(others, seed, cells, ARITY[family], length)
+    return cells, np.bitwise_xor.reduce(values[at], axis=1) ^ _fingerprints(others, seed, bits)
+
+
 def build(family, param: float, h: np.ndarray, seed: int = 0) -> bytes:
     """Gate over distinct key hashes: a header (seed, cells, segment length) and the cells."""
     if (own := _own(family)) is not None:

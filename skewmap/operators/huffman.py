@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..session import partitions, stored
+from . import stats
 
 
 def length_counts(runs: list[tuple[int, int]]) -> dict[int, int]:
@@ -139,13 +139,7 @@ def ranked_values(histogram: DataFrame, distinct: int, name: str = "ranked") ->
     order = [F.desc("freq"), F.asc_nulls_last("value")]
     if distinct <= SMALL:
         return histogram.withColumn("rank", (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
-    placed = histogram.repartitionByRange(partitions(histogram.sparkSession), *order).withColumn("part", F.spark_partition_id())
-    placed = stored(placed, name)
-    within = F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1
-    sizes = placed.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
-    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = sizes.select("part", before.alias("start"))  # one row a partition
-    return placed.withColumn("within", within).join(F.broadcast(starts), "part").select("value", "freq", (F.col("start") + F.col("within")).cast("long").alias("rank"))
+    return stats.ranked(histogram, order, name).select("value", "freq", "rank")
 
 
 def canonical_codebook(histogram: DataFrame, distinct: int, code: Code) -> DataFrame:

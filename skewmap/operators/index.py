@@ -104,6 +104,17 @@ def solve_shard(h: np.ndarray, sizes: np.ndarray, codes: np.ndarray, hashes: int
     return head + np.packbits(np.concatenate(parts), bitorder="little").tobytes()
 
 
+def shard_bytes(h: np.ndarray, sizes: np.ndarray, hashes: int) -> int:
+    """Length of what ``solve_shard`` gives, without solving: the first seeds do not change the number of cells."""
+    buckets = max(1, round(int(sizes.sum()) / BUCKET_BITS))
+    own = bucket_of(hashing.prepared(h), buckets)
+    eqs, most = np.bincount(own, sizes, buckets).astype(np.int64), np.zeros(buckets, np.int64)
+    np.maximum.at(most, own, sizes)
+    factor, spare, _ = SPACE[hashes]
+    cells = np.where(eqs > 0, np.maximum(most + hashes, np.ceil(factor * eqs).astype(np.int64) + spare), 0)
+    return 4 + HEADER * buckets + -(-int(cells.sum()) // 8)
+
+
 def read_shard(data: bytes, h: np.ndarray, code: huffman.Code, hashes: int) -> np.ndarray:
     """Ranks that a shard's cells give for key hashes; any rank for keys that were never in it."""
     if code.longest == 0:
@@ -232,7 +243,7 @@ class Index:
             F.coalesce(F.sum(F.greatest(F.octet_length("gate") - 12, F.lit(0))), F.lit(0)).alias("gate"), F.coalesce(F.sum(F.octet_length("cells") - F.col("head")), F.lit(0)).alias("map"),
             F.coalesce(F.sum(F.col("head") + F.least(F.octet_length("gate"), F.lit(12))), F.lit(0)).alias("headers"),
         ).first()
-        width = max(1, math.ceil(math.log2(max(2, huffman.Code(*m.code).longest)))) if huffman.Code(*m.code).longest > 1 else 0
+        width = length_bits(huffman.Code(*m.code))
         values = self.codebook.agg(F.coalesce(F.sum(F.octet_length(F.col("value").cast("string"))), F.lit(0))).first()[0] * 8
         parts = [("gate", sums["gate"] * 8), ("map", sums["map"] * 8), ("headers", sums["headers"] * 8), ("code_lengths", m.distinct_values * width), ("values", values)]
         n = max(1, m.num_keys)
@@ -255,6 +266,17 @@ def load_index(spark: SparkSession, path: str) -> Index:
     return Index(manifest, spark.read.parquet(f"{path}/shards"), spark.read.parquet(f"{path}/codebook"), spark.read.parquet(f"{path}/exceptions"), stored_["key_types"])
 
 
+def length_bits(code: huffman.Code) -> int:
+    """Bits of a codeword's length in the codebook."""
+    return math.ceil(math.log2(code.longest)) if code.longest > 1 else 0
+
+
+def dominant_place(runs: list[tuple[int, int]], leaked: int) -> int:
+    """The dominant value's place among the others by their frequencies in a gated map."""
+    top = max((f for f, _ in runs), default=0)
+    return sum(m for f, m in runs if f > leaked) - (1 if top > leaked else 0)
+
+
 def _moved(rank: np.ndarray, place: int) -> np.ndarray:
     """Ranks after the dominant value, once first, has moved to ``place``."""
     return np.where(rank == 0, place, np.where(rank <= place, rank - 1, rank))
@@ -414,8 +436,7 @@ def build_relation(made: Relation, plan: Plan, hashes: int = 3, shard_keys: int
     leaked = totals["leaked"] if plan.use_gate else top
     left = gated_runs(runs, leaked) if plan.use_gate and runs else list(runs)
     code = huffman.Code.of(left)
-    # The dominant value's place among the others by their frequencies.
-    place = sum(m for f, m in runs if f > leaked) - (1 if top > leaked else 0) if plan.use_gate else 0
+    place = dominant_place(runs, leaked) if plan.use_gate else 0
     shard_rows = keyed.groupBy("shard").cogroup(gated.groupBy("shard")).applyInArrow(_map_shard(code, hashes, place), "shard long, gate binary, cells binary, head int, keys long")
     shard_rows = stored(shard_rows, "shards")
     odd = pairs.limit(0)

@@ -40,3 +40,13 @@ def version_diff(old: DataFrame, new: DataFrame, keys: tuple[str, ...], value: s
     both = a.join(b, cond, "full_outer")
     kind = F.when(F.col("__a").isNull(), "added").when(F.col("__b").isNull(), "removed").when(~F.col("old").eqNullSafe(F.col("new")), "changed")
     return both.select(*(F.coalesce(k, f"__o_{k}").alias(k) for k in keys), "old", "new", kind.alias("change")).where("change is not null")
+
+
+def salted(left: DataFrame, right: DataFrame, on: tuple[str, ...], salts: int) -> DataFrame:
+    """Equi-join whose keys are each spread over ``salts`` tasks: rows of the left by their own hash, rows of the right in every one.
+
+    A hot key's left rows meet in no one task; the price is ``salts`` times the right side.
+    """
+    own = left.withColumn("__salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)).cast("int"))
+    every = right.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return own.join(every, [*on, "__salt"]).drop("__salt")

@@ -5,8 +5,11 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from ..session import partitions, stored
 
 
 @dataclass(frozen=True)
@@ -27,6 +30,21 @@ class Profile:
         return self.distinct_values / self.num_keys if self.num_keys else 0.0
 
 
+def ranked(df: DataFrame, order: list[Column], name: str = "ranked", rank: str = "rank") -> DataFrame:
+    """``df`` with each row's place, from 0, in a total order, without gathering the rows in one task.
+
+    Rows are range-partitioned in the order, ranked within their partitions, and moved up by the sizes of the
+    partitions before, one row a partition. The stored table fixes the ranges.
+    """
+    placed = df.repartitionByRange(partitions(df.sparkSession), *order).withColumn("__part", F.spark_partition_id())
+    placed = stored(placed, name)
+    within = F.row_number().over(Window.partitionBy("__part").orderBy(*order)) - 1
+    before = F.coalesce(F.sum("n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = placed.groupBy("__part").agg(F.count(F.lit(1)).alias("n")).select("__part", before.alias("__start"))
+    out = placed.withColumn("__within", within).join(F.broadcast(starts), "__part")
+    return out.select(*df.columns, (F.col("__start") + F.col("__within")).cast("long").alias(rank))
+
+
 def value_histogram(df: DataFrame, value: str) -> DataFrame:
     """(value, freq): partial counts are formed before the exchange, so a hot value costs one row a task."""
     return df.groupBy(F.col(value).alias("value")).agg(F.count(F.lit(1)).alias("freq"))

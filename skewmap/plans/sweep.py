@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+from collections import Counter
 from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -9,7 +11,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.bounds import DELTA3, FORMS, lower_bound, upper_bound
-from ..functions.gatecost import FAMILIES
+from ..functions.gatecost import FAMILIES, HEADER_BITS
+from ..operators import gates, huffman, index
 from ..operators.index import model_bits
 from ..sources.tables import UNIFORM_VALUES, ZIPF_EXPONENT, ZIPF_SUPPORT
 
@@ -73,6 +76,143 @@ def sweep(spark: SparkSession, num_keys: int = 100_000, alphas: Iterable[float]
     return grid.mapInPandas(evaluate, f"alpha double, dist string, family string, param double, eps double, bits double, share double, ratio double, lower double, {ups}, saving double")
 
 
+def _measure(dists: tuple[str, ...], families: tuple[str, ...], zipf: list[float], delta: float, hashes: int, shard_keys: int):
+    """For ``applyInArrow`` over the keys (alpha, h, key, r, u) of one share: stored savings of all settings."""
+
+    def run(table):
+        import numpy as np
+        import pyarrow as pa
+
+        get = lambda c: table.column(c).to_numpy()
+        a, h, key, r, u = table.column("alpha")[0].as_py(), get("h"), get("key"), get("r"), get("u")
+        n = len(h)
+        shards = index.shard_count(n, shard_keys)
+        shard = h % shards
+        cut = math.floor(n * round(a * 100) / 100 + 0.5)
+        minority = r > cut
+        least, most = np.flatnonzero(minority), np.flatnonzero(~minority)
+        keys = len(least) / shards
+        # Gates do not look at values: their leaks and sizes serve all distributions.
+        leaks: dict[tuple[str, float], tuple[np.ndarray, int]] = {}
+        for name in families:
+            family = FAMILIES[name]
+            passed = {p: [np.zeros(0, np.int64)] for p in family.params}
+            size = dict.fromkeys(family.params, 0)
+            for s in range(shards):
+                inside, outside = least[shard[least] == s], most[shard[most] == s]
+                if not len(inside):
+                    continue
+                if name in gates.ARITY:
+                    cells, miss = gates.nested(name, h[inside], h[outside], int(max(family.params)))
+                    for p in family.params:
+                        passed[p].append(outside[(miss & ((1 << p) - 1)) == 0])
+                        size[p] += -(-cells * p // 8) * 8 + HEADER_BITS
+                else:
+                    for p in family.params:
+                        gate = gates.build(name, p, h[inside])
+                        passed[p].append(outside[gates.probe(name, p, gate, h[outside])])
+                        size[p] += len(gate) * 8
+            for p in family.params:
+                leaks[name, p] = np.concatenate(passed[p]), size[p]
+
+        def stored(code: huffman.Code, rank: np.ndarray, rows: np.ndarray, distinct: int) -> int:
+            """Bits of a map over some keys and of its code lengths."""
+            total = distinct * index.length_bits(code)
+            if not code.longest:
+                return total
+            sizes = code.encode(rank)[0]
+            for s in range(shards):
+                own = shard[rows] == s
+                if own.any():
+                    total += 8 * index.shard_bytes(h[rows[own]], sizes[own], hashes)
+            return total
+
+        out = []
+        for d in dists:
+            value = key + 1 if d == "unique" else r % UNIFORM_VALUES + 1 if d == "uniform100" else np.searchsorted(zipf, u, "right") + 1
+            value = np.where(minority, value, 0)
+            kinds, own, freq = np.unique(value, return_inverse=True, return_counts=True)
+            order = np.lexsort((kinds, -freq))
+            place = np.empty(len(kinds), np.int64)
+            place[order] = np.arange(len(kinds))
+            rank = place[own]
+            runs = sorted(Counter(freq.tolist()).items())
+            top, distinct = int(freq.max()), len(kinds)
+            alone = stored(huffman.Code.of(runs), rank, np.arange(n), distinct)
+            alpha, ratio = top / n, distinct / n
+            for name in families:
+                large = {s.param: s.bits for s in FAMILIES[name].settings()}
+                for s in FAMILIES[name].settings(keys):
+                    let, bits = leaks[name, s.param]
+                    rows = np.concatenate([least, let])
+                    moved = index._moved(rank[rows], index.dominant_place(runs, len(let)))
+                    size = bits + stored(huffman.Code.of(index.gated_runs(runs, len(let))), moved, rows, distinct)
+                    lower = [lower_bound(alpha, s.eps, b, ratio, delta) for b in (s.bits, large[s.param])]
+                    out.append((a, d, name, float(s.param), s.eps, s.bits, alpha, ratio, *lower, *(upper_bound(alpha, s.eps, s.bits, ratio, delta, f) for f in FORMS), (alone - size) / n, len(let)))
+        return pa.Table.from_arrays([pa.array(c) for c in zip(*out)], names=MEASURED)
+
+    return run
+
+
+MEASURED = ["alpha", "dist", "family", "param", "eps", "bits", "share", "ratio", "lower", "lower_at_large", *(f"upper_{f}" for f in FORMS), "saving", "leaked"]
+
+
+def measured_sweep(keys: DataFrame, key: str, alphas: Iterable[float] = ALPHAS, dists: Iterable[str] = DISTRIBUTIONS, families: Iterable[str] = GATES, delta: float = DELTA3, hashes: int = 3, shard_keys: int | None = None) -> DataFrame:
+    """``sweep`` measured: a row per share, distribution and setting, with the bits that the built index takes less.
+
+    The relations are those of ``tables.synthetic`` over ``keys``. Gates are built and probed with every dominant key,
+    codes are made for the keys that really leak, and maps are sized bucket by bucket with headers and code
+    lengths; only the maps' cells are not solved for, as their number does not depend on it. One task has the keys of
+    one share, so this is for relations that fit a task; shares are spread over the cluster. ``bits`` is a gate's
+    stored cost, and ``lower`` the bound with it; ``lower_at_large`` has the family's published cost.
+    """
+    from ..sources import tables
+    from ..sources.keyvalue import key_hash
+
+    rows = tables.synthetic_ranks(keys, key)
+    rows = rows.select(key_hash(rows, ("key",)).alias("h"), "key", "r", "u", F.explode(F.array(*(F.lit(float(a)) for a in alphas))).alias("alpha"))
+    weight = [r**-ZIPF_EXPONENT for r in range(1, ZIPF_SUPPORT)]
+    total, acc, edges = sum(weight) + ZIPF_SUPPORT**-ZIPF_EXPONENT, 0.0, []
+    for w in weight:
+        acc += w / total
+        edges.append(acc)
+    ups = ", ".join(f"upper_{f} double" for f in FORMS)
+    schema = f"alpha double, dist string, family string, param double, eps double, bits double, share double, ratio double, lower double, lower_at_large double, {ups}, saving double, leaked long"
+    return rows.groupBy("alpha").applyInArrow(_measure(tuple(dists), tuple(families), edges, delta, hashes, shard_keys or index.SHARD_KEYS), schema)
+
+
+def epsilon_points(keys: DataFrame, key: str, alphas: Iterable[float] = (0.7, 0.9), dists: Iterable[str] = DISTRIBUTIONS, families: Iterable[str] = GATES, points: int = 60) -> DataFrame:
+    """The rate sweep of every distribution and family: (alpha, dist, family, kind, eps, lower, upper, saving).
+
+    ``kind``: ``continuous`` rows have the bounds over a range of rates and the cost model's saving, ``measured`` rows the
+    settings there are with their stored saving, and ``optimum`` the rate of the greatest lower bound.
+    """
+    from .planner import continuous_setting
+
+    spark, alphas, dists = keys.sparkSession, tuple(alphas), tuple(dists)
+    cells = measured_sweep(keys, key, alphas, dists, families)
+    upper = F.col("upper_binary_entropy").alias("upper")
+    out = cells.select("alpha", "dist", "family", F.lit("measured").alias("kind"), "eps", "lower", upper, "saving")
+    n = keys.count()
+    for d in dists:
+        curve = epsilon_sweep(spark, n, alphas, points, families, d)
+        out = out.unionByName(curve.select("alpha", F.lit(d).alias("dist"), "family", F.lit("continuous").alias("kind"), "eps", "lower", "upper", "saving"))
+    best = []
+    for a in alphas:
+        for d in dists:
+            runs = expected_runs(n, a, d)
+            ratio = sum(m for _, m in runs) / n
+            for name in families:
+                s = continuous_setting(FAMILIES[name], a)
+                best.append((float(a), d, name, "optimum", s.eps, lower_bound(a, s.eps, s.bits, ratio), upper_bound(a, s.eps, s.bits, ratio, form="binary_entropy"), None))
+    return out.unionByName(spark.createDataFrame(best, "alpha double, dist string, family string, kind string, eps double, lower double, upper double, saving double"))
+
+
+def agreement(cells: DataFrame) -> DataFrame:
+    """(dist, family, shares, agree, most_steps, most_regret): the planner's setting beside the best one, where it gates."""
+    return parameter_regret(cells).groupBy("dist", "family").agg(F.count(F.lit(1)).alias("shares"), F.count_if(F.col("steps") == 0).alias("agree"), F.max("steps").alias("most_steps"), F.max("regret").alias("most_regret"))
+
+
 PANEL = ("alpha", "dist", "family")
 
 
@@ -126,8 +266,6 @@ def crossing(cells: DataFrame) -> DataFrame:
 
 def heuristic_harm(spark: SparkSession, num_keys: int = 100_000, alphas: Iterable[float] = ALPHAS, dists: Iterable[str] = DISTRIBUTIONS, family: str = "ideal_bloom") -> DataFrame:
     """(alpha, dist, eps, saving) of the entropy-fit heuristic's gates; negative savings are harm."""
-    import math
-
     from .planner import entropy_fit_plan
     from ..operators.stats import Profile
 

@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .functions.bounds import DELTA3, FORMS, bound_gap, lower_bound, upper_bound
 from .functions.gatecost import FAMILIES, settings
 from .operators import baselines, huffman, index, joins, measure, stats
 from .plans import planner, sweep
-from .session import ship
+from . import relational
+from .session import ship, stored
 from .sources import tables
 from .sources.keyvalue import KeyValueSpec
 from .streaming import drift
@@ -46,6 +48,9 @@ _FOLD = "translate(regexp_replace(lower(text), '[^a-z]', '', 'g'), 'abcdefghijkl
 for _k in (8, 10, 12, 15):
     WORK_SQL[f"fold{_k}"] = ("kmer", "n", f"SELECT kmer, count(*) AS n FROM (SELECT substr(seq, CAST(unnest(range(1, length(seq) - {_k - 2})) AS BIGINT), {_k}) AS kmer FROM (SELECT {_FOLD} AS seq FROM conversations) WHERE length(seq) >= {_k}) GROUP BY 1")
 
+_K15 = "SELECT DISTINCT substr(text, CAST(unnest(range(1, length(text) - 13)) AS BIGINT), 15) AS kmer FROM {} WHERE length(text) >= 15"
+WORK_SQL["bench_flag"] = ("kmer", "hit", f"WITH d AS ({_K15.format('documents')}), b AS ({_K15.format('benchmark')}) SELECT d.kmer, b.kmer IS NOT NULL AS hit FROM d LEFT JOIN b USING (kmer)")
+
 PROFILED = ("lang", "toxic", "quality", "returnflag", "lines_per_order", "orders_per_cust", "part_supp", "order_part", "cust_date", "user_hour", "custkey", "role", "doc_quality", "url_lang", "fold10", "fold15", "kmer12", "words")
 LOOKED_UP = ("lang", "part_supp", "user_hour", "returnflag", "doc_quality")
 GATED = ("xor", "fuse3", "fuse4", "bloom1", "bloom3")
@@ -57,6 +62,17 @@ def _base(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, KeyVa
     return df, KeyValueSpec(tuple(keys), value)
 
 
+_kept: dict[tuple, DataFrame] = {}
+
+
+def _once(spark: SparkSession, sf_dir: str, make: Callable[[], DataFrame], *what) -> DataFrame:
+    """A table that several queries show, made and stored by the first of them in an application."""
+    key = (spark.sparkContext.applicationId, sf_dir, *what)
+    if key not in _kept:
+        _kept[key] = stored(make(), "shown")
+    return _kept[key]
+
+
 def _frame(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
@@ -335,6 +351,84 @@ def _synthetic_lookup(alpha: float, dist: str) -> Query:
     return run
 
 
+def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tables.table(ship(spark), sf_dir, "events", "event_id")
+
+
+def _measured(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stored savings of every share, distribution and setting over the events."""
+    return _once(spark, sf_dir, lambda: sweep.measured_sweep(_events(spark, sf_dir), "event_id"), "measured")
+
+
+def _measured_decision(spark, sf_dir):
+    return sweep.decision_confusion(_measured(spark, sf_dir)).select("dist", "family", "gated_harm")
+
+
+def _measured_contained(spark, sf_dir):
+    """Shares at which the planner's saving is under its bound by more than the noise of one build, or the best over the upper bound."""
+    p = sweep.panels(_measured(spark, sf_dir))
+    low = (F.col("chosen.saving") < F.col("chosen.lower") - NOISE) & (F.col("chosen.lower") > 0)
+    high = F.col("best.saving") > F.col("best.upper_binary_entropy") + NOISE
+    return p.groupBy("dist", "family").agg(F.count(F.lit(1)).alias("shares"), F.count_if(low).alias("below"), F.count_if(high).alias("above"))
+
+
+#: Bits per key by which one build may miss an expectation: false positives are random.
+NOISE = 0.01
+_PANELS = "(VALUES ('unique'), ('zipf'), ('uniform100')) d(dist), (VALUES ('xor'), ('fuse3'), ('bloom1'), ('bloom3')) f(family)"
+_MEASURED_CONTAINED_SQL = f"SELECT dist, family, CAST(50 AS BIGINT) AS shares, CAST(0 AS BIGINT) AS below, CAST(0 AS BIGINT) AS above FROM {_PANELS}"
+
+
+def _values_by_share(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(alpha, dist, n, cut, kinds): keys, keys of the dominant value and distinct values of the synthetic relations of all shares.
+
+    A minority value is there at a share if its last key in the mixed order is past the dominant ones, so one pass
+    over the keys serves all shares.
+    """
+    ranks = tables.synthetic_ranks(_events(spark, sf_dir), "event_id")
+    total = ranks.agg(F.count(F.lit(1)).alias("n"))
+    zipf = ranks.join(F.broadcast(tables.zipf_table(spark)), (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi")))
+    last = zipf.groupBy("value").agg(F.max("r").alias("r")).select(F.lit("zipf").alias("dist"), "r")
+    last = last.unionByName(ranks.groupBy((F.col("r") % tables.UNIFORM_VALUES).alias("value")).agg(F.max("r").alias("r")).select(F.lit("uniform100").alias("dist"), "r"))
+    shares = F.broadcast(spark.range(50, 100).select((F.col("id") / 100).alias("alpha")).crossJoin(total)).withColumn("cut", tables.dominant_cut(F.col("n"), F.col("alpha")))
+    seen = last.crossJoin(shares).groupBy("dist", "alpha", "n", "cut").agg((F.count_if(F.col("r") > F.col("cut")) + 1).alias("kinds"))
+    unique = shares.select(F.lit("unique").alias("dist"), "alpha", "n", "cut", (F.col("n") - F.col("cut") + 1).alias("kinds"))
+    return seen.unionByName(unique)
+
+
+def _sweep_grid(spark, sf_dir) -> DataFrame:
+    g = _values_by_share(ship(spark), sf_dir).crossJoin(F.broadcast(planner.settings_frame(spark, sweep.GATES)))
+    a, r = F.col("cut") / F.col("n"), F.col("kinds") / F.col("n") + 3e-8  # keeps sixth decimals off ties
+    e, b = F.col("eps"), F.col("bits")
+    return g.select("alpha", "dist", "family", "param", lower_bound(a, e, b, r).alias("lower"), *(upper_bound(a, e, b, r, form=f).alias(f) for f in FORMS), "bits")
+
+
+def _sweep_bounds(spark, sf_dir):
+    return _sweep_grid(spark, sf_dir).select("alpha", "dist", "family", "param", *(F.round(c, 6).alias(c) for c in ("lower", *FORMS)))
+
+
+def _sweep_crossing(spark, sf_dir):
+    """First share at which some setting has a positive bound, by a step from the share before."""
+    best = _sweep_grid(spark, sf_dir).groupBy("dist", "family", "alpha").agg(F.max("lower").alias("bound"))
+    w = Window.partitionBy("dist", "family").orderBy("alpha")
+    step = best.withColumn("before", F.lag("bound").over(w)).where((F.col("bound") > 0) & (F.coalesce("before", F.lit(-1.0)) <= 0))
+    return step.groupBy("dist", "family").agg(F.min("alpha").alias("crossing"), F.count(F.lit(1)).alias("crossings"))
+
+
+_SHARES_SQL = f"""r AS (SELECT event_id AS key, row_number() OVER (ORDER BY (event_id * 2654435761) % 4294967296, event_id) AS r FROM events),
+t AS (SELECT count(*) AS n FROM r), a AS (SELECT i / 100 AS alpha, n, floor(n * i / 100 + 0.5) AS cut FROM range(50, 100) s(i), t),
+w AS (SELECT i AS value, power(i, -{tables.ZIPF_EXPONENT}) AS w FROM range(1, {tables.ZIPF_SUPPORT + 1}) t(i)), wt AS (SELECT sum(w) AS total FROM w),
+z AS (SELECT value, coalesce(sum(w) OVER (ORDER BY value ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) / total AS lo, CASE WHEN value = {tables.ZIPF_SUPPORT} THEN 1.1 ELSE sum(w) OVER (ORDER BY value) / total END AS hi FROM w, wt),
+last AS (SELECT 'zipf' AS dist, max(r) AS r FROM (SELECT r, ((key * 40503 + 12345) % 1000003) / 1000003.0 AS u FROM r) JOIN z ON u >= lo AND u < hi GROUP BY z.value
+UNION ALL SELECT 'uniform100' AS dist, max(r) AS r FROM r GROUP BY r % {tables.UNIFORM_VALUES}),
+v AS (SELECT dist, alpha, n, cut, count(*) FILTER (last.r > cut) + 1 AS kinds FROM last, a GROUP BY 1, 2, 3, 4 UNION ALL SELECT 'unique', alpha, n, cut, n - cut + 1 FROM a),
+g AS (SELECT v.alpha AS share, dist, cut / n AS alpha, kinds / n + 3e-8 AS ratio, s.* FROM v, {_grid_sql(sweep.GATES)})"""
+_LOWER_SQL = f"alpha * {DELTA3} * (1 - eps) - (1 - alpha) * bits - ratio"
+_SWEEP_BOUNDS_SQL = f"WITH {_SHARES_SQL} SELECT share AS alpha, dist, family, param, round({_LOWER_SQL}, 6) AS lower, " + ", ".join(f"round({UPPER_SQL[f].replace(str(_RATIO), 'ratio')}, 6) AS {f}" for f in FORMS) + " FROM g"
+_SWEEP_CROSSING_SQL = f"""WITH {_SHARES_SQL}, b AS (SELECT dist, family, share, max({_LOWER_SQL}) AS bound FROM g GROUP BY 1, 2, 3),
+s AS (SELECT *, lag(bound) OVER (PARTITION BY dist, family ORDER BY share) AS before FROM b)
+SELECT dist, family, min(share) AS crossing, count(*) AS crossings FROM s WHERE bound > 0 AND coalesce(before, -1) <= 0 GROUP BY 1, 2"""
+
+
 #: Every fifth share and the last: ``bounds_containment`` counts these, ``bounds_containment_all`` every share.
 _FIFTHS = tuple(round(0.5 + 0.05 * i, 2) for i in range(10)) + (0.99,)
 
@@ -368,7 +462,8 @@ def _regret(spark, sf_dir):
 
 
 SYNTHETIC = tuple(f"{dist}_{alpha}" for dist in sweep.DISTRIBUTIONS for alpha in (0.5, 0.8, 0.95))
-NATURAL = ("part_supp", "lang", "lines_per_order", "fold15", "kmer12")
+#: The last three are k-mer tables of high, low and middle skew.
+NATURAL = ("part_supp", "lang", "lines_per_order", "fold15", "fold8", "kmer12")
 METHODS = ("gap", "entropy_fit", "hash_table", "perfect_hash", "model_coded")
 
 
@@ -381,7 +476,7 @@ def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang
         df.count()
         for method in methods:
             make = {
-                "gap": lambda: planner.build_index(df, spec, "gap", ("xor", "fuse3", "fuse4", "bloom1", "bloom3")), "entropy_fit": lambda: planner.build_index(df, spec, "entropy_fit", ("fuse3",)),
+                "gap": lambda: planner.build_index(df, spec, "gap", ("fuse3",)), "entropy_fit": lambda: planner.build_index(df, spec, "entropy_fit", ("fuse3",)),
                 "hash_table": lambda: baselines.HashTable.build(df, spec), "perfect_hash": lambda: baselines.PerfectHashTable.build(df, spec), "model_coded": lambda: baselines.best_model(df, spec),
             }[method]
             ix, took = measure.timed(make)
@@ -393,7 +488,8 @@ def method_table(spark: SparkSession, sf_dir: str, workloads=("part_supp", "lang
 
 def _compared(spark, sf_dir):
     """All methods on the synthetic relations of every distribution and share, and on the natural workloads."""
-    return method_table(ship(spark), sf_dir, SYNTHETIC + NATURAL)
+    table = method_table
+    return _once(spark, sf_dir, lambda: table(ship(spark), sf_dir, SYNTHETIC + NATURAL), "methods", table)
 
 
 def _exact_table(spark, sf_dir):
@@ -474,15 +570,22 @@ FROM (SELECT doc_id, lang, doc_id AS k FROM o) o FULL JOIN n USING (doc_id) WHER
 def _drift(kind: str) -> Query:
     def run(spark, sf_dir):
         e = tables.table(ship(spark), sf_dir, "events", "ts", "event_type").withColumn("ts", F.col("ts").cast("timestamp"))
-        w = {"tumbling": lambda: drift.tumbling(e, "event_type"), "sliding": lambda: drift.sliding(e, "event_type"), "session": lambda: drift.session(e, "event_type")}[kind]()
-        out = drift.drift(w)
+        out = drift.session(e, "event_type") if kind == "session" else drift.drift({"tumbling": drift.tumbling, "sliding": drift.sliding}[kind](e, "event_type"))
         epoch = lambda c: F.unix_micros(c) / 1000000
         return out.select(epoch("start").cast("long").alias("start_s"), "num_keys", "distinct_values", "dominant_count", F.round("alpha", 6).alias("alpha"))
 
     return run
 
 
+_SESSION_SQL = """WITH o AS (SELECT epoch_us(ts) AS t, event_type, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (ORDER BY ts) < 1800000000 THEN 0 ELSE 1 END AS fresh FROM events),
+s AS (SELECT *, sum(fresh) OVER (ORDER BY t RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS s FROM o),
+c AS (SELECT s, event_type, count(*) AS freq, min(t) AS a FROM s GROUP BY 1, 2)
+SELECT CAST(floor(min(a) / 1000000) AS BIGINT) AS start_s, CAST(sum(freq) AS BIGINT) AS num_keys, count(*) AS distinct_values, max(freq) AS dominant_count, round(max(freq) / sum(freq), 6) AS alpha FROM c GROUP BY s"""
+
+
 def _drift_sql(kind: str) -> str:
+    if kind == "session":
+        return _SESSION_SQL
     if kind == "tumbling":
         rows = "SELECT CAST(floor(epoch(ts) / 86400) AS BIGINT) * 86400 AS start_s, event_type FROM events"
     else:
@@ -536,7 +639,7 @@ def _fpr(spark, sf_dir):
 def _ordinal_model(spark, sf_dir):
     """Model-coded map of folded 8-mers with the place of each letter as features."""
     df, spec = _base(spark, sf_dir, "fold8")
-    return baselines.ModelCodedMap.build(df, spec, (50,), baselines.ordinal_features(F.col("kmer"), 8), 8).lookup(df.select("kmer"))
+    return baselines.ModelCodedMap.build(df, spec, ((50,),), baselines.ordinal_features(F.col("kmer"), 8), 8).lookup(df.select("kmer"))
 
 
 def _vector_model(spark, sf_dir):
@@ -544,7 +647,7 @@ def _vector_model(spark, sf_dir):
     df = tables.table(ship(spark), sf_dir, "embeddings", "vec_id", "embedding", "label")
     spec = KeyValueSpec(("vec_id", "embedding"), "label")
     features = F.transform("embedding", lambda x: x.cast("double"))
-    return baselines.ModelCodedMap.build(df, spec, (), features, 64).lookup(df.select("vec_id", "embedding")).select("vec_id", "label")
+    return baselines.ModelCodedMap.build(df, spec, ((),), features, 64).lookup(df.select("vec_id", "embedding")).select("vec_id", "label")
 
 
 # ---------------------------------------------------------------- registry
@@ -567,7 +670,7 @@ def queries() -> dict[str, Query]:
         q[f"lookup_gated_{family}_part_supp"] = _lookup("part_supp", lambda d, s, f=family: index.build(d, s, _gate(f)))
         q[f"gate_no_false_negatives_{family}"] = _no_false_negatives(family)
     q["lookup_gated_fuse3_four_hashes_part_supp"] = _lookup("part_supp", lambda d, s: index.build(d, s, _gate("fuse3"), hashes=4))
-    for name in ("extprice", "custkey", "role", "url_host", "order_part", "fold15", "kmer12", "lines_per_order"):
+    for name in ("extprice", "custkey", "role", "url_host", "order_part", "fold15", "kmer12", "lines_per_order", "bench_flag"):
         q[f"lookup_gap_planned_{name}"] = _lookup(name, lambda d, s: planner.build_index(d, s, "gap", GATED))
     q["perfect_hash_is_bijection"] = _bijection
     q["lower_bound_grid"] = _bound_grid(lambda a, e, b: lower_bound(a, e, b, F.lit(_RATIO)), "bound")
@@ -586,11 +689,18 @@ def queries() -> dict[str, Query]:
         "bpk_table": _compared, "pareto_front": lambda s, d: measure.pareto_front(_compared(s, d)), "ratio_table": lambda s, d: measure.ratio_table(_compared(s, d), "gap"),
     }
     q |= {"predicted_savings": _predicted, "gate_rates": _fpr, "lookup_model_coded_ordinal_fold8": _ordinal_model, "lookup_model_coded_features_vec_label": _vector_model}
-    for k in ("kmer8", "kmer12", "fold8", "fold12"):
+    for k in ("kmer8", "kmer12", "kmer15", "kmer31", "fold8", "fold12"):
         q[f"{k}_counts"] = lambda s, d, k=k: tables.workload(ship(s), d, k)[0]
     q["benchmark_kmer_flags"] = lambda s, d: tables.workload(ship(s), d, "bench_flag")[0].groupBy("hit").agg(F.count(F.lit(1)).alias("n"))
     q |= {"alpha_cube": _alpha_cube("cube"), "alpha_rollup": _alpha_cube("rollup"), "savings_pivot": _savings_pivot, "asof_value": _asof, "interval_events": _interval, "version_diff": _version_diff}
     q |= {f"drift_{k}": _drift(k) for k in ("tumbling", "sliding", "session")}
+    q |= {
+        "measured_sweep": _measured, "measured_decision": _measured_decision, "measured_containment": _measured_contained, "sweep_bounds": _sweep_bounds, "sweep_crossing": _sweep_crossing,
+        "measured_decision_detail": lambda s, d: sweep.decision_confusion(_measured(s, d)), "measured_agreement": lambda s, d: sweep.agreement(_measured(s, d)), "measured_crossing": lambda s, d: sweep.crossing(_measured(s, d)),
+        "measured_tightness": lambda s, d: sweep.tightness(_measured(s, d)), "epsilon_points": lambda s, d: sweep.epsilon_points(_events(s, d), "event_id"),
+    }
+    q |= {name: run for name, (run, _) in relational.QUERIES.items()}
+    q["panel_regret"] = lambda s, d: relational._panels(s, d, _grid, _RATIO)
     return q
 
 
@@ -631,14 +741,18 @@ def oracle_sql() -> dict[str, str]:
     o["predicted_savings"] = f"SELECT alpha, family, param, round(1000000 * ({low}), 1) AS at_least, round(1000000 * ({high}), 1) AS at_most FROM {_GRID_SQL}"
     o["gate_rates"] = "SELECT family, true AS as_promised FROM (VALUES ('xor'), ('fuse3'), ('fuse4'), ('bloom1'), ('bloom3')) f(family)"
     o["sketch_profile"] = "SELECT workload, true AS same_count, true AS share_below, true AS values_above FROM (VALUES ('lang'), ('part_supp'), ('returnflag')) w(workload)"
-    k15 = "SELECT DISTINCT substr(text, CAST(unnest(range(1, length(text) - 13)) AS BIGINT), 15) AS kmer FROM {} WHERE length(text) >= 15"
-    o["benchmark_kmer_flags"] = f"WITH d AS ({k15.format('documents')}), b AS ({k15.format('benchmark')}) SELECT b.kmer IS NOT NULL AS hit, count(*) AS n FROM d LEFT JOIN b USING (kmer) GROUP BY 1"
+    o["benchmark_kmer_flags"] = f"SELECT hit, count(*) AS n FROM ({WORK_SQL['bench_flag'][2]}) GROUP BY 1"
     for how in ("cube", "rollup"):
         o[f"alpha_{how}"] = f"SELECT lang, source, count(*) AS n, round(count(*) FILTER (lang = 'en') / count(*), 6) AS alpha FROM documents GROUP BY {how}(lang, source)"
     lb = f"alpha * {DELTA3} * (1 - eps) - (1 - alpha) * bits - {_RATIO}"
     o["savings_pivot"] = f"SELECT alpha, round(max({lb}) FILTER (family = 'fuse3'), 6) AS fuse3, round(max({lb}) FILTER (family = 'xor'), 6) AS xor FROM {_GRID_SQL} GROUP BY alpha"
     o |= {"asof_value": _ASOF_SQL, "interval_events": _INTERVAL_SQL, "version_diff": _VERSION_SQL}
-    o |= {f"drift_{k}": _drift_sql(k) for k in ("tumbling", "sliding")}
+    o |= {f"drift_{k}": _drift_sql(k) for k in ("tumbling", "sliding", "session")}
+    o |= {"measured_decision": _NO_HARM_SQL, "measured_containment": _MEASURED_CONTAINED_SQL, "sweep_bounds": _SWEEP_BOUNDS_SQL, "sweep_crossing": _SWEEP_CROSSING_SQL}
+    o |= {name: sql for name, (_, sql) in relational.QUERIES.items()}
+    o["panel_regret"] = f"""WITH g AS (SELECT *, alpha * {DELTA3} * (1 - eps) - (1 - alpha) * bits - {_RATIO} AS bound FROM {_GRID_SQL}),
+    r AS (SELECT *, max(bound) OVER (PARTITION BY alpha) - bound AS regret, CAST(row_number() OVER (PARTITION BY alpha, family ORDER BY bound DESC, param) AS INTEGER) AS place FROM g)
+    SELECT alpha, family, place, param, round(regret, 6) AS regret FROM r WHERE place <= 2"""
     return o
 
 

@@ -53,6 +53,46 @@ def register(spark: SparkSession) -> None:
     spark.dataSource.register(SkewmapSource)
 
 
+def register_lookup(spark: SparkSession, name: str, index) -> None:
+    """Make ``name(key columns)`` a SQL function that looks keys up in an index, for points as for columns.
+
+    The index and its codebook are sent to every executor, so they are checked against the size that a stream's index
+    may have. Values come as strings; keys whose hashes collide are refused at registration.
+    """
+    import numpy as np
+
+    from ..operators import gates, huffman
+    from ..operators.index import ranks_in_shard
+    from ..session import shared
+    from ..streaming.drift import STREAM_BYTES
+
+    m = index.manifest
+    size = (index.shards.agg(F.sum(F.octet_length("cells") + F.octet_length("gate"))).first()[0] or 0) + index.book_bytes
+    if size > STREAM_BYTES or m.exceptions:
+        raise ValueError(f"an index of {size} bytes and {m.exceptions} colliding keys cannot be a function; use its lookup")
+    shards = {r["shard"]: (bytes(r["gate"] or b""), bytes(r["cells"] or b"")) for r in index.shards.select("shard", "gate", "cells").collect()}
+    book = [r["v"] for r in index.codebook.orderBy("rank").select(F.col("value").cast("string").alias("v")).collect()]
+    handle = shared(spark, (shards, np.array(book, object)))
+    code, family = huffman.Code(*m.code), gates.named(m.plan.family) if m.plan.use_gate else None
+
+    @F.arrow_udf("string")
+    def value(h: pa.Array) -> pa.Array:
+        held, values = handle.value
+        h = h.to_numpy(zero_copy_only=False)
+        rank, own = np.zeros(len(h), np.int64), h % m.shards
+        for s in np.unique(own):
+            at = np.flatnonzero(own == s)
+            rank[at] = ranks_in_shard(m, family, code, *held.get(int(s), (b"", b"")), h[at])
+        return pa.array(values[np.minimum(rank, len(values) - 1)], pa.string())
+
+    spark.udf.register(f"{name}_by_hash", value)
+    mask = " | ".join(f"if({k} IS NULL, {1 << (i % 30)}, 0)" for i, k in enumerate(m.keys))
+    parameters = ", ".join(f"{k} {index.key_types[k]}" for k in m.keys)
+    if any(t in ("double", "float") or t.startswith(("array", "struct")) for t in index.key_types.values()):
+        raise TypeError("keys of floating or nested types are looked up with the index itself")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({parameters}) RETURNS STRING RETURN {name}_by_hash(xxhash64({m.seed}, {mask}, {', '.join(m.keys)}))")
+
+
 def _frequencies(v) -> list[int]:
     return [int(x) for x in v if x is not None and x == x]
 

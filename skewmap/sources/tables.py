@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..operators import stats
+
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     """A table's chosen columns; only they are read."""
@@ -21,15 +23,22 @@ def read_pairs(spark: SparkSession, path: str, fmt: str, schema: str, **options)
 
 
 def read_sequences(spark: SparkSession, path: str) -> DataFrame:
-    """(file, record, sequence) of FASTA-like text files: lines after a ``>`` header are one sequence.
+    """(file, record, sequence) of FASTA-like text files: each ``>`` header begins a record.
 
-    Line order within a file comes from reading each file whole by lines; sequences are put together per record.
+    Files are cut at headers by the reader, so a large file is many rows and splits over many tasks, and a
+    record's lines never leave their row. ``record`` rises within a file; text before the first header is no record.
     """
-    lines = spark.read.text(path, wholetext=True).select(F.input_file_name().alias("file"), F.posexplode(F.split("value", "\r?\n")).alias("i", "line"))
-    order = Window.partitionBy("file").orderBy("i")
-    tagged = lines.withColumn("record", F.sum(F.startswith("line", F.lit(">")).cast("int")).over(order))
-    parts = tagged.where(~F.startswith("line", F.lit(">")) & (F.length("line") > 0)).groupBy("file", "record")
-    return parts.agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("i", "line"))), lambda x: x["line"]), "").alias("sequence"))
+    place = F.struct(F.col("_metadata.file_block_start").alias("block"), F.monotonically_increasing_id().alias("i"))
+    rows = spark.read.option("lineSep", "\n>").text(path).select("value", F.col("_metadata.file_path").alias("file"), place.alias("place"))
+    first = F.broadcast(rows.groupBy("file").agg(F.min("place").alias("place"), F.lit(True).alias("first")))  # one row a file
+    known = rows.join(first, ["file", "place"], "left").where(F.col("first").isNull() | F.startswith("value", F.lit(">")))
+    body = F.regexp_replace(F.regexp_replace("value", "^[^\n]*\n?", ""), "[\r\n]+", "")
+    return known.select("file", F.col("place.i").alias("record"), body.alias("sequence"))
+
+
+def read_with_files(spark: SparkSession, path: str, merge: bool = True) -> DataFrame:
+    """Parquet files under ``path``, partition columns found from folders and schemas merged, with each row's file."""
+    return spark.read.option("mergeSchema", str(merge).lower()).parquet(path).select("*", F.col("_metadata.file_path").alias("file"))
 
 
 # ---------------------------------------------------------------- k-mers
@@ -71,28 +80,35 @@ def zipf_table(spark: SparkSession, support: int = ZIPF_SUPPORT, exponent: float
     return spark.createDataFrame(rows, "value long, lo double, hi double")
 
 
+def synthetic_ranks(keys: DataFrame, key: str) -> DataFrame:
+    """(key, r, u): each key's place from 1 in a portable mixed order, and its draw from [0, 1) for Zipf values."""
+    mixed = (F.col(key) * F.lit(2654435761)) % F.lit(4294967296)
+    placed = stats.ranked(keys.select(F.col(key).alias("key"), mixed.alias("m")), [F.col("m"), F.col("key")], "synthetic", "r")
+    return placed.select("key", (F.col("r") + 1).alias("r"), (((F.col("key") * F.lit(40503) + F.lit(12345)) % F.lit(1000003)) / F.lit(1000003.0)).alias("u"))
+
+
+def dominant_cut(total: Column, alpha: Column) -> Column:
+    """As many keys as round() of the exact product of the total and a share of whole hundredths."""
+    return F.floor(total * F.round(alpha * 100) / F.lit(100) + F.lit(0.5))
+
+
 def synthetic(keys: DataFrame, key: str, alpha: float, dist: str) -> DataFrame:
     """(key, value): the first round(alpha N) keys in a portable mixed order get value 0, the others by ``dist``.
 
     ``unique``: a value of their own; ``uniform100``: one of 100; ``zipf``: Zipf 1.5 by a range join with the
-    cumulative table. Ranks come from one sort of the keys, as the share has to be exact.
+    cumulative table. Ranks are prefix sums over a range-partitioned order, as the share has to be exact.
     """
-    mixed = (F.col(key) * F.lit(2654435761)) % F.lit(4294967296)
-    ranked = keys.select(F.col(key).alias("key"), mixed.alias("m")).withColumn("r", F.row_number().over(Window.orderBy("m", "key")))
     total = keys.agg(F.count(F.lit(1)).alias("total"))
-    rows = ranked.crossJoin(F.broadcast(total))
-    # As many keys as round() of the exact product in decimals.
-    cut = F.floor(F.col("total") * F.lit(round(alpha * 100)) / F.lit(100) + F.lit(0.5))
-    minority = F.col("r") > cut
+    rows = synthetic_ranks(keys, key).crossJoin(F.broadcast(total))
+    minority = F.col("r") > dominant_cut(F.col("total"), F.lit(alpha))
     if dist == "unique":
         return rows.select("key", F.when(minority, F.col("key") + 1).otherwise(0).cast("long").alias("value"))
     if dist == "uniform100":
         return rows.select("key", F.when(minority, F.col("r") % UNIFORM_VALUES + 1).otherwise(0).cast("long").alias("value"))
     if dist != "zipf":
         raise ValueError(f"unknown distribution {dist!r}")
-    u = rows.withColumn("u", ((F.col("key") * F.lit(40503) + F.lit(12345)) % F.lit(1000003)) / F.lit(1000003.0))
     table_ = F.broadcast(zipf_table(keys.sparkSession))
-    return u.join(table_, (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).select("key", F.when(minority, F.col("value")).otherwise(0).cast("long").alias("value"))
+    return rows.join(table_, (F.col("u") >= F.col("lo")) & (F.col("u") < F.col("hi"))).select("key", F.when(minority, F.col("value")).otherwise(0).cast("long").alias("value"))
 
 
 # ---------------------------------------------------------------- workloads on the given tables

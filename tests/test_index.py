@@ -241,7 +241,7 @@ def test_model_learns_a_correlation(spark):
     from skewmap.operators.baselines import ordinal_features
 
     spec = KeyValueSpec(("k",), "v")
-    seen = ModelCodedMap.build(df, spec, (50,), ordinal_features(F.col("k"), 6), 6)
+    seen = ModelCodedMap.build(df, spec, ((50,),), ordinal_features(F.col("k"), 6), 6)
     assert exact(seen, df)
 
 
