@@ -340,6 +340,11 @@ def _odds(scores: np.ndarray) -> np.ndarray:
     return np.maximum(_POWERS[below & (_UNIT - 1)] >> np.minimum(below >> 6, _ONE), 1)
 
 
+def _guesses(odds: np.ndarray, extra: int) -> np.ndarray:
+    """Each key's likeliest symbol, but never the escape, after which more bits must follow."""
+    return (odds[:, :-1] if extra else odds).argmax(1)
+
+
 def key_codes(odds: np.ndarray, guess: np.ndarray, bits: int) -> np.ndarray:
     """Codeword lengths of every symbol for each key that passed a filter of ``bits`` bits.
 
@@ -438,7 +443,7 @@ class ModelCodedMap:
                 keys += len(label)
                 for i in range(len(arches)):
                     odds = _odds(nets[i].scores(feats))
-                    guess = odds.argmax(1)
+                    guess = _guesses(odds, extra)
                     wrong = guess != label
                     for j, r in enumerate(FILTER_BITS):
                         size = key_codes(odds, guess, r)[np.arange(len(label)), label] + extra * (label == classes - 1)
@@ -455,7 +460,7 @@ class ModelCodedMap:
             h, rank = t.column("h").to_numpy(), t.column("rank").to_numpy()
             feats = _matrix(t.column("features"), width)
             label = np.minimum(rank, classes - 1)
-            guess = np.concatenate([_odds(network.scores(feats[i : i + CHUNK_KEYS])).argmax(1) for i in range(0, len(h), CHUNK_KEYS)])
+            guess = np.concatenate([_guesses(_odds(network.scores(feats[i : i + CHUNK_KEYS])), extra) for i in range(0, len(h), CHUNK_KEYS)])
             wrong = guess != label
             gate = ribbon_filter(h[wrong], r)
             passed = np.flatnonzero(wrong | ribbon_passes(gate, h, r))
@@ -486,7 +491,7 @@ class ModelCodedMap:
 
         def ranks(h: np.ndarray, feats: np.ndarray, gate: list[bytes], codes: bytes) -> np.ndarray:
             odds = _odds(network.scores(feats))
-            guess = odds.argmax(1)
+            guess = _guesses(odds, extra)
             rank = guess.astype(np.int64)
             passed = np.flatnonzero(ribbon_passes(gate, h, r))
             if not len(passed):

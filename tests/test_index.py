@@ -249,6 +249,10 @@ def test_escaped_symbols(spark):
     df = spark.createDataFrame([(i, i % 90) for i in range(900)], "k long, v long")
     ix = ModelCodedMap.build(df, KeyValueSpec(("k",), "v"))
     assert exact(ix, df)
+    # More values than the model has symbols, and most keys under the escape.
+    df = spark.createDataFrame([(i, max(0, i - 900)) for i in range(2000)], "k long, v long")
+    ix = ModelCodedMap.build(df, KeyValueSpec(("k",), "v"), ((), (50,)))
+    assert ix.extra and exact(ix, df)
 
 
 def test_perfect_hash_is_a_bijection():
