@@ -128,52 +128,149 @@ def _steps(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     step = np.arange(len(flat)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
     out = np.empty(len(flat), flat.dtype)
     out[offsets[step] + row] = flat
-    return out, offsets, order
+    return out, offsets, order, lengths
+
+
+#: Steps between scalings, by type: products of so many emissions stay within its range.
+EVERY = {np.float64: 32, np.float32: 8}
+TINY = {np.float64: 1e-300, np.float32: 1e-37}
+#: Tokens of the pieces that longer texts are cut into.
+PIECE = 512
+
+
+@dataclass
+class Pieces:
+    """Texts side by side; a long one is cut into pieces that are worked on like texts of their own.
+
+    What a piece does to any distribution over the states is a matrix, found for all pieces at once; products of them
+    give each piece the distribution it begins with (``prior``) and the weight of what comes after it (``after``), so
+    the recursions over pieces are those over the whole text, and exact. ``joints`` are the moves from piece to piece.
+    """
+
+    parts: list[np.ndarray]
+    owner: np.ndarray
+    first: np.ndarray
+    prior: np.ndarray
+    after: np.ndarray
+    joints: np.ndarray
+
+
+def _cut(model: Model, relative: np.ndarray, texts: list[np.ndarray], kind) -> Pieces:
+    k = len(model.start)
+    if max(map(len, texts), default=0) <= 2 * PIECE:
+        n = len(texts)
+        return Pieces(texts, np.arange(n), np.ones(n, bool), np.broadcast_to(model.start, (n, k)), np.ones((n, k)), np.zeros((k, k)))
+    parts, owner, place = [], [], []
+    for i, t in enumerate(texts):
+        cuts = range(0, len(t), PIECE) if len(t) > 2 * PIECE else (0,)
+        for j, lo in enumerate(cuts):
+            parts.append(t[lo : lo + PIECE] if len(cuts) > 1 else t)
+            owner.append(i)
+            place.append(j)
+    owner, place = np.array(owner), np.array(place)
+    n, first = len(parts), place == 0
+    prior, after, joints = np.tile(model.start, (n, 1)), np.ones((n, k)), np.zeros((k, k))
+    long = np.flatnonzero(np.bincount(owner)[owner] > 1)
+    does = np.zeros((n, k, k))
+    does[long] = _matrices(model, relative, [parts[i] for i in long], kind)
+    for j in range(1, place.max() + 1):  # forward: what each piece begins with
+        now = np.flatnonzero(place == j)
+        end = np.einsum("ni,nij->nj", prior[now - 1], does[now - 1])
+        end /= end.sum(1, keepdims=True)
+        prior[now] = end @ model.move
+    for j in range(place.max(), 0, -1):  # backward: the weight of what comes after, and the moves between pieces
+        now = np.flatnonzero(place == j)
+        weight = np.einsum("nij,nj->ni", does[now], after[now])
+        weight /= weight.sum(1, keepdims=True)
+        after[now - 1] = weight @ model.move.T
+        end = np.einsum("ni,nij->nj", prior[now - 1], does[now - 1])
+        total = ((end @ model.move) * weight).sum(1)
+        joints += (end / total[:, None]).T @ weight
+    return Pieces(parts, owner, first, prior, after, joints)
+
+
+def _matrices(model: Model, relative: np.ndarray, parts: list[np.ndarray], kind) -> np.ndarray:
+    """For each piece, up to a factor, the variables at its end by the state that it begins in."""
+    cls, offsets, order, _ = _steps(parts)
+    e, k, every = np.take(relative, cls, axis=0), len(model.start), EVERY[kind]
+    move, out = model.move.astype(kind), np.empty((len(parts), k, k))
+    here = np.repeat(np.eye(k, dtype=kind)[:, None, :], len(parts), 1)  # state at the beginning, piece, state now
+    steps, n = offsets.tolist(), len(parts)
+    for t, (a, b) in enumerate(zip(steps[:-1], steps[1:])):
+        if t:
+            if b - a < n:
+                out[order[b - a : n]] = here[:, b - a :].swapaxes(0, 1)
+                n = b - a
+            here = np.matmul(here[:, :n], move)
+        here *= e[a:b]
+        if t % every == every - 1:
+            here *= (1 / np.maximum(here.max(0).max(1), TINY[kind]))[None, :, None]
+    out[order[:n]] = here.swapaxes(0, 1)
+    return out / out.max((1, 2), keepdims=True)
 
 
 def forward(model: Model, texts: list[np.ndarray], keep: bool = False, kind=np.float64):
-    """log10 probability of each text; with ``keep`` also emissions and scaled forward variables, step by step."""
-    cls, offsets, order = _steps(texts)
-    e, move = np.take(model.emit.astype(kind), cls, axis=0), model.move.astype(kind)
-    ones, tiny = np.ones(len(model.start), kind), kind(1e-300 if kind is np.float64 else 1e-37)
-    kept = np.empty(e.shape, kind) if keep else None
-    scales = np.empty(len(cls), kind)
-    alpha = None
-    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
-        alpha = e[a:b] * model.start.astype(kind) if alpha is None else alpha[: b - a] @ move
-        if a:
-            alpha *= e[a:b]
-        scale = np.maximum(alpha @ ones, tiny)
-        alpha *= (1 / scale)[:, None]
-        scales[a:b] = scale
-        if keep:
-            kept[a:b] = alpha
+    """log10 probability of each text; with ``keep`` what ``expected`` goes back over.
+
+    Emissions are taken relative to each class's greatest, so a step shrinks the variables little, and they are scaled
+    every few steps only.
+    """
+    most = model.emit.max(1)
+    relative = (model.emit / most[:, None]).astype(kind)
+    pieces = _cut(model, relative, texts, kind)
+    cls, offsets, order, lengths = _steps(pieces.parts)
+    e, move = np.take(relative, cls, axis=0), model.move.astype(kind)
+    ones, tiny, every = np.ones(len(move), kind), kind(TINY[kind]), EVERY[kind]
+    alpha, scales = np.empty_like(e), {}
+    logs, steps = np.zeros(len(order)), offsets.tolist()
+    for t, (a, b) in enumerate(zip(steps[:-1], steps[1:])):
+        here = alpha[a:b]
+        if t:
+            np.matmul(last[: b - a], move, out=here)
+            here *= e[a:b]
+        else:
+            np.multiply(e[a:b], pieces.prior[order], out=here, casting="same_kind")
+        if t % every == every - 1:
+            scale = np.maximum(here @ ones, tiny)
+            here *= (1 / scale)[:, None]
+            scales[t] = scale
+            if not keep:
+                logs[: b - a] += np.log10(scale, dtype=np.float64)
+        last = here
+    ends = alpha[offsets[lengths - 1] + np.arange(len(order))]  # at the last token of each
+    if keep:
+        return pieces, order, cls, steps, e, alpha, scales, ends
     row = np.arange(len(cls)) - np.repeat(offsets[:-1], np.diff(offsets))
-    result = np.empty(len(texts))
-    result[order] = np.bincount(row, np.log10(scales, dtype=np.float64), len(texts))
-    return (result, cls, offsets, e, kept, scales) if keep else result
+    logs += np.log10(np.maximum(ends @ ones, tiny), dtype=np.float64) + np.bincount(row, np.log10(most)[cls], len(order))
+    return np.bincount(pieces.owner[order], logs, len(texts))
 
 
 def expected(model: Model, texts: list[np.ndarray], classes: int, kind=np.float64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Baum-Welch counts of a batch: start, moves and emissions (class x state)."""
-    _, cls, offsets, e, gamma, scales = forward(model, texts, True, kind)  # gamma becomes the posterior in place, from the last step down
-    k, back = len(model.start), model.move.T.astype(kind)
-    e *= (1 / scales)[:, None]
+    # gamma becomes the posterior in place, from the last step down.
+    pieces, order, cls, steps, e, gamma, scales, ends = forward(model, texts, True, kind)
+    k, back = len(model.start), np.ascontiguousarray(model.move.T.astype(kind))
+    after = pieces.after[order].astype(kind)
+    after /= np.maximum((ends * after).sum(1, keepdims=True), kind(TINY[kind]))
     moves, beta = np.zeros((k, k)), None
-    steps = offsets.tolist()
     for t in range(len(steps) - 2, -1, -1):
         a, b = steps[t], steps[t + 1]
-        here = np.ones((b - a, k), kind)
+        here, n = np.empty((b - a, k), kind), 0
         if beta is not None:
             n = len(beta)
-            ahead = e[b : b + n] * beta
+            ahead = e[b : b + n]
+            ahead *= beta
+            if t + 1 in scales:
+                ahead *= (1 / scales[t + 1])[:, None]
             moves += gamma[a : a + n].T @ ahead
-            here[:n] = ahead @ back
-            gamma[a : a + n] *= here[:n]
+            np.matmul(ahead, back, out=here[:n])
+        here[n:] = after[n : b - a]
+        gamma[a:b] *= here
         beta = here
-    moves *= model.move
-    emit = np.stack([np.bincount(cls, gamma[:, j], classes) for j in range(k)], 1)
-    first = gamma[: steps[1]].astype(np.float64)
+    moves = (moves + pieces.joints) * model.move
+    at = cls.astype(np.intp)
+    emit = np.stack([np.bincount(at, column, classes) for column in np.ascontiguousarray(gamma.T)], 1)
+    first = gamma[: steps[1]][pieces.first[order]].astype(np.float64)
     return (first / first.sum(1, keepdims=True)).sum(0), moves, emit
 
 
@@ -273,14 +370,15 @@ def _encode(vocabulary):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
         v = vocabulary.value
-        frequent = v.words
+        top = len(v.counts)
         for batch in batches:
             marks = _marks(batch)
             place: dict[bytes, int] = {}
             codes, at, rows, seen = [], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [0]
             for mark, words in zip(marks, _words(batch.column(1))):
-                codes.append(v.encode(words).astype(v.kind).tobytes())
-                rare = [place.setdefault(w, len(place)) for w in words if w not in frequent]
+                own = v.encode(words)
+                codes.append(own.astype(v.kind).tobytes())
+                rare = [place.setdefault(words[i], len(place)) for i in np.flatnonzero(own >= top).tolist()]
                 at.append(np.array(rare, np.int64))
                 rows.append(np.full(len(rare), mark))
                 seen.append(len(place))

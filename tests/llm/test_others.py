@@ -258,6 +258,19 @@ def test_narrow_numbers_count_the_same():
     assert all(np.allclose(a, b, rtol=1e-3) for a, b in zip(wide, narrow))
 
 
+def test_pieces_are_the_whole_text(monkeypatch):
+    rng = np.random.default_rng(5)
+    v, k = vocabulary(), 4
+    m = hmm.Model(rng.dirichlet([1] * k), rng.dirichlet([1] * k, k), rng.dirichlet([1] * v.classes, k).T)
+    texts = [rng.integers(0, v.classes, n).astype(np.uint16) for n in (1, 30, 7, 200, 64, 15)]
+    logs, counts = hmm.forward(m, texts), hmm.expected(m, texts, v.classes)
+    for piece in (1, 3, 7):
+        monkeypatch.setattr(hmm, "PIECE", piece)
+        assert np.allclose(hmm.forward(m, texts), logs, rtol=1e-10)
+        for kind, tol in ((np.float64, 1e-9), (np.float32, 1e-3)):
+            assert all(np.allclose(a, b, rtol=tol) for a, b in zip(hmm.expected(m, texts, v.classes, kind), counts))
+
+
 def score_brute(rows, train, states, rounds, frequent, rest):
     """Scores by the model's definition: words and classes by plain counting, Baum-Welch and the forward sum in loops."""
     c = collections.Counter()
