@@ -12,8 +12,9 @@ training and scoring read. Training: in every round every task adds up the expec
 documents by the scaled forward-backward recursion, the counts are summed across partitions in two steps, and the
 tables are made anew. Scoring is the scaled forward recursion, exact.
 
-Word counts cover all training documents. Rare words' counts come back to the documents through a join
-on the word, of which each batch of documents sends one row with the list of its rows that hold it.
+Word counts cover all training documents. Counts of the commonest words, a bounded number, go to every task; those
+of all others come back to the documents through a join on the word, of which each batch of documents sends one
+row with the list of its rows that hold it.
 
 Defined results: null and empty texts are the end mark alone; an empty training set leaves N = V = 0 and
 uniform classes; long texts are scored whole; a null identifier counts as a training row; rows that
@@ -25,7 +26,8 @@ from __future__ import annotations
 import zlib
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -54,6 +56,8 @@ class Vocabulary:
     rest_words: np.ndarray
     tokens: int
     distinct: int
+    #: Counts of the commonest words without a class of their own.
+    others: dict[bytes, int] = field(default_factory=dict)
 
     @property
     def classes(self) -> int:
@@ -314,11 +318,12 @@ def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], ["word", "c"])
 
 
-BLOCK_ROWS = 4096
+#: Rows of a block of the emission table; tasks beyond which blocks are summed in two steps.
+BLOCK_ROWS, WIDE = 4096, 256
 
 
 #: Tokens that are trained on or scored side by side.
-TRAINED, SCORED = 800_000, 400_000
+TRAINED, SCORED = 400_000, 200_000
 
 
 def _classes_of(column: pa.Array, kind: str) -> list[np.ndarray]:
@@ -341,7 +346,7 @@ def _counting(model, vocabulary):
                 total = got if total is None else tuple(a + b for a, b in zip(total, got))
         if total is not None:
             start, moves, emit = total
-            blocks = [emit[i : i + BLOCK_ROWS] for i in range(0, len(emit), BLOCK_ROWS)]
+            blocks = [emit[i : i + BLOCK_ROWS].astype(np.float32) for i in range(0, len(emit), BLOCK_ROWS)]
             ids = [-1, *range(len(blocks))]
             data = [np.concatenate([start, moves.ravel()]).tobytes(), *(b.tobytes() for b in blocks)]
             salt = [xxhash.xxh32_intdigest(data[0]) % 32] * len(ids)
@@ -351,34 +356,46 @@ def _counting(model, vocabulary):
 
 
 def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Sums of a task's blocks: emissions travel as 4-byte numbers and are added up as 8-byte ones."""
     total: dict[int, np.ndarray] = {}
     for batch in batches:
         for block, data in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist()):
-            own = np.frombuffer(data)
-            total[block] = total[block] + own if block in total else own
+            own = np.frombuffer(data, np.float64 if block < 0 else np.float32)
+            if block in total:
+                total[block] += own
+            else:
+                total[block] = own.astype(np.float64)
     if total:
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([0] * len(total), pa.int32()), pa.array([x.tobytes() for x in total.values()], pa.binary())], ["block", "salt", "counts"])
+        data = [x.tobytes() if b < 0 else x.astype(np.float32).tobytes() for b, x in total.items()]
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([0] * len(total), pa.int32()), pa.array(data, pa.binary())], ["block", "salt", "counts"])
 
 
 def _encode(vocabulary):
     """For ``mapInArrow`` over (id, text, train): each text as the classes of its words.
 
-    A row also has the rare words that it is the first of its batch to hold, each with the signatures of all rows of
-    the batch that hold it, as often as they do.
+    A row also has the sum of log10(count + 1) of its words whose counts are at hand but have no class of their own,
+    their number, and the other rare words that it is the first of its batch to hold, each with the
+    signatures of all rows of the batch that hold it, as often as they do.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
         v = vocabulary.value
-        top = len(v.counts)
+        top, count = len(v.counts), v.others.get
         for batch in batches:
             marks = _marks(batch)
             place: dict[bytes, int] = {}
+            sums, numbers = [], []
             codes, at, rows, seen = [], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [0]
             for mark, words in zip(marks, _words(batch.column(1))):
                 own = v.encode(words)
                 codes.append(own.astype(v.kind).tobytes())
-                rare = [place.setdefault(words[i], len(place)) for i in np.flatnonzero(own >= top).tolist()]
+                some = [words[i] for i in np.flatnonzero(own >= top).tolist()]
+                counts = np.fromiter(map(count, some, repeat(0)), np.int64, len(some))
+                known = counts > 0
+                sums.append(float(np.log10(counts[known] + 1.0).sum()))
+                numbers.append(int(known.sum()))
+                rare = [place.setdefault(some[i], len(place)) for i in np.flatnonzero(~known).tolist()]
                 at.append(np.array(rare, np.int64))
                 rows.append(np.full(len(rare), mark))
                 seen.append(len(place))
@@ -387,7 +404,10 @@ def _encode(vocabulary):
             lists = pa.ListArray.from_arrays(pa.array(edges), pa.array(row[np.argsort(word, kind="stable")]))
             found = pa.StructArray.from_arrays([pa.array(list(place), pa.binary()), lists], ["word", "rows"])
             rare = pa.ListArray.from_arrays(pa.array(seen, pa.int32()), found)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(marks), batch.column(2), pa.array(codes, pa.binary()), rare], ["id", "mark", "train", "codes", "rare"])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array(marks), batch.column(2), pa.array(codes, pa.binary()), pa.array(sums, pa.float64()), pa.array(numbers, pa.int64()), rare],
+                ["id", "mark", "train", "codes", "others", "n_others", "rare"],
+            )
 
     return run
 
@@ -399,7 +419,7 @@ def _marks(batch: pa.RecordBatch) -> np.ndarray:
 
 
 def _scores(model, vocabulary):
-    """For ``mapInArrow`` over (id, mark, classes): what each row's score needs beside its rare words' counts."""
+    """For ``mapInArrow`` over (id, mark, classes, others, n_others): what each row's score needs beside its rare words' counts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
@@ -417,50 +437,55 @@ def _scores(model, vocabulary):
                 logs[order[done : done + len(group)]] = forward(m, group)
                 done += len(group)
             sums = np.array([(within[t].sum() + own[t].sum(), own[t].sum(), known[t].sum(), (t >= top).sum()) for t in texts]).reshape(-1, 4)
+            held, count = batch.column(3).to_numpy(), batch.column(4).to_numpy()
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(n), pa.array(logs + sums[:, 0]), pa.array(sums[:, 1]), pa.array(sums[:, 2].astype(np.int64)), pa.array(sums[:, 3].astype(np.int64))],
+                [batch.column(0), batch.column(1), pa.array(n), pa.array(logs + sums[:, 0] + held), pa.array(sums[:, 1] + held), pa.array(sums[:, 2].astype(np.int64) + count), pa.array(sums[:, 3].astype(np.int64) - count)],
                 ["id", "mark", "n_tokens", "model", "own", "known", "rare"],
             )
 
     return run
 
 
-def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024) -> Vocabulary:
-    """Frequent words and class totals from a table (word, c); the driver gets ``frequent + rest`` rows."""
+def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024, others: int = 200_000) -> Vocabulary:
+    """Frequent words, class totals and counts of ``others`` more words from a table (word, c); the driver gets as many rows."""
     totals = counts.agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("v")).first()
     end = F.col("word") == F.lit(END)
     ends = counts.where(end).agg(F.sum("c")).first()[0] or 0
-    top = [(bytes(r["word"]), r["c"]) for r in counts.where(~end).orderBy(F.desc("c"), "word").limit(frequent).collect()]
+    most = [(bytes(r["word"]), r["c"]) for r in counts.where(~end).orderBy(F.desc("c"), "word").limit(frequent + others).collect()]
+    top = most[:frequent]
     least = top[-1] if top else (b"", 0)
     tail = counts.where(~end & ((F.col("c") < least[1]) | ((F.col("c") == least[1]) & (F.col("word") > F.lit(least[0])))))
     by = tail.groupBy((F.crc32(F.substring("word", -3, 3)) % rest).cast("int").alias("g")).agg(F.sum("c").alias("c"), F.count(F.lit(1)).alias("v")).collect()
     tokens, words = np.zeros(rest), np.zeros(rest)
     for r in by:
         tokens[r["g"]], words[r["g"]] = r["c"], r["v"]
-    return Vocabulary({w: i for i, (w, _) in enumerate(top, 1)}, np.array([ends, *(c for _, c in top)], float), rest, tokens, words, totals["n"] or 0, totals["v"] or 0)
+    return Vocabulary({w: i for i, (w, _) in enumerate(top, 1)}, np.array([ends, *(c for _, c in top)], float), rest, tokens, words, totals["n"] or 0, totals["v"] or 0, dict(most[frequent:]))
 
 
 @common.cleaned
-def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14, frequent: int = 40_000, rest: int = 1024) -> DataFrame:
+def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14, frequent: int = 40_000, rest: int = 1024, others: int = 200_000) -> DataFrame:
     """One row per document: key, n_tokens, n_known, train_tokens, base_score, score. ``training`` is a boolean column."""
     spark = docs.sparkSession
     n = common.partitions(spark)
     rows = docs.select(F.col(key).alias("id"), F.col(text).cast("string").alias("t"), F.coalesce(training, F.lit(True)).alias("train"))
     counts = rows.where("train").select("t").mapInArrow(_count_words, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
     counts = common.materialise(counts, "words")
-    v = fit_vocabulary(counts, frequent, rest)
+    v = fit_vocabulary(counts, frequent, rest, others)
     vocabulary = common.shared(spark, v)
     kind = rows.schema["id"].dataType.simpleString()
-    texts = rows.select("id", "t", "train").mapInArrow(_encode(vocabulary), f"id {kind}, mark long, train boolean, codes binary, rare array<struct<word binary, rows array<long>>>")
+    texts = rows.select("id", "t", "train").mapInArrow(_encode(vocabulary), f"id {kind}, mark long, train boolean, codes binary, others double, n_others long, rare array<struct<word binary, rows array<long>>>")
     texts = common.materialise(texts, "classes", compression="zstd")
     learn = texts.where("train").select("codes")
+    tasks = len(texts.inputFiles())  # at least as many files as tasks read them
     model, spare = initial(v, states), v.spare()
     for _ in range(rounds):
         handle = common.shared(spark, model)
         schema = "block int, salt int, counts binary"
         part = learn.mapInArrow(_counting(handle, vocabulary), schema)
-        part = part.repartition(n, "block", "salt").mapInArrow(_summed, schema).repartition(n, "block").mapInArrow(_summed, schema)
-        found = {r["block"]: np.frombuffer(r["counts"]) for r in part.collect()}  # the size of one emission table
+        if tasks > WIDE:  # a block's sum in one task would have too many terms
+            part = part.repartition(n, "block", "salt").mapInArrow(_summed, schema)
+        part = part.repartition(n, "block").mapInArrow(_summed, schema)
+        found = {r["block"]: np.frombuffer(r["counts"], np.float64 if r["block"] < 0 else np.float32) for r in part.collect()}  # the size of one emission table
         if not found:
             break
         first = found.pop(-1)
@@ -470,7 +495,7 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
     rare = texts.select(F.explode("rare").alias("x")).select("x.word", "x.rows").join(counts, "word", "left")
     rare = rare.select(F.explode("rows").alias("mark"), F.log10(F.coalesce("c", F.lit(0)) + 1).alias("x"), F.col("c").isNotNull().cast("long").alias("k"))
     rare = rare.groupBy("mark").agg(F.sum("x").alias("x"), F.sum("k").alias("k"), F.count(F.lit(1)).alias("all"))
-    parts = texts.select("id", "mark", "codes").mapInArrow(_scores(handle, vocabulary), f"id {kind}, mark long, n_tokens long, model double, own double, known long, rare long")
+    parts = texts.select("id", "mark", "codes", "others", "n_others").mapInArrow(_scores(handle, vocabulary), f"id {kind}, mark long, n_tokens long, model double, own double, known long, rare long")
     joined = parts.join(rare, "mark", "left")
     # Equal rows share a signature, under which their rare words are summed; each row has its part.
     part = F.coalesce(F.col("rare") / F.col("all"), F.lit(0.0))

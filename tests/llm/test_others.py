@@ -324,12 +324,14 @@ def score_brute(rows, train, states, rounds, frequent, rest):
     return out
 
 
-def test_score_against_brute_force(spark):
+@pytest.mark.parametrize("others", [0, 30, 1000])
+def test_score_against_brute_force(spark, others, monkeypatch):
+    monkeypatch.setattr(hmm, "WIDE", others)
     rng = np.random.default_rng(4)
     kinds = [f"w{i}{s}" for i in range(60) for s in ("ing", "ed", "s")]
     rows = [(i, " ".join(rng.choice(kinds, rng.integers(0, 40), p=np.arange(180, 0, -1) / np.arange(181).sum()))) for i in range(80)]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
-    got = {r["doc_id"]: r["score"] for r in hmm.score(df, F.col("doc_id") % 3 > 0, states=3, rounds=4, frequent=50, rest=7).collect()}
+    got = {r["doc_id"]: r["score"] for r in hmm.score(df, F.col("doc_id") % 3 > 0, states=3, rounds=4, frequent=50, rest=7, others=others).collect()}
     want = score_brute([(i, t.encode().split()) for i, t in rows], [i % 3 > 0 for i, _ in rows], 3, 4, 50, 7)
     assert all(math.isclose(got[i], want[i], rel_tol=1e-4) for i in want)
 
