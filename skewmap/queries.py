@@ -52,6 +52,7 @@ _K15 = "SELECT DISTINCT substr(text, CAST(unnest(range(1, length(text) - 13)) AS
 WORK_SQL["bench_flag"] = ("kmer", "hit", f"WITH d AS ({_K15.format('documents')}), b AS ({_K15.format('benchmark')}) SELECT d.kmer, b.kmer IS NOT NULL AS hit FROM d LEFT JOIN b USING (kmer)")
 
 PROFILED = ("lang", "toxic", "quality", "returnflag", "lines_per_order", "orders_per_cust", "part_supp", "order_part", "cust_date", "user_hour", "custkey", "role", "doc_quality", "url_lang", "fold10", "fold15", "kmer12", "words")
+ANY_FAMILY = ("lang", "quality", "part_supp", "user_hour", "fold15", "kmer12")
 LOOKED_UP = ("lang", "part_supp", "user_hour", "returnflag", "doc_quality")
 GATED = ("xor", "fuse3", "fuse4", "bloom1", "bloom3")
 DEFAULT_FAMILIES = ("fuse3",)
@@ -97,8 +98,8 @@ def _grid_sql(families) -> str:
 _LB = f"(dominant_count / num_keys) * {DELTA3} * (1 - eps) - (1 - dominant_count / num_keys) * bits - distinct_values / num_keys"
 
 
-def _plan_sql(profile: str) -> str:
-    return f"""WITH {profile}, g AS (SELECT s.*, {_LB} AS bound FROM {_grid_sql(DEFAULT_FAMILIES)}, p),
+def _plan_sql(profile: str, families=DEFAULT_FAMILIES) -> str:
+    return f"""WITH {profile}, g AS (SELECT s.*, {_LB} AS bound FROM {_grid_sql(families)}, p),
     b AS (SELECT *, row_number() OVER (ORDER BY bound DESC, bits) AS r FROM g)
     SELECT bound > 0 AS use_gate, family, param, round(eps, 6) AS eps, round(bits, 6) AS bits, round(bound, 6) AS bound FROM b WHERE r = 1"""
 
@@ -152,10 +153,10 @@ def _gate(family: str) -> index.Plan:
     return index.Plan(True, family, param, s.eps, s.bits, planner="always")
 
 
-def _gap_plan(name: str) -> Query:
+def _gap_plan(name: str, families=DEFAULT_FAMILIES) -> Query:
     def run(spark, sf_dir):
         df, spec = _base(spark, sf_dir, name)
-        plan = planner.plan_frame(stats.profile_frame(df, spec.value), spark, DEFAULT_FAMILIES)
+        plan = planner.plan_frame(stats.profile_frame(df, spec.value), spark, families)
         return plan.select("use_gate", "family", "param", *(F.round(c, 6).alias(c) for c in ("eps", "bits", "bound")))
 
     return run
@@ -659,6 +660,8 @@ def queries() -> dict[str, Query]:
         q[f"profile_{name}"], q[f"histogram_{name}"], q[f"entropy_{name}"], q[f"freq_of_freq_{name}"] = _profile(name), _histogram(name), _entropy(name), _freq_of_freq(name)
         q[f"gap_plan_{name}"], q[f"entropy_fit_plan_{name}"] = _gap_plan(name), _entropy_fit(name)
         q[f"codebook_kraft_{name}"], q[f"entropy_sandwich_{name}"], q[f"huffman_bits_{name}"] = _kraft(name), _sandwich(name), _huffman_bits(name)
+    for name in ANY_FAMILY:
+        q[f"gap_plan_any_family_{name}"] = _gap_plan(name, GATED)
     for name in LOOKED_UP:
         q[f"lookup_plain_{name}"] = _lookup(name, lambda d, s: planner.build_index(d, s, "never"))
         q[f"lookup_gap_planned_{name}"] = _lookup(name, lambda d, s: planner.build_index(d, s, "gap", GATED))
@@ -681,7 +684,7 @@ def queries() -> dict[str, Query]:
     for dist in sweep.DISTRIBUTIONS:
         for alpha in (0.5, 0.8, 0.95):
             q[f"synthetic_{dist}_{round(alpha * 100)}"] = _synthetic(alpha, dist)
-        q[f"lookup_synthetic_{dist}_80"] = _synthetic_lookup(0.8, dist)
+            q[f"lookup_synthetic_{dist}_{round(alpha * 100)}"] = _synthetic_lookup(alpha, dist)
     q |= {
         "alpha_sweep_model": lambda s, d: _cells(s), "epsilon_sweep_model": lambda s, d: sweep.epsilon_sweep(ship(s)), "bounds_containment": _containment, "bounds_containment_all": lambda s, d: _containment(s, d, sweep.ALPHAS), "decision_harm": _no_harm,
         "parameter_regret": _regret, "crossing_alpha": lambda s, d: sweep.crossing(_cells(s)), "bounds_tightness": lambda s, d: sweep.tightness(_cells(s)), "heuristic_harm": _heuristic_harm,
@@ -715,10 +718,12 @@ def oracle_sql() -> dict[str, str]:
         o[f"entropy_fit_plan_{name}"] = f"WITH h AS ({_hist(name)}), {_H_SQL} SELECT {_EPS_SQL} < 1 AS use_gate, round(cost, 6) AS map_cost, round({_EPS_SQL}, 6) AS eps FROM c, t"
         o[f"codebook_kraft_{name}"] = f"SELECT count(*) AS codes, count(*) AS different, CAST(1.0 AS DOUBLE) AS kraft_sum FROM ({_hist(name)})"
         o[f"entropy_sandwich_{name}"] = f"WITH h AS ({_hist(name)}), t AS (SELECT sum(freq) AS n FROM h) SELECT round(sum(-(freq / n) * log2(freq / n)), 6) AS entropy, true AS holds FROM h, t"
+    for name in ANY_FAMILY:
+        o[f"gap_plan_any_family_{name}"] = _plan_sql(_profile_sql(name), GATED)
     for key in queries():
         if key.startswith("lookup_synthetic_"):
-            dist = key.split("_")[2]
-            o[key] = _synthetic_sql(0.8, dist)
+            _, _, dist, a = key.split("_")
+            o[key] = _synthetic_sql(int(a) / 100, dist)
         elif key.startswith("lookup_"):
             name = next(w for w in sorted(WORK_SQL, key=len, reverse=True) if key.endswith(f"_{w}"))
             o[key] = WORK_SQL[name][2]

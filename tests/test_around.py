@@ -189,6 +189,23 @@ def test_stream_windows_equal_batch_and_late_rows_go(spark, tmp_path):
     assert drift.drift(drift.sliding(e, "event_type")).count() > 0
 
 
+def run_stream(spark, frame, name):
+    frame.writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.table(name).collect()
+
+
+def test_stream_repeats_and_intervals(spark, tmp_path):
+    rows = [(1, "a", 0), (1, "a", 60), (2, "a", 120), (3, "b", 4000)]
+    spark.createDataFrame(rows, "id long, k string, s long").write.json(f"file://{tmp_path}/in")
+    stream = spark.readStream.schema("id long, k string, s long").json(f"file://{tmp_path}/in").select("id", "k", F.timestamp_seconds("s").alias("ts"))
+    assert sorted(r["id"] for r in run_stream(spark, drift.deduplicated(stream, ["id"]), "once")) == [1, 2, 3]
+    batch = spark.read.schema("id long, k string, s long").json(f"file://{tmp_path}/in").select("id", "k", F.timestamp_seconds("s").alias("ts"))
+    assert drift.deduplicated(batch, ["id"]).count() == 3
+    right = stream.select(F.col("k"), F.col("id").alias("other"), F.col("ts").alias("at"))
+    got = run_stream(spark, drift.stream_interval(stream, right, "k", "ts", "at", "90 seconds"), "near")
+    assert sorted((r["id"], r["other"]) for r in got) == [(1, 1), (1, 1), (1, 1), (1, 2), (2, 2), (3, 3)]
+
+
 def test_replanning(spark):
     plan = planner.gap_plan(Profile(1000, 2, 900))
     assert plan.use_gate and drift.needs_replan(plan, Profile(1000, 2, 500)) and not drift.needs_replan(plan, Profile(10_000, 2, 9000))
