@@ -56,8 +56,8 @@ def observed_fpr(index: Index) -> float:
     return m.leaked / m.dominant_count if m.dominant_count and m.plan.use_gate else 0.0
 
 
-def lookup_latency(index, keys: DataFrame, repeats: int = 3) -> DataFrame:
-    """One row: job, scan and net nanoseconds a key (median of warm runs), and the time inside shards.
+def lookup_latency(index, keys: DataFrame, repeats: int = 3, inside: bool = True) -> DataFrame:
+    """One row: job, scan and net nanoseconds a key (median of warm runs), and with ``inside`` the time inside shards.
 
     The sink is ``noop``, so nothing is written; net is the lookup job less a job that only scans the keys.
     """
@@ -72,7 +72,7 @@ def lookup_latency(index, keys: DataFrame, repeats: int = 3) -> DataFrame:
         return float(np.median(took))
 
     scan, job = run(keys), run(index.lookup(keys))
-    inner = _inside(index, keys) if isinstance(index, Index) else None
+    inner = _inside(index, keys) if inside and isinstance(index, Index) else None
     scale = 1e9 / max(1, n)
     return keys.sparkSession.createDataFrame([(job * scale, scan * scale, max(0.0, job - scan) * scale, inner)], "job_ns double, scan_ns double, net_ns double, in_shard_ns double")
 
