@@ -24,6 +24,7 @@ from operator import add
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -41,15 +42,11 @@ PIECES = "doc_id {key}, piece int, start long, length long, ids_crc32 long, part
 
 
 #: Letters (A-Z are lower-cased already) and the marks after them; apostrophes and digits are left to the tokenizer.
-_LATIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)")
-
-
-def _decode(word: bytes) -> str:
-    return word.decode("utf-8", "replace")
+_LATIN = re.compile(r"^([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)$|^(.*)$", re.M)
 
 
 class WordIds(dict):
-    """Places of white-space separated words in a store of their ids; place 0 is the end of a document, id 0.
+    """Places of white-space separated words in a store of their ids; place 0 is the end of a document, id 0, place 1 no word.
 
     A word met for the first time gets a place at once and its ids with the next ``learn``. A word of plain
     Latin letters with ASCII marks after them has the ids of the letters and those of the marks, as the
@@ -75,13 +72,13 @@ class WordIds(dict):
 
     def reset(self) -> None:
         self.clear()
-        self[b""] = 0
+        self[b""] = 1
         self.pending: list[bytes] = []
         self.ids = np.zeros(1, "<u4")
-        self.starts, self.sizes = np.zeros(1, np.int64), np.ones(1, np.int64)
+        self.starts, self.sizes = np.zeros(2, np.int64), np.array([1, 0])
 
     def __missing__(self, word: bytes) -> int:
-        place = len(self)
+        place = len(self) + 1
         self[word] = place
         self.pending.append(word)
         return place
@@ -90,18 +87,14 @@ class WordIds(dict):
         """Find the ids of the words met since the last call."""
         if len(self.parts) > REMEMBERED:
             self.parts.clear()
-        letters, marks, others, match = [], [], set(), _LATIN.fullmatch
-        for text in map(_decode, self.pending):
-            if m := match(text):
-                letters.append(m[1].lower())
-                marks.append(m[2])
-            else:
-                letters.append(text)
-                marks.append("")
-                others.add(text)
+        # One line a word, as words hold no line feed: parts of plain words, or the word as it is.
+        found = _LATIN.findall(b"\n".join(self.pending).decode("utf-8", "replace")) if self.pending else []
+        letters = [a.lower() if a else c for a, _, c in found]
+        marks = [b for _, b, _ in found]
+        others = {c for a, _, c in found if not a}
         parts = self.parts
         parts[""] = b""
-        self._encode(sorted({*letters, *marks}.difference(parts, others)))
+        self._encode(list({*letters, *marks}.difference(parts, others)))
         for text in others.difference(parts):
             parts[text] = np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         get = parts.__getitem__
@@ -122,29 +115,38 @@ class WordIds(dict):
             blob = ids.tobytes()
             self.parts.update(zip(some, (blob[a:b] for a, b in zip(edges[:-1], edges[1:]))))
 
-    def documents(self, texts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of documents, each with its end, one after the other, and where each begins."""
+    def documents(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of documents, each with its end, one after the other, and where each begins.
+
+        Texts are cut into words and equal words are numbered by Arrow; only a batch's different words are looked up here.
+        """
         if len(self) > REMEMBERED:
             self.reset()
-        get = self.__getitem__
-        rows = [np.fromiter(map(get, words), np.int64, len(words)) for words in texts]
+        words = pc.ascii_split_whitespace(_lowered(texts))
+        coded = words.flatten().dictionary_encode()
+        kinds = list(common.byte_rows(coded.dictionary))
+        places = np.fromiter(map(self.__getitem__, kinds), np.int64, len(kinds))
         self.learn()
-        end = np.zeros(1, np.int64)
-        at = np.concatenate([x for r in rows for x in (r, end)])
+        at = places[coded.indices.to_numpy()] if len(coded) else np.zeros(0, np.int64)
+        last = np.cumsum(np.diff(words.offsets.to_numpy()))  # words up to each document's end
+        at = np.insert(at, last, 0)
         size = self.sizes[at]
         stop = np.cumsum(size)
-        ids = self.ids[np.repeat(self.starts[at] - (stop - size), size) + np.arange(stop[-1])]
-        last = np.cumsum([len(r) + 1 for r in rows]) - 1
-        return ids, np.concatenate([[0], stop[last]])
+        narrow = np.int32 if max(stop[-1], len(self.ids)) < 1 << 31 else np.int64
+        ids = self.ids[np.repeat((self.starts[at] - (stop - size)).astype(narrow), size) + np.arange(stop[-1], dtype=narrow)]
+        return ids, np.concatenate([[0], stop[last + np.arange(len(last))]])
 
 
 _tables: dict[str, WordIds] = {}
 common.remember("packing", _tables.clear)
 
 
-def _lowered(text: bytes) -> list[bytes]:
-    """Words of a text; A-Z lower-cased, which the tokenizer would do, unless a word could hold a special token."""
-    return text.lower().split() if b"<|" not in text else text.split()
+def _lowered(texts: pa.Array) -> pa.Array:
+    """Texts with A-Z lower-cased, which the tokenizer would do, but for those that could hold a special token; null is empty."""
+    texts = texts.fill_null("")
+    special = pc.match_substring(texts, "<|")
+    lower = pc.ascii_lower(texts)
+    return pc.if_else(special, texts, lower) if pc.any(special).as_py() else lower
 
 
 def tokenise(path: str, size: int = SIZE):
@@ -185,17 +187,13 @@ def tokenise(path: str, size: int = SIZE):
     return pieces
 
 
-def _in_parts(column: pa.Array, most: int = 6_000_000) -> Iterator[tuple[int, list[list[bytes]]]]:
-    """Texts of a column as words, in groups of about ``most`` bytes, with the first one's row."""
-    first, group, held = 0, [], 0
-    for i, text in enumerate(common.byte_rows(column)):
-        group.append(_lowered(text))
-        held += len(text)
-        if held >= most:
-            yield first, group
-            first, group, held = i + 1, [], 0
-    if group:
-        yield first, group
+def _in_parts(column: pa.Array, most: int = 6_000_000) -> Iterator[tuple[int, pa.Array]]:
+    """Texts of a column in groups of about ``most`` bytes, with the first one's row."""
+    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    group = np.cumsum(size) // most
+    starts = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])) if len(size) else []
+    for lo, hi in zip(starts, [*starts[1:], len(size)]):
+        yield int(lo), column.slice(lo, hi - lo)
 
 
 def plan(histogram: dict[int, int], size: int = SIZE) -> list[tuple[tuple[tuple[int, int], ...], int]]:
