@@ -9,6 +9,7 @@ from operator import and_
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -52,6 +53,15 @@ def byte_rows(column: pa.Array) -> Iterator[bytes]:
     return (blob[a:b] for a, b in zip(ends[:-1], ends[1:]))
 
 
+def in_parts(column: pa.Array, most: int = 6_000_000) -> Iterator[tuple[int, pa.Array]]:
+    """Texts of a column in groups of about ``most`` bytes, with the first one's row."""
+    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    group = np.cumsum(size) // most
+    starts = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])) if len(size) else []
+    for lo, hi in zip(starts, [*starts[1:], len(size)]):
+        yield int(lo), column.slice(lo, hi - lo)
+
+
 def words_of(text: bytes) -> list[bytes]:
     """Words of a text after lower-casing A-Z (bytes.lower and bytes.split know exactly these letters and spaces)."""
     return text.lower().split()

@@ -24,13 +24,13 @@ repeat are scored alike (scores are rounded to millionths, as the last digits de
 from __future__ import annotations
 
 import zlib
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -304,18 +304,22 @@ def _in_groups(texts: list[np.ndarray], tokens: int) -> Iterator[list[np.ndarray
         yield group
 
 
-def _words(column: pa.Array) -> Iterator[list[bytes]]:
-    """Words of each text, one text at a time: a batch's words together would take many times its bytes."""
-    return map(common.words_of, common.byte_rows(column))
+def _words(texts: pa.Array) -> pa.ListArray:
+    """Words of each text after lower-casing A-Z; empty ones may stand at the ends of a text."""
+    return pc.ascii_split_whitespace(pc.ascii_lower(texts.fill_null("")))
+
+
+#: Bytes of text whose words are counted at a time.
+COUNTED = 16_000_000
 
 
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        seen: Counter = Counter()
-        for words in _words(batch.column(0)):
-            seen.update(words)
-        seen[END] += batch.num_rows
-        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], ["word", "c"])
+        for _, texts in common.in_parts(batch.column(0), COUNTED):
+            found = pc.value_counts(_words(texts).flatten())
+            word, n = found.field("values").cast(pa.binary()), found.field("counts")
+            real = pc.not_equal(pc.binary_length(word), 0)
+            yield pa.RecordBatch.from_arrays([pa.concat_arrays([word.filter(real), pa.array([END], pa.binary())]), pa.concat_arrays([n.filter(real), pa.array([len(texts)], pa.int64())])], ["word", "c"])
 
 
 #: Rows of a block of the emission table; tasks beyond which blocks are summed in two steps.
@@ -374,40 +378,55 @@ def _encode(vocabulary):
     """For ``mapInArrow`` over (id, text, train): each text as the classes of its words.
 
     A row also has the sum of log10(count + 1) of its words whose counts are at hand but have no class of their own,
-    their number, and the other rare words that it is the first of its batch to hold, each with the
-    signatures of all rows of the batch that hold it, as often as they do.
+    their number, and the other rare words that it is the first of its part of a batch to hold, each with the
+    signatures of all rows of the part that hold it, as often as they do.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
-        v = vocabulary.value
-        top, count = len(v.counts), v.others.get
         for batch in batches:
-            marks = _marks(batch)
-            place: dict[bytes, int] = {}
-            sums, numbers = [], []
-            codes, at, rows, seen = [], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [0]
-            for mark, words in zip(marks, _words(batch.column(1))):
-                own = v.encode(words)
-                codes.append(own.astype(v.kind).tobytes())
-                some = [words[i] for i in np.flatnonzero(own >= top).tolist()]
-                counts = np.fromiter(map(count, some, repeat(0)), np.int64, len(some))
-                known = counts > 0
-                sums.append(float(np.log10(counts[known] + 1.0).sum()))
-                numbers.append(int(known.sum()))
-                rare = [place.setdefault(some[i], len(place)) for i in np.flatnonzero(~known).tolist()]
-                at.append(np.array(rare, np.int64))
-                rows.append(np.full(len(rare), mark))
-                seen.append(len(place))
-            word, row = np.concatenate(at), np.concatenate(rows)
-            edges = np.concatenate([[0], np.cumsum(np.bincount(word, minlength=len(place)))]).astype(np.int32)
-            lists = pa.ListArray.from_arrays(pa.array(edges), pa.array(row[np.argsort(word, kind="stable")]))
-            found = pa.StructArray.from_arrays([pa.array(list(place), pa.binary()), lists], ["word", "rows"])
-            rare = pa.ListArray.from_arrays(pa.array(seen, pa.int32()), found)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(marks), batch.column(2), pa.array(codes, pa.binary()), pa.array(sums, pa.float64()), pa.array(numbers, pa.int64()), rare],
-                ["id", "mark", "train", "codes", "others", "n_others", "rare"],
-            )
+            cuts = [*(lo for lo, _ in common.in_parts(batch.column(1))), batch.num_rows]
+            for lo, hi in zip(cuts[:-1], cuts[1:]):
+                yield coded(batch.slice(lo, hi - lo))
+
+    def coded(batch: pa.RecordBatch) -> pa.RecordBatch:
+        v = vocabulary.value
+        top, n, marks = len(v.counts), batch.num_rows, _marks(batch)
+        words = _words(batch.column(1))
+        kind = words.flatten().dictionary_encode()
+        kinds = list(common.byte_rows(kind.dictionary))
+        cls = v.encode(kinds)[:-1]
+        counts = np.fromiter(map(v.others.get, kinds, repeat(0)), np.int64, len(kinds))
+        real = np.fromiter(map(len, kinds), np.int64, len(kinds)) > 0
+        at, row = kind.indices.to_numpy(), np.repeat(np.arange(n), np.diff(words.offsets.to_numpy()))
+        keep = real[at]
+        at, row = at[keep], row[keep]
+        size = np.bincount(row, minlength=n)
+        flat = np.insert(cls[at], np.cumsum(size), 0).astype(v.kind)  # every text's end
+        edges = np.concatenate([[0], np.cumsum(size + 1)]) * flat.itemsize
+        codes = pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer(edges.astype(np.int32)), pa.py_buffer(flat)])
+        held = (cls >= top) & (counts > 0)
+        sums = np.bincount(row, np.where(held, np.log10(counts + 1.0), 0.0)[at], n).astype(np.float64)
+        numbers = np.bincount(row, held[at].astype(float), n).astype(np.int64)
+        # Rare words in the order of the rows that hold them first, each with all its rows.
+        rare = ((cls >= top) & ~held)[at]
+        word, holder = at[rare], row[rare]
+        order = np.argsort(word, kind="stable")
+        word, holder = word[order], holder[order]
+        begin = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]])) if len(word) else np.zeros(0, np.int64)
+        many = np.diff(np.append(begin, len(word)))
+        first = holder[begin]
+        by = np.argsort(first, kind="stable")
+        many, begin = many[by], begin[by]
+        ends = np.cumsum(many)
+        picked = np.repeat(begin - (ends - many), many) + np.arange(len(word))
+        lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(marks[holder[picked]]))
+        found = pa.StructArray.from_arrays([kind.dictionary.take(pa.array(word[begin])).cast(pa.binary()), lists], ["word", "rows"])
+        outer = np.concatenate([[0], np.cumsum(np.bincount(first, minlength=n))]).astype(np.int32)
+        return pa.RecordBatch.from_arrays(
+            [batch.column(0), pa.array(marks), batch.column(2), codes, pa.array(sums), pa.array(numbers), pa.ListArray.from_arrays(pa.array(outer), found)],
+            ["id", "mark", "train", "codes", "others", "n_others", "rare"],
+        )
 
     return run
 

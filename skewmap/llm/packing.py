@@ -169,7 +169,7 @@ def tokenise(path: str, size: int = SIZE):
         for batch in batches:
             keys = batch.column(0)
             out: list[tuple] = []
-            for first, texts in _in_parts(batch.column(1)):
+            for first, texts in common.in_parts(batch.column(1)):
                 ids, begins = table.documents(texts)
                 edges = begins.tolist()
                 for i, (lo, hi) in enumerate(zip(edges[:-1], edges[1:]), first):
@@ -187,15 +187,6 @@ def tokenise(path: str, size: int = SIZE):
     return pieces
 
 
-def _in_parts(column: pa.Array, most: int = 6_000_000) -> Iterator[tuple[int, pa.Array]]:
-    """Texts of a column in groups of about ``most`` bytes, with the first one's row."""
-    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)
-    group = np.cumsum(size) // most
-    starts = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])) if len(size) else []
-    for lo, hi in zip(starts, [*starts[1:], len(size)]):
-        yield int(lo), column.slice(lo, hi - lo)
-
-
 def plan(histogram: dict[int, int], size: int = SIZE) -> list[tuple[tuple[tuple[int, int], ...], int]]:
     """Patterns ``(((length, copies), ...), sequences)`` that hold every piece of the histogram once."""
     left = np.zeros(size + 1, np.int64)
