@@ -465,12 +465,13 @@ def _scores(model, vocabulary):
     return run
 
 
-def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024, others: int = 200_000) -> Vocabulary:
+def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024, others: int = 100_000) -> Vocabulary:
     """Frequent words, class totals and counts of ``others`` more words from a table (word, c); the driver gets as many rows."""
     totals = counts.agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("v")).first()
     end = F.col("word") == F.lit(END)
     ends = counts.where(end).agg(F.sum("c")).first()[0] or 0
-    most = [(bytes(r["word"]), r["c"]) for r in counts.where(~end).orderBy(F.desc("c"), "word").limit(frequent + others).collect()]
+    table = counts.where(~end).orderBy(F.desc("c"), "word").limit(frequent + others).toArrow()
+    most = list(zip(common.byte_rows(table.column("word")), table.column("c").to_pylist()))
     top = most[:frequent]
     least = top[-1] if top else (b"", 0)
     tail = counts.where(~end & ((F.col("c") < least[1]) | ((F.col("c") == least[1]) & (F.col("word") > F.lit(least[0])))))
@@ -482,7 +483,7 @@ def fit_vocabulary(counts: DataFrame, frequent: int = 40_000, rest: int = 1024,
 
 
 @common.cleaned
-def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14, frequent: int = 40_000, rest: int = 1024, others: int = 200_000) -> DataFrame:
+def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", states: int = 8, rounds: int = 14, frequent: int = 40_000, rest: int = 1024, others: int = 100_000) -> DataFrame:
     """One row per document: key, n_tokens, n_known, train_tokens, base_score, score. ``training`` is a boolean column."""
     spark = docs.sparkSession
     n = common.partitions(spark)
