@@ -223,17 +223,17 @@ def forward(model: Model, texts: list[np.ndarray], keep: bool = False, kind=np.f
     relative = (model.emit / most[:, None]).astype(kind)
     pieces = _cut(model, relative, texts, kind)
     cls, offsets, order, lengths = _steps(pieces.parts)
-    e, move = np.take(relative, cls, axis=0), model.move.astype(kind)
+    cls, move = cls.astype(np.intp), model.move.astype(kind)
     ones, tiny, every = np.ones(len(move), kind), kind(TINY[kind]), EVERY[kind]
-    alpha, scales = np.empty_like(e), {}
+    alpha, scales = np.empty((len(cls), len(move)), kind), {}
     logs, steps = np.zeros(len(order)), offsets.tolist()
     for t, (a, b) in enumerate(zip(steps[:-1], steps[1:])):
         here = alpha[a:b]
         if t:
             np.matmul(last[: b - a], move, out=here)
-            here *= e[a:b]
+            here *= relative.take(cls[a:b], 0)
         else:
-            np.multiply(e[a:b], pieces.prior[order], out=here, casting="same_kind")
+            np.multiply(relative.take(cls[a:b], 0), pieces.prior[order], out=here, casting="same_kind")
         if t % every == every - 1:
             scale = np.maximum(here @ ones, tiny)
             here *= (1 / scale)[:, None]
@@ -243,7 +243,7 @@ def forward(model: Model, texts: list[np.ndarray], keep: bool = False, kind=np.f
         last = here
     ends = alpha[offsets[lengths - 1] + np.arange(len(order))]  # at the last token of each
     if keep:
-        return pieces, order, cls, steps, e, alpha, scales, ends
+        return pieces, order, cls, steps, relative, alpha, scales, ends
     row = np.arange(len(cls)) - np.repeat(offsets[:-1], np.diff(offsets))
     logs += np.log10(np.maximum(ends @ ones, tiny), dtype=np.float64) + np.bincount(row, np.log10(most)[cls], len(order))
     return np.bincount(pieces.owner[order], logs, len(texts))
@@ -252,7 +252,7 @@ def forward(model: Model, texts: list[np.ndarray], keep: bool = False, kind=np.f
 def expected(model: Model, texts: list[np.ndarray], classes: int, kind=np.float64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Baum-Welch counts of a batch: start, moves and emissions (class x state)."""
     # gamma becomes the posterior in place, from the last step down.
-    pieces, order, cls, steps, e, gamma, scales, ends = forward(model, texts, True, kind)
+    pieces, order, cls, steps, relative, gamma, scales, ends = forward(model, texts, True, kind)
     k, back = len(model.start), np.ascontiguousarray(model.move.T.astype(kind))
     after = pieces.after[order].astype(kind)
     after /= np.maximum((ends * after).sum(1, keepdims=True), kind(TINY[kind]))
@@ -262,7 +262,7 @@ def expected(model: Model, texts: list[np.ndarray], classes: int, kind=np.float6
         here, n = np.empty((b - a, k), kind), 0
         if beta is not None:
             n = len(beta)
-            ahead = e[b : b + n]
+            ahead = relative.take(cls[b : b + n], 0)
             ahead *= beta
             if t + 1 in scales:
                 ahead *= (1 / scales[t + 1])[:, None]
@@ -272,8 +272,7 @@ def expected(model: Model, texts: list[np.ndarray], classes: int, kind=np.float6
         gamma[a:b] *= here
         beta = here
     moves = (moves + pieces.joints) * model.move
-    at = cls.astype(np.intp)
-    emit = np.stack([np.bincount(at, column, classes) for column in np.ascontiguousarray(gamma.T)], 1)
+    emit = np.stack([np.bincount(cls, column, classes) for column in np.ascontiguousarray(gamma.T)], 1)
     first = gamma[: steps[1]][pieces.first[order]].astype(np.float64)
     return (first / first.sum(1, keepdims=True)).sum(0), moves, emit
 
@@ -337,16 +336,15 @@ def _classes_of(column: pa.Array, kind: str) -> list[np.ndarray]:
     return [np.frombuffer(flat, kind, (hi - lo) // np.dtype(kind).itemsize, lo) for lo, hi in zip(edges[:-1], edges[1:])]
 
 
-def _counting(model, vocabulary):
+def _counting(model, classes: int, kind: str):
     """For ``mapInArrow`` over texts as classes: a task's expected counts as blocks of the emission table, block -1 for start and moves."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.only("hmm")
-        m, v = model.value, vocabulary.value
-        total = None
+        m, total = model.value, None
         for batch in batches:
-            for group in _in_groups(_classes_of(batch.column(0), v.kind), TRAINED):
-                got = expected(m, group, v.classes, np.float32)
+            for group in _in_groups(_classes_of(batch.column(0), kind), TRAINED):
+                got = expected(m, group, classes, np.float32)
                 total = got if total is None else tuple(a + b for a, b in zip(total, got))
         if total is not None:
             start, moves, emit = total
@@ -501,7 +499,7 @@ def score(docs: DataFrame, training, key: str = "doc_id", text: str = "text", st
     for _ in range(rounds):
         handle = common.shared(spark, model)
         schema = "block int, salt int, counts binary"
-        part = learn.mapInArrow(_counting(handle, vocabulary), schema)
+        part = learn.mapInArrow(_counting(handle, v.classes, v.kind), schema)
         if tasks > WIDE:  # a block's sum in one task would have too many terms
             part = part.repartition(n, "block", "salt").mapInArrow(_summed, schema)
         part = part.repartition(n, "block").mapInArrow(_summed, schema)
