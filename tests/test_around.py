@@ -195,7 +195,7 @@ def run_stream(spark, frame, name):
 
 
 def test_stream_repeats_and_intervals(spark, tmp_path):
-    rows = [(1, "a", 0), (1, "a", 60), (2, "a", 120), (3, "b", 4000)]
+    rows = [(1, "a", 1000), (1, "a", 1060), (2, "a", 1120), (3, "b", 5000)]  # past the first watermark, which is 0
     spark.createDataFrame(rows, "id long, k string, s long").write.json(f"file://{tmp_path}/in")
     stream = spark.readStream.schema("id long, k string, s long").json(f"file://{tmp_path}/in").select("id", "k", F.timestamp_seconds("s").alias("ts"))
     assert sorted(r["id"] for r in run_stream(spark, drift.deduplicated(stream, ["id"]), "once")) == [1, 2, 3]
