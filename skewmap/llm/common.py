@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import re
 from collections.abc import Callable, Iterator
 from functools import reduce
@@ -99,11 +101,26 @@ def remember(owner: str, forget: Callable[[], None]) -> None:
     _caches[owner] = forget
 
 
+_last: list[str] = []
+
+
 def only(owner: str) -> None:
-    """Empty the tables that other operators left in this worker: workers live on from one operator to the next."""
+    """Empty the tables that other operators left in this worker: workers live on from one operator to the next.
+
+    What they took is given back to the system, as a worker keeps it otherwise, beside an executor's heap.
+    """
+    if _last == [owner]:
+        return
     for name, forget in _caches.items():
         if name != owner:
             forget()
+    if _last:
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # where the C library has it
+        if trim is not None:
+            trim(0)
+    _last[:] = [owner]
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

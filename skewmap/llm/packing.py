@@ -35,8 +35,10 @@ from . import common
 
 SIZE = 2048
 VOCABULARY = "word_bpe_49k.json"
-#: Words that a worker remembers before it starts anew.
-REMEMBERED = 700_000
+#: Bytes of text that are cut into words at a time.
+PART = 4_000_000
+#: Words, and parts of words, that a worker remembers before it starts anew: some 60 MB each.
+REMEMBERED = 300_000
 
 PIECES = "doc_id {key}, piece int, start long, length long, ids_crc32 long, part int, rank long"
 
@@ -169,7 +171,7 @@ def tokenise(path: str, size: int = SIZE):
         for batch in batches:
             keys = batch.column(0)
             out: list[tuple] = []
-            for first, texts in common.in_parts(batch.column(1)):
+            for first, texts in common.in_parts(batch.column(1), PART):
                 ids, begins = table.documents(texts)
                 edges = begins.tolist()
                 for i, (lo, hi) in enumerate(zip(edges[:-1], edges[1:]), first):
