@@ -17,9 +17,10 @@ ORACLE_SQL = None
 
 
 def _ready(spark: SparkSession) -> None:
-    """Workers get the package, and give up what the stage before, which is written by now, sent them."""
+    """Workers get the package, and they and the driver give up what the stage before, which is written by now, left with them."""
     ship(spark)
     common.release()
+    common.give_back()
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

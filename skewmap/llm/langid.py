@@ -123,10 +123,20 @@ def train(texts: dict[str, list[bytes]], max_contexts: int = 20_000) -> ContextT
     symbols = np.full(256, a - 1, np.int32)
     symbols[used] = np.arange(a - 1)
     merged = 256 - len(used)
-    grams = {k: symbols[v].astype(np.int64) for k, v in streams.items()}
-    pack = lambda s, n: sum(s[i : len(s) - n + i] * a ** (n - 1 - i) for i in range(n))  # noqa: E731  contexts of n symbols before each symbol from n on
+    # The driver trains: a place of the stream takes two bytes, and what is derived from it is made for one language at a time.
+    grams = {k: symbols[streams.pop(k)].astype(np.int16) for k in langs}
+    wide = np.int32 if a * max(a * a, a + 2 * max_contexts + 1) < 1 << 31 else np.int64
+
+    def pack(s: np.ndarray, n: int) -> np.ndarray:
+        """Contexts of n symbols before each symbol from n on."""
+        out = s[: len(s) - n].astype(wide)
+        for i in range(1, n):
+            out *= a
+            out += s[i : len(s) - n + i]
+        return out
+
     seen3 = [np.unique(pack(s, 3), return_counts=True) for s in grams.values() if len(s) > 3]
-    keys = np.concatenate([k for k, _ in seen3]) if seen3 else np.zeros(0, np.int64)
+    keys = np.concatenate([k for k, _ in seen3]).astype(np.int64) if seen3 else np.zeros(0, np.int64)
     kept, where = np.unique(keys, return_inverse=True)
     weight = np.bincount(where, np.concatenate([c for _, c in seen3])) if seen3 else np.zeros(0)
     kept = np.sort(kept[np.lexsort((kept, -weight))[:max_contexts]])
@@ -144,14 +154,16 @@ def train(texts: dict[str, list[bytes]], max_contexts: int = 20_000) -> ContextT
     # Entries: (node, symbol) that some language has seen; the root has all symbols.
     counted = {}
     for k, s in grams.items():
-        parts = [np.full(a, root * a, np.int64) + np.arange(a)]
+        parts = []  # nodes of longer contexts come after those of shorter ones, the root last
         for n, index in ((1, one), (2, two), (3, three)):
             if len(s) > n:
-                at = index[pack(s, n)].astype(np.int64)
-                parts.append((at * a + s[n:])[at >= 0])
-        flat, n = np.unique(np.concatenate(parts), return_counts=True)
-        n[flat >= root * a] = np.bincount(s, minlength=a)
-        counted[k] = flat, n
+                at = index[pack(s, n)].astype(wide, copy=False)
+                there = at >= 0
+                at *= a
+                at += s[n:]
+                parts.append(np.unique(at[there], return_counts=True))
+        parts.append((root * a + np.arange(a), np.bincount(s, minlength=a)))
+        counted[k] = tuple(np.concatenate(x) for x in zip(*parts))
     entries = np.unique(np.concatenate([np.arange(root * a, root * a + a), *(f for f, _ in counted.values())]))
     places = np.full((nodes, a), -1, np.int32)
     node, symbol = entries // a, entries % a

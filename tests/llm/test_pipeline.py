@@ -1,9 +1,13 @@
 import collections
+import tracemalloc
 
 import corpus_pipeline
+import numpy as np
 from test_dedup import SPACE, sets_brute
 from test_others import check_packing, ids_of
 
+from skewmap.llm import langid
+
 SF = "/root/testdata/sf0.001"
 
 
@@ -42,3 +46,13 @@ def test_edge_documents_pass_all_stages(spark, odd_docs):
     for name, stage in corpus_pipeline.STAGES:
         docs = corpus_pipeline.common.materialise(stage(spark, docs, SF), name)
     assert docs.count() == 0
+
+
+def test_language_training_takes_little_of_the_driver():
+    rng = np.random.default_rng(7)
+    texts = {k: [bytes(rng.integers(97, 105, 1000, dtype=np.uint8)) for _ in range(1000)] for k in ("aa", "bb", "cc")}
+    tracemalloc.start()
+    langid.train(texts)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 16 * 3_000_000, peak
