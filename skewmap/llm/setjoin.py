@@ -41,37 +41,79 @@ SHARE = (75, 100)
 #: Shingles that the sample can put at the end of the order, and in how many sampled documents they stand at least.
 COMMON, SEEN = 500_000, 4
 SAMPLED = 64
-REMEMBERED = 300_000
+#: Bytes of texts that are cut into shingles at once.
+PART = 1_500_000
+#: Longer words are hashed one by one.
+LONG = 64
 #: A list of over one in ``HOT`` entries is hot; a tile of a hot list has two blocks of about ``TILE`` entries.
 HOT, TILE = 1000, 20_000
 #: Pairs left open are asked in so many rounds, the rest at once; up to ``MANY`` pairs are not worth a round.
 ROUNDS, MANY = 4, 10_000
-_MULT = np.random.default_rng(20_231).integers(1, 2**63, WORDS, dtype=np.uint64) | np.uint64(1)
-
-
-class WordHashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_hashes = WordHashes()
-common.remember("setjoin", _hashes.clear)
+#: Lists up to this length give their pairs side by side, longer ones block by block.
+SHORT = 64
+_MULT = np.random.default_rng(20_231).integers(1, 2**63, WORDS, dtype=np.uint64) << np.uint64(1) | np.uint64(1)
+_LENGTH = np.uint64(0x9E3779B97F4A7C15)
+_SPACES = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+#: The first bytes of eight, by how many.
+_FEWER = np.array([(1 << 8 * i) - 1 for i in range(9)], np.uint64)
+
+
+def _word_hashes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the lower-cased words of a column's texts, end to end, and how many each text has."""
+    raw, offs = common.utf8_view(column)
+    blob = raw.tobytes().lower() + bytes(LONG)
+    raw = np.frombuffer(blob, np.uint8)[: len(raw)]
+    if not len(raw):
+        return np.zeros(0, np.uint64), np.zeros(len(offs) - 1, np.int64)
+    space = _SPACES[raw]
+    edge = np.zeros(len(raw) + 1, bool)
+    edge[1:-1] = space[:-1]
+    edge[offs] = True  # words do not go on from text to text
+    first = np.flatnonzero(edge[:-1] & ~space)
+    edge[1:-1] = space[1:]
+    edge[offs] = True
+    size = np.flatnonzero(edge[1:] & ~space) + 1 - first
+    eights = np.ndarray(len(blob) - 7, "<u8", blob, strides=(1,))
+    h = common.mix64((eights[first] & _FEWER[np.minimum(size, 8)]) + size.astype(np.uint64) * _MULT[0])
+    some = np.flatnonzero((size > 8) & (size <= LONG))
+    for at in range(8, LONG, 8):
+        some = some[size[some] > at]
+        if not len(some):
+            break
+        h[some] = common.mix64(h[some] * _MULT[1] + (eights[first[some] + at] & _FEWER[np.minimum(size[some] - at, 8)]))
+    for i in np.flatnonzero(size > LONG).tolist():
+        h[i] = xxhash.xxh3_64_intdigest(blob[first[i] : first[i] + size[i]])
+    return h, np.diff(np.searchsorted(first, offs))
+
+
+def shingled(column: pa.Array, words: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct shingle hashes of a column's texts, in ascending order within each, end to end, and offsets of the texts."""
+    h, many = _word_hashes(column)
+    span = np.minimum(many, words)
+    h = np.concatenate([h, np.zeros(words, np.uint64)])
+    first = np.cumsum(many) - many
+    size = np.where(many > 0, many - span + 1, 0)
+    ends = np.concatenate([[0], np.cumsum(size)])
+    at = np.repeat(first - ends[:-1], size) + np.arange(ends[-1])
+    summed = h[: len(h) - words] * _MULT[0]
+    for i in range(1, words):
+        summed += h[i : len(h) - words + i] * _MULT[i]
+    mixed = summed[at] if len(at) else np.zeros(0, np.uint64)
+    for j in np.flatnonzero((many > 0) & (many < words)).tolist():  # one shingle of all words there are
+        a, n = int(first[j]), int(many[j])
+        mixed[ends[j]] = (h[a : a + n] * _MULT[:n]).sum(dtype=np.uint64)
+    mixed = common.mix64(mixed + np.repeat(span.astype(np.uint64), size) * _LENGTH)
+    for a, b in zip(ends[:-1].tolist(), ends[1:].tolist()):
+        mixed[a:b].sort()
+    fresh = np.ones(len(mixed), bool)
+    fresh[1:] = mixed[1:] != mixed[:-1]
+    fresh[ends[:-1][size > 0]] = True
+    return mixed[fresh], np.concatenate([[0], np.cumsum(fresh)])[ends]
 
 
 def shingles(text: bytes, words: int = WORDS) -> np.ndarray:
     """Distinct shingle hashes of a text in ascending order."""
-    w = common.words_of(text)
-    if not w:
-        return np.zeros(0, np.uint64)
-    if len(_hashes) > REMEMBERED:
-        _hashes.clear()
-    h = np.fromiter(map(_hashes.__getitem__, w), np.uint64, len(w))
-    n = max(1, len(h) - words + 1)
-    mixed = np.full(n, len(h) if len(h) < words else words, np.uint64)
-    for i in range(min(words, len(h))):
-        mixed = common.mix64(mixed + h[i : i + n] * _MULT[i])
-    return np.unique(mixed)
+    return shingled(pa.array([text], pa.binary()), words)[0]
 
 
 def needed(a: np.ndarray | int, b: np.ndarray | int):
@@ -80,9 +122,9 @@ def needed(a: np.ndarray | int, b: np.ndarray | int):
     return -(-(num * (a + b)) // (num + den))
 
 
-def prefix_length(n: int) -> int:
+def prefix_length(n: np.ndarray | int):
     num, den = SHARE
-    return n - -(-(n * num) // den) + 1 if n else 0
+    return (n - -(-(n * num) // den) + 1) * (n > 0)
 
 
 def _common_shingles(docs: DataFrame) -> np.ndarray:
@@ -90,7 +132,7 @@ def _common_shingles(docs: DataFrame) -> np.ndarray:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [shingles(t) for t in common.byte_rows(batch.column(0))]
+            found = [shingled(part)[0] for _, part in common.in_parts(batch.column(0), PART)]
             if found and (total := np.concatenate(found)).size:
                 values, n = np.unique(total, return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(values.view(np.int64)), pa.array(n)], ["token", "n"])
@@ -128,23 +170,24 @@ def _sets(order):
         ranks: Order = order.value
         seen: set[bytes] = set()
         for batch in batches:
-            sizes, prints, lists = [], [], []
-            for text in common.byte_rows(batch.column(2)):
-                s = shingles(text)
-                mark = xxhash.xxh3_128_digest(s.tobytes()) if len(s) else b""
-                sizes.append(len(s))
-                prints.append(mark)
-                if len(s) and mark not in seen:  # equal sets of a task stand on the lists once
-                    seen.add(mark)
-                    lists.append(np.sort(ranks.keys(s))[: prefix_length(len(s))].view(np.int64))
-                else:
-                    lists.append(np.zeros(0, np.int64))
-            edges = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int32)
-            flat = np.concatenate(lists) if lists else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(prints, pa.binary()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(edges), pa.array(flat))],
-                ["id", "tag", "mark", "n", "tokens"],
-            )
+            for row, part in common.in_parts(batch.column(2), PART):
+                flat, offs = shingled(part)
+                sizes = np.diff(offs)
+                prints = [xxhash.xxh3_128_digest(flat[a:b]) if b > a else b"" for a, b in zip(offs[:-1].tolist(), offs[1:].tolist())]
+                listed = np.zeros(len(prints), bool)
+                for i, mark in enumerate(prints):
+                    if mark and mark not in seen:  # equal sets of a task stand on the lists once
+                        seen.add(mark)
+                        listed[i] = True
+                keys = ranks.keys(flat)
+                for a, b in zip(offs[:-1][listed].tolist(), offs[1:][listed].tolist()):
+                    keys[a:b].sort()
+                taken = np.where(listed, prefix_length(sizes), 0)
+                edges = np.concatenate([[0], np.cumsum(taken)])
+                at = np.repeat(offs[:-1] - edges[:-1], taken) + np.arange(edges[-1])
+                tokens = pa.ListArray.from_arrays(pa.array(edges.astype(np.int32)), pa.array(keys[at].view(np.int64)))
+                ids, tags = batch.column(0).slice(row, len(part)), batch.column(1).slice(row, len(part))
+                yield pa.RecordBatch.from_arrays([ids, tags, pa.array(prints, pa.binary()), pa.array(sizes, pa.int64()), tokens], ["id", "tag", "mark", "n", "tokens"])
 
     return entries
 
@@ -247,6 +290,29 @@ def _tiles(lists: DataFrame) -> DataFrame:
     return own.join(common.small(sides), ["token", "block"]).select(F.col("tile").alias("token"), "id", "at", "component", "half")
 
 
+def _short_pairs(cols: list[np.ndarray], starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, ...]]:
+    """The pairs of short lists that ``_cross_pairs`` asks for, of all lists side by side: entries one apart, two apart and so on."""
+    num, den = SHARE
+    many = ends - starts
+    if not len(many):
+        return
+    where = np.repeat(starts - (np.cumsum(many) - many), many) + np.arange(many.sum())
+    run = np.repeat(np.arange(len(many)), many)
+    ids, at, comp, half = (c[where] for c in cols[1:])
+    order = np.lexsort((ids, at, run))  # by size, then position, as the lists do
+    ids, at, comp, half = ids[order], at[order], comp[order], half[order]
+    size, pos = at >> 24, at & 0xFFFFFF
+    last = np.repeat(np.cumsum(many), many)  # where an entry's list ends
+    x = np.arange(len(ids))
+    for apart in range(1, int(many.max())):
+        x = x[x + apart < last[x]]
+        y = x + apart
+        ok = (comp[x] != comp[y]) & (size[y] * num <= size[x] * den) & ((half[x] == 2) | (half[x] != half[y])) & _possible(size[x], pos[x], size[y], pos[y])
+        if ok.any():
+            a, b = x[ok], y[ok]
+            yield ids[a], ids[b], size[a], size[b]
+
+
 def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterator[pa.RecordBatch]:
     """Pairs of a list that are in different components, block by block; blocks that size and position rule out are skipped.
 
@@ -258,6 +324,14 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterat
     for cols, starts in _runs(batches, ["token", "id", "at", "component", "half"]):
         ends = np.append(starts[1:], len(cols[0]))
         mixed = np.minimum.reduceat(cols[3], starts) != np.maximum.reduceat(cols[3], starts)
+        short = mixed & (ends - starts <= SHORT)
+        for found in _short_pairs(cols, starts[short], ends[short]):
+            out.append(found)
+            held += len(found[0])
+            if held > 200_000:
+                yield _pair_batch(*(np.concatenate(z) for z in zip(*out)))
+                out, held = [], 0
+        mixed &= ~short
         for lo, hi in zip(starts[mixed].tolist(), ends[mixed].tolist()):
             ids, at, comp, half = (c[lo:hi] for c in cols[1:])
             order = np.lexsort((ids, at))  # by size, then position
@@ -293,24 +367,35 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], block: int = 2048) -> Iterat
         yield _pair_batch(*(np.concatenate(z) for z in zip(*out)))
 
 
+def _overlap(a: np.ndarray, b: np.ndarray) -> int:
+    """How many values two sets have in common."""
+    both = np.concatenate([a, b])
+    both.sort()
+    return int(np.count_nonzero(both[1:] == both[:-1]))
+
+
 def _verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """Links (a, b) among the pairs, by the sets themselves. A pair carries one text; its hub's is read once a group."""
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last_id, last = None, np.zeros(0, np.uint64)
         for batch in batches:
-            a, b = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            own = list(common.byte_rows(batch.column(2)))
-            other = list(common.byte_rows(batch.column(3)))
-            hits = []
-            for i in range(len(a)):
-                if a[i] != last_id:
-                    last_id, last = a[i], shingles(own[i])
-                s = shingles(other[i])
-                inter = len(np.intersect1d(last, s, assume_unique=True))
-                if inter * SHARE[1] >= SHARE[0] * (len(last) + len(s) - inter):
-                    hits.append((a[i], b[i]))
-            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in hits], pa.int64()), pa.array([y for _, y in hits], pa.int64())], ["a", "b"])
+            for row, part in common.in_parts(batch.column(3), PART):
+                a, b = batch.column(0).slice(row, len(part)).to_numpy(), batch.column(1).slice(row, len(part)).to_numpy()
+                other, offs = shingled(part)
+                fresh = np.concatenate([[True], a[1:] != a[:-1]])
+                fresh[0] = a[0] != last_id
+                starts = np.flatnonzero(fresh)
+                own, ends = shingled(batch.column(2).slice(row, len(part)).take(pa.array(starts)))
+                group = np.cumsum(fresh)  # 0: the set that the rows before had
+                inter, size = np.empty(len(a), np.int64), np.empty(len(a), np.int64)
+                for i, (g, lo, hi) in enumerate(zip(group.tolist(), offs[:-1].tolist(), offs[1:].tolist())):
+                    if fresh[i]:
+                        last = own[ends[g - 1] : ends[g]]
+                    inter[i], size[i] = _overlap(last, other[lo:hi]), len(last) + hi - lo
+                last_id, last = a[-1], last.copy()
+                hit = inter * SHARE[1] >= SHARE[0] * (size - inter)
+                yield pa.RecordBatch.from_arrays([pa.array(a[hit]), pa.array(b[hit])], ["a", "b"])
 
     left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))

@@ -4,6 +4,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -382,3 +383,34 @@ def test_components_of_chains(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 101), (200, 200)], "a long, b long")
     got = {r["id"]: r["component"] for r in setjoin.connected(edges).collect()}
     assert {got[i] for i in range(61)} == {0} and got[101] == 100 and got[200] == 200
+
+
+def test_sets_are_cut_by_columns():
+    rng = random.Random(8)
+    letters = ["a", "B", "é", " ", " ", "\t", "\x0b", "\n"]
+    texts = ["", None, " ", "x" * 200 + " Y", *("".join(rng.choices(letters, k=rng.randrange(1, 400))) for _ in range(200)), "w " * 9]
+    found, offs = setjoin.shingled(pa.array(texts, pa.string()))
+    for i, text in enumerate(texts):
+        words = (text or "").encode().lower().split()
+        sets = {tuple(words[j : j + 5]) for j in range(max(1, len(words) - 4))} if words else set()
+        own = found[offs[i] : offs[i + 1]]
+        assert len(own) == len(sets) and own.tolist() == setjoin.shingles((text or "").encode()).tolist()
+    words = [bytes([65 + n % 26]) * n for n in range(1, 150)] + [b"a" * 8 + b"\0", b"a" * 8, b"a" * 64 + b"b"]
+    hashes, many = setjoin._word_hashes(pa.array(words, pa.binary()))
+    assert len(set(hashes.tolist())) == len({w.lower() for w in words}) and many.tolist() == [1] * len(words)
+
+
+def test_short_lists_give_the_pairs_of_blocks(monkeypatch):
+    rng = np.random.default_rng(9)
+    n = 4000
+    token = np.sort(rng.integers(0, 900, n))
+    size, half = rng.integers(20, 60, n), rng.choice([2, 2, 0], 900)[token]
+    half = np.where(half == 2, 2, rng.integers(0, 2, n))
+    at = size << 24 | rng.integers(0, 12, n)
+    batch = pa.RecordBatch.from_arrays([pa.array(c) for c in (token, np.arange(n), at, rng.integers(0, 40, n), half)], ["token", "id", "at", "component", "half"])
+
+    def pairs(short):
+        monkeypatch.setattr(setjoin, "SHORT", short)
+        return sorted(tuple(r.values()) for b in setjoin._cross_pairs(iter([batch])) for r in b.to_pylist())
+
+    assert pairs(0) == pairs(64) == pairs(4) and len(pairs(64)) > 1000
