@@ -106,3 +106,11 @@ def test_the_comparison_leaves_no_tables(spark, made):
     assert [r["method"] for r in rows] == list(queries.METHODS) and all(r["mismatches"] == 0 and r["bpk"] > 0 for r in rows)
     assert {"shards", "perfect", "model"} <= set(made)
     assert not any(Path(x._stored_at.removeprefix("file://")).exists() for x in made.values())
+
+
+def test_plans_do_not_carry_the_lineage_of_a_workload(spark, monkeypatch):
+    """Driver memory: what methods get is a stored table, not the plan that made it."""
+    plans, real = [], baselines.HashTable.build.__func__
+    monkeypatch.setattr(baselines.HashTable, "build", classmethod(lambda cls, df, spec: plans.append(df._jdf.queryExecution().toString()) or real(cls, df, spec)))
+    assert queries.method_table(spark, SF, ("zipf_0.8",), ("hash_table",)).first()["mismatches"] == 0
+    assert len(plans) == 1 and "InMemoryRelation" not in plans[0] and "Join" not in plans[0]
